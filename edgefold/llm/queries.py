@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import chat, packing, quality, secrets, token_counts
+from . import chat, decontaminate, line_dedup, ngram_join, packing, pii, quality, secrets, token_counts, url_filter
 
 Query = Callable[[SparkSession, str], DataFrame]
 
@@ -32,10 +32,18 @@ def op1_chat_format(spark: SparkSession, sf_dir: str) -> DataFrame:
     return chat.digest(chat.format_chats(rows))
 
 
+def op2_ngram_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return ngram_join.join_components(table(spark, sf_dir, "documents"), k=3, percent=90)
+
+
 def op3_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality.judge(table(spark, sf_dir, "documents"))
 
 
+def op4_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return decontaminate.contaminated(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
+
+
 def op5_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     return secrets.digest(secrets.find_secrets(table(spark, sf_dir, "documents")))
 
@@ -44,19 +52,34 @@ def op6_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack(table(spark, sf_dir, "documents"), vocabulary("byte_bpe_50k.json"))
 
 
+def op7_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return url_filter.judge_urls(table(spark, sf_dir, "pages"))
+
+
+def op8_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    done = line_dedup.dedup_lines(table(spark, sf_dir, "documents").select("doc_id", "source", "text"))
+    text = F.coalesce("text", F.lit(""))
+    return done.select("row.doc_id", "n_lines", "n_dropped", F.length(text).cast("long").alias("n_chars"), F.sha2(text, 256).alias("text_sha256"))
+
+
 def op9_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_counts.count_tokens(table(spark, sf_dir, "documents"), vocabulary("word_bpe_49k.json"))
 
 
+def op10_pii_pseudonyms(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return pii.pseudonymise(table(spark, sf_dir, "documents"))
+
+
+def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
+    import corpus_pipeline
+
+    return corpus_pipeline.run(spark, sf_dir)
+
+
 def queries() -> dict[str, Query]:
-    return {
-        "op1_chat_format": op1_chat_format,
-        "op3_quality_rules": op3_quality_rules,
-        "op5_secret_scan": op5_secret_scan,
-        "op6_packing": op6_packing,
-        "op9_token_counts": op9_token_counts,
-    }
+    each = (op1_chat_format, op2_ngram_join, op3_quality_rules, op4_decontaminate, op5_secret_scan, op6_packing, op7_url_filter, op8_line_dedup, op9_token_counts, op10_pii_pseudonyms, pipeline)
+    return {q.__name__: q for q in each}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op1_chat_format": chat.oracle(), "op3_quality_rules": quality.oracle()}
+    return {"op1_chat_format": chat.oracle(), "op3_quality_rules": quality.oracle(), "op8_line_dedup": line_dedup.oracle()}
