@@ -8,7 +8,8 @@ largest share of each term over its members bounds what any member can score.
 Training texts are the queries. Every super-block has its own passage length, twice its longest item
 with half of that as stride, so any run of an item's length lies in one passage. Per super-block
 
-1. running sums of term bounds over a text bound all passages at once; passages below the limit end here;
+1. running sums of term bounds over a text bound all passages at once, and for those left the sums over
+   distinct terms do; passages below the limit end here;
 2. the bounds of each block over the passage's distinct terms drop most blocks;
 3. items of the blocks left are scored in full, and all at or above the limit are retrieved;
 4. a retrieved item is verified: the share of word trigrams of its question part and of its answer part
@@ -31,6 +32,7 @@ from functools import reduce
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -43,7 +45,7 @@ SENTENCE = re.compile(r"(?<=[.!?])\s+|\n+")
 
 
 def lowered(column: pa.Array) -> pa.Array:
-    return pa.compute.utf8_lower(pa.compute.fill_null(column.cast(pa.large_string()), ""))
+    return pc.utf8_lower(pc.fill_null(column.cast(pa.large_string()), ""))
 
 
 def word_hashes(texts: list[str]) -> list[np.ndarray]:
@@ -92,6 +94,7 @@ class Group:
             self.shares[self.slot[list(shares[i])], j] = list(shares[i].values())
         starts = np.arange(0, len(members), BLOCK)
         self.blocks = np.maximum.reduceat(self.shares, starts, axis=1)
+        self.padded = np.vstack([self.blocks, np.zeros((1, len(starts)), dtype=np.float32)])  # slot -1 is no term
         self.bound = np.zeros(n_terms + 1, dtype=np.float32)
         self.bound[terms] = self.blocks.max(axis=1)
         self.length = 2 * int(max(lengths[i] for i in members))
@@ -137,10 +140,27 @@ class Index:
             nth = np.arange(len(row)) - np.repeat(np.cumsum(n_windows) - n_windows, n_windows)
             a = first[row] + nth * stride
             b = np.minimum(a + group.length, first[row + 1])
-            for w in np.flatnonzero(sums[b] - sums[a] >= limit - 1e-6):
+            for w in self._distinct(group, term, a, b, np.flatnonzero(sums[b] - sums[a] >= limit - 1e-6), limit):
                 self._passage(group, int(row[w]), term[a[w] : b[w]], hashes[a[w] : b[w]], limit, best)
         return [(r, i, *v) for (r, i), v in sorted(best.items())]
 
+    def _distinct(self, group: Group, term: np.ndarray, a: np.ndarray, b: np.ndarray, windows: np.ndarray, limit: float) -> list[int]:
+        """The windows for which the bounds of some block over the distinct terms reach the limit."""
+        left, place = [], np.arange(group.length)
+        for at in range(0, len(windows), 4096):
+            w = windows[at : at + 4096]
+            index = a[w][:, None] + place
+            terms = np.where(index < b[w][:, None], term[np.minimum(index, len(term) - 1)], len(self.vocabulary))
+            terms.sort(axis=1)
+            bounds = group.bound[terms]
+            terms[:, 1:][terms[:, 1:] == terms[:, :-1]] = len(self.vocabulary)
+            bounds = np.where(terms < len(self.vocabulary), bounds, 0)
+            may = bounds.sum(axis=1, dtype=np.float64) >= limit - 1e-5
+            w, terms = w[may], terms[may]
+            blocks = group.padded[group.slot[terms]].sum(axis=1, dtype=np.float64)
+            left += w[(blocks >= limit - 1e-5).any(axis=1)].tolist()
+        return left
+
     def _passage(self, group: Group, row: int, term: np.ndarray, hashes: np.ndarray, limit: float, best: dict) -> None:
         slots = np.unique(group.slot[term])
         slots = slots[slots >= 0]

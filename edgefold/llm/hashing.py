@@ -12,6 +12,7 @@ from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 
 PIECE = 2_000_000
 _BASE = np.uint64(0x9E3779B97F4A7C15)
@@ -41,7 +42,7 @@ def _powers(size: int) -> tuple[np.ndarray, np.ndarray]:
 
 def pieces(column: pa.Array) -> Iterator[tuple[int, np.ndarray, np.ndarray]]:
     """(first row, bytes, row bounds in them) for runs of rows; null rows are empty."""
-    column = pa.compute.fill_null(column.cast(pa.large_string()), "")
+    column = pc.fill_null(column.cast(pa.large_string()), "")
     bounds = np.frombuffer(column.buffers()[1], np.int64)[column.offset : column.offset + len(column) + 1]
     data = np.frombuffer(column.buffers()[2] or b"", np.uint8)
     group = (bounds[:-1] - bounds[0]) // PIECE if len(column) else np.zeros(0, dtype=np.int64)

@@ -24,6 +24,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -34,7 +35,7 @@ MEMO_ENTRIES = 1_000_000
 
 def blocks(column: pa.Array, most_bytes: int = BLOCK_BYTES) -> Iterator[tuple[int, list[str]]]:
     """Runs of texts of about ``most_bytes``: (row of the first, texts); nulls become ''."""
-    lengths = np.asarray(pa.compute.fill_null(pa.compute.binary_length(column), 0), dtype=np.int64)
+    lengths = np.asarray(pc.fill_null(pc.binary_length(column), 0), dtype=np.int64)
     group = (np.cumsum(lengths) - lengths) // most_bytes
     edges = [*np.flatnonzero(np.diff(group, prepend=-1)), len(lengths)]
     for first, end in zip(edges[:-1], edges[1:]):
@@ -88,7 +89,7 @@ def count_tokens(docs: DataFrame, tokenizer_path: str, id_col: str = "doc_id", t
             text = batch.column("text")
             tokens = [counter.count(texts) for _, texts in blocks(text)]
             n = np.concatenate([*tokens, np.zeros(0, dtype=np.int64)])
-            size = pa.compute.fill_null(pa.compute.binary_length(text), 0).cast(pa.int64())
+            size = pc.fill_null(pc.binary_length(text), 0).cast(pa.int64())
             yield pa.RecordBatch.from_arrays([batch.column("id"), size, pa.array(n, pa.int64()), pa.array(n > limit)], ["id", "n_bytes", "n_tokens", "over_limit"])
 
     counted = source.mapInArrow(run, f"id {id_type}, n_bytes long, n_tokens long, over_limit boolean")
