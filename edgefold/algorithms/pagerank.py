@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 from ..graph.model import PropertyGraph
 from ..model.algebra import SUM
 from ..model.program import ALL, ANY_MESSAGE, VertexProgram
-from ..model.superstep import RunResult, Strategy, flat, run
+from ..model.superstep import RunResult, Strategy, flat, no_premerge, run
 
 UNIT = 1_000_000_000
 
@@ -24,7 +24,7 @@ def rank_program(arithmetic: str = "scaled", damping: int = 85, wake: str = ALL,
         emit = lambda out, edge: out / edge("_degree")
         settle = lambda old, acc: F.lit((100 - damping) / 100) + F.lit(damping / 100) * F.coalesce(acc, F.lit(0.0))
         first = F.lit(float(init))
-    return VertexProgram(name=f"pagerank-{arithmetic}", result=first, outgoing=lambda r: r, emit=emit, fold=SUM, settle=settle, wake=wake)
+    return VertexProgram(name=f"pagerank-{arithmetic}", result=first, outgoing=lambda r: r, emit=emit, fold=SUM, settle=settle, wake=wake, reads_result=False)
 
 
 def with_degrees(g: PropertyGraph) -> DataFrame:
@@ -33,10 +33,12 @@ def with_degrees(g: PropertyGraph) -> DataFrame:
     return g.edges.select("src", "dst").join(degrees, "src")
 
 
-def pagerank_run(g: PropertyGraph, iterations: int = 10, arithmetic: str = "double", strategy: Strategy = flat, damping: int = 85, wake: str = ALL, init: float = 1.0, on_step=None) -> RunResult:
+def pagerank_run(g: PropertyGraph, iterations: int = 10, arithmetic: str = "double", strategy: Strategy = flat, damping: int = 85, wake: str = ALL, init: float = 1.0, on_step=None, write_every: int | None = None) -> RunResult:
+    """Run and keep the trace. State is written every 5 steps where a step reads it once, else every step."""
+    write_every = write_every or (5 if strategy in (flat, no_premerge) else 1)
     edges = PropertyGraph(g.vertices, with_degrees(g)).resident().edges
     try:
-        return run(edges, g.vertices, rank_program(arithmetic, damping, wake, init), iterations, strategy, on_step=on_step, fixed=True)
+        return run(edges, g.vertices, rank_program(arithmetic, damping, wake, init), iterations, strategy, on_step=on_step, fixed=True, write_every=write_every)
     finally:
         edges.unpersist()
 

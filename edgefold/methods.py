@@ -482,6 +482,10 @@ def sql_reachability(spark: SparkSession, sf: str) -> DataFrame:
         SELECT DISTINCT id FROM walk""")
 
 
+def cosine_knn16(spark: SparkSession, sf: str) -> DataFrame:
+    return build.knn(spark, sf).edges
+
+
 def knn_degrees(spark: SparkSession, sf: str) -> DataFrame:
     """(out_degree, n): every vector has 16 neighbours."""
     return build.knn(spark, sf).out_degrees().groupBy("out_degree").agg(F.count("*").alias("n"))
@@ -567,5 +571,6 @@ QUERIES = {
     "degree_profile": degree_profiles,
     "engine_axes": engine_axes,
     "sql_reachability": sql_reachability,
+    "cosine_knn16": cosine_knn16,
     "knn_degrees": knn_degrees,
 }

@@ -25,6 +25,7 @@ class VertexProgram:
     * ``rearm(old, new)``: whether the vertex emits again; ``retire``: whether emitting stops it otherwise.
     * ``wake``: settle vertices that got a message, or all of them (acc is null without messages).
     * ``edge_update``: new values of edge columns, computed as a message passes.
+    * ``reads_result``: false if ``settle`` looks at the accumulator only.
     * ``needs_target``: the message function reads the target's result, which proxies don't hold.
     """
 

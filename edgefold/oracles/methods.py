@@ -145,6 +145,7 @@ SELECT sum(n)::BIGINT AS emitted, coalesce(sum(n) FILTER (pid = home), 0)::BIGIN
     "fold_collisions": f"WITH {ctes('handoff')} SELECT count(*) AS messages, count(DISTINCT dst) AS targets FROM e",
     "degree_profile": _profile(),
     "sql_reachability": reach("handoff_strong") + " SELECT b AS id FROM p WHERE a = 0",
+    "cosine_knn16": "SELECT src, dst FROM (SELECT a.vec_id AS src, b.vec_id AS dst, row_number() OVER (PARTITION BY a.vec_id ORDER BY round(list_cosine_similarity(a.embedding::DOUBLE[], b.embedding::DOUBLE[]), 9) DESC, b.vec_id) AS k FROM embeddings a JOIN embeddings b ON a.vec_id <> b.vec_id) WHERE k <= 16",
     "knn_degrees": "SELECT 16 AS out_degree, count(*) AS n FROM embeddings",
     **{n: ZERO for n in ("sssp_triangle_violations", "bipartite_matching_violations", "matching_maximal_violations", "colouring_violations", "weighted_matching_violations", "min_proxy_violations", "proxy_bound_violations", "proxy_direction_violations", "greedy_guarded_balance_violations")},
 }
