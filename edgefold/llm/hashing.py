@@ -81,7 +81,7 @@ def shingles(hashes: np.ndarray, rows: np.ndarray, n_rows: int, k: int) -> tuple
     first = np.concatenate([[0], np.cumsum(per_row)])
     sums = np.zeros(max(0, len(hashes) - k + 1), dtype=np.uint64)
     for j in range(k):
-        sums += mixed(hashes[j : len(hashes) - k + 1 + j] * _SHIFTS[j]) * _SHIFTS[32 + j]
+        sums += mixed(hashes[j : j + len(sums)] * _SHIFTS[j]) * _SHIFTS[32 + j]
     inside = rows[: len(sums)] == rows[k - 1 :] if len(sums) else np.zeros(0, dtype=bool)
     full, full_rows = mixed(sums[inside]), rows[: len(sums)][inside]
     short = np.flatnonzero((per_row > 0) & (per_row < k))

@@ -11,10 +11,10 @@ Equal sets are one class, represented by their smallest id; only representatives
 1. *Tiles.* A fine point of M blocks of coordinates, M > D: at most D blocks can differ, so every linked
    pair has a block whose counts are equal - one tile holds both. M depends on the size, so sizes are cut
    into scales; a document goes into its own scale and, where a larger one may link to it, the next.
-   Blocks without shingles make tiles only for documents that have too few others (see ``tile_keys``).
+   Blocks with one shingle or none make tiles only for documents with too few others (see ``tile_keys``).
 2. *Stars.* Every member of a tile is compared with the tile's smallest member: bound first, then the sets.
    Links found so far give components. Most groups of near copies are connected after this.
-3. *Trees.* Tiles that still hold several components get an R-tree over their members' coarse points. A
+3. *Trees.* Tiles whose other members are of several components get an R-tree over their points. A
    search descends only where the sum of minima with a box's upper corner reaches the need and the box
    holds another component; pairs it returns are verified. Links of both steps give the components.
 
@@ -33,7 +33,6 @@ from __future__ import annotations
 from collections.abc import Iterator
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 from pyspark import TaskContext
 from pyspark.sql import DataFrame, Window
@@ -43,9 +42,11 @@ from ..algorithms.contract import contract_components
 from ..runtime.scratch import save
 from .hashing import mixed, pieces, shingles, words
 
-GROUPS, CELLS, SLACK, FANOUT = 64, 16, 2, 16
-#: Most members of a tile that one task compares, and most ids that are broadcast.
-UNIT, BROADCAST_IDS = 4096, 500_000
+LEAST_GROUPS, MOST_GROUPS, CELLS, FANOUT = 64, 65536, 16, 16
+#: Blocks of at most so many shingles are light.
+LIGHT = 1
+#: Most members of a tile that one task compares, most ids or pairs that are broadcast, and most counts of points held at once.
+UNIT, BROADCAST_IDS, CELLS_AT_ONCE = 4096, 500_000, 4_000_000
 
 
 def scales(percent: int, most: int = 2**40) -> np.ndarray:
@@ -66,12 +67,34 @@ def needed(percent: int, a: np.ndarray, b: np.ndarray) -> np.ndarray:
     return -(-percent * (a + b) // (100 + percent))
 
 
+def dimensions(sizes: np.ndarray) -> np.ndarray:
+    """Groups of a point: a power of two, two shingles a group on average.
+
+    Fewer groups would let the minima of unlike long documents add up to the need. A point folds to half
+    as many groups by adding its halves, so points of different sizes compare at the smaller of the two.
+    """
+    wanted = 1 << np.ceil(np.log2(np.maximum(sizes, 2) / 2)).astype(np.int64)
+    return np.clip(wanted, LEAST_GROUPS, MOST_GROUPS)
+
+
+def slack(most: np.ndarray, top: np.ndarray) -> np.ndarray:
+    """Blocks beyond D + 1: about as many as a row of the scale has light ones, so that few rows need those.
+
+    Light blocks make poor tiles: one frequent shingle alone would bring unlike documents together. Any
+    slack is right; this one is cheap.
+    """
+    blocks = most + 3
+    load = 0.8 * top / blocks
+    return 2 + np.ceil(1.3 * np.exp(-load) * (1 + load) * blocks).astype(np.int64)
+
+
 def tile_keys(hashes: np.ndarray, sizes: np.ndarray, percent: int, tops: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """(row, key) of all tiles of rows whose sorted shingle hashes are concatenated.
 
-    With M = D + 1 + SLACK blocks at least SLACK + 1 blocks of a linked pair are equal. If a row has at most
-    SLACK empty blocks, one of the equal ones isn't empty, so the full blocks are its tiles; otherwise its
-    empty blocks are tiles as well, and the pair meets in one of these if only empty blocks are equal.
+    With M = D + 1 + slack blocks at least slack + 1 blocks of a linked pair are equal. Heavy blocks are
+    always tiles. They are enough if either row has at most slack light ones, since one of the equal blocks is
+    heavy then. Rows with more add their blocks of one shingle, and rows with more than slack empty
+    blocks add these too: a pair that shares only such blocks has rows that both add them.
     """
     first = np.concatenate([[0], np.cumsum(sizes)])
     own = np.searchsorted(tops, sizes)
@@ -86,7 +109,8 @@ def tile_keys(hashes: np.ndarray, sizes: np.ndarray, percent: int, tops: np.ndar
         rows = np.flatnonzero(reach)
         if not len(rows):
             continue
-        blocks = most[rows] + 1 + SLACK
+        spare = slack(most[rows], top[rows])
+        blocks = most[rows] + 1 + spare
         count = sizes[rows]
         of = np.repeat(np.arange(len(rows)), count)
         index = np.arange(count.sum()) - np.repeat(np.cumsum(count) - count, count) + np.repeat(first[rows], count)
@@ -97,10 +121,14 @@ def tile_keys(hashes: np.ndarray, sizes: np.ndarray, percent: int, tops: np.ndar
         base = (np.cumsum(blocks) - blocks)[of] + block.astype(np.int64)
         starts = np.flatnonzero(np.diff(base, prepend=-1))
         cells = mixed((h & np.uint64((1 << CELLS) - 1)) + salt + (block << np.uint64(20)))
-        out_key.append(mixed(np.add.reduceat(cells, starts)))
-        out_row.append(rows[of[starts]])
-        filled = np.bincount(of[starts], minlength=len(rows))
-        for i in np.flatnonzero(blocks - filled > SLACK):
+        keys, owner = mixed(np.add.reduceat(cells, starts)), of[starts]
+        heavy = np.diff(np.append(starts, len(h))) > LIGHT
+        many = blocks - np.bincount(owner[heavy], minlength=len(rows)) > spare
+        bare = blocks - np.bincount(owner, minlength=len(rows)) > spare
+        used_tiles = heavy | many[owner]
+        out_key.append(keys[used_tiles])
+        out_row.append(rows[owner[used_tiles]])
+        for i in np.flatnonzero(bare):
             used = np.unique(block[of == i])
             empty = np.setdiff1d(np.arange(blocks[i], dtype=np.uint64), used)
             out_key.append(mixed(mixed((empty << np.uint64(20)) + np.uint64(scale[rows[i]])) ^ np.uint64(0x5BD1E995)))
@@ -131,20 +159,32 @@ def point_table(docs: DataFrame, k: int, percent: int) -> DataFrame:
                 at = np.concatenate([[0], np.cumsum(sizes)])
                 sums = [np.concatenate([[np.uint64(0)], np.cumsum(mixed(h + c))]) for c in (np.uint64(1), np.uint64(2))]
                 s1, s2 = ((x[at[1:]] - x[at[:-1]]).view(np.int64) for x in sums)
-                cell = rows * GROUPS + (h & np.uint64(GROUPS - 1)).astype(np.int64)
-                point = np.bincount(cell, minlength=n * GROUPS).astype("<u4").reshape(n, GROUPS)
+                groups = dimensions(sizes)
+                base = np.concatenate([[0], np.cumsum(groups)])
+                cell = base[rows] + (h & (groups[rows] - 1).astype(np.uint64)).astype(np.int64)
+                counts = np.bincount(cell, minlength=base[-1])
+                points = [packed(counts[x:y]) for x, y in zip(base[:-1].tolist(), base[1:].tolist())]
                 row, key = tile_keys(h, sizes, percent, tops)
                 order = np.argsort(row, kind="stable")
                 offsets = np.searchsorted(row[order], np.arange(n + 1)).astype(np.int32)
                 keys = pa.ListArray.from_arrays(pa.array(offsets), pa.array(key[order].view(np.int64)))
-                points = pa.array([p.astype("<u2").tobytes() if p.max(initial=0) < 65536 else p.tobytes() for p in point], pa.binary())
-                yield pa.RecordBatch.from_arrays([batch.column("id").slice(first, n), pa.array(np.arange(number - n, number)), pa.array(sizes.astype(np.int64)), pa.array(s1), pa.array(s2), points, keys], ["id", "row", "n", "s1", "s2", "point", "keys"])
+                yield pa.RecordBatch.from_arrays([batch.column("id").slice(first, n), pa.array(np.arange(number - n, number)), pa.array(sizes.astype(np.int64)), pa.array(s1), pa.array(s2), pa.array(points, pa.binary()), keys], ["id", "row", "n", "s1", "s2", "point", "keys"])
 
     return docs.mapInArrow(run, f"id {id_type}, row long, n long, s1 long, s2 long, point binary, keys array<long>")
 
 
-def unpacked(points: list[bytes]) -> np.ndarray:
-    return np.stack([np.frombuffer(p, "<u2" if len(p) == 2 * GROUPS else "<u4") for p in points]).astype(np.int64)
+def packed(counts: np.ndarray) -> bytes:
+    """Counts as bytes, in one byte each where they fit, else in four."""
+    return counts.astype(np.uint8 if counts.max(initial=0) < 256 else "<u4").tobytes()
+
+
+def unpacked(points: list[bytes], sizes: np.ndarray, groups: int) -> np.ndarray:
+    """Counts of points folded to ``groups``; a point's own number of groups follows from its set's size."""
+    out = np.zeros((len(points), groups), dtype=np.uint32)
+    for i, (p, own) in enumerate(zip(points, dimensions(sizes).tolist())):
+        counts = np.frombuffer(p, np.uint8 if len(p) == own else "<u4")
+        out[i] = counts if own == groups else counts.reshape(-1, groups).sum(axis=0)
+    return out
 
 
 def within_bound(pairs: DataFrame, percent: int) -> DataFrame:
@@ -154,19 +194,31 @@ def within_bound(pairs: DataFrame, percent: int) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             if batch.num_rows:
-                left, right = (unpacked(batch.column(c).to_pylist()) for c in ("pa", "pb"))
                 na, nb = (np.asarray(batch.column(c)) for c in ("na", "nb"))
-                may = np.minimum(left, right).sum(axis=1) >= needed(percent, na, nb)
+                groups, may = np.minimum(dimensions(na), dimensions(nb)), np.zeros(batch.num_rows, dtype=bool)
+                for g in np.unique(groups).tolist():
+                    at = np.flatnonzero(groups == g)
+                    for first in range(0, len(at), max(1, CELLS_AT_ONCE // g)):
+                        some = at[first : first + max(1, CELLS_AT_ONCE // g)]
+                        left, right = (unpacked(batch.column(c).take(pa.array(some)).to_pylist(), n[some], g) for c, n in (("pa", na), ("pb", nb)))
+                        may[some] = np.minimum(left, right).sum(axis=1) >= needed(percent, na[some], nb[some])
                 yield batch.select(["a", "b"]).filter(pa.array(may))
 
     return pairs.mapInArrow(run, f"a {id_type}, b {id_type}")
 
 
 def verified(pairs: DataFrame, docs: DataFrame, k: int, percent: int) -> DataFrame:
-    """The pairs (a, b) of ids whose texts link; both texts are joined to every pair."""
+    """The pairs (a, b) of ids whose texts link; ``pairs`` is a written table.
+
+    A text goes once to each of its pairs' first members and each of these once to its pairs. A first
+    member with very many pairs is an ordinary skewed join, which may be split.
+    """
     id_type = pairs.schema["a"].dataType.simpleString()
-    with_b = pairs.join(docs.select(F.col("id").alias("b"), F.col("text").alias("tb")), "b")
-    both = with_b.join(docs.select(F.col("id").alias("a"), F.col("text").alias("ta")), "a").select("a", "b", "ta", "tb")
+    small = pairs.count() <= BROADCAST_IDS
+    few = F.broadcast if small else lambda df: df
+    seconds = docs.select(F.col("id").alias("b"), F.col("text").alias("tb")).join(few(pairs), "b")
+    firsts = docs.select(F.col("id").alias("a"), F.col("text").alias("ta")).join(few(pairs.select("a").distinct()), "a", "left_semi")
+    both = seconds.hint("merge").join(firsts, "a").select("a", "b", "ta", "tb")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         last_text, last_set = None, None
@@ -211,28 +263,85 @@ class CountTree:
         return self.order[nodes]
 
 
+def tile_pairs(points: list[bytes], sizes: np.ndarray, components: np.ndarray, starts: np.ndarray, percent: int) -> tuple[np.ndarray, np.ndarray]:
+    """Rows (i, j) of different components that the bound lets link, within tiles that begin at ``starts``.
+
+    A tile of at most ``FANOUT`` members is a single leaf; leaves of one size are compared together. A
+    larger one gets a tree. The points of a tile compare at its smallest number of groups.
+    """
+    counts = np.diff(np.append(starts, len(sizes)))
+    groups = np.minimum.reduceat(dimensions(sizes), starts)
+    left, right = [np.zeros(0, dtype=np.int64)], [np.zeros(0, dtype=np.int64)]
+
+    def leaves(of: np.ndarray, m: int, g: int) -> None:
+        rows = (of[:, None] + np.arange(m)).ravel()
+        held = unpacked([points[r] for r in rows.tolist()], sizes[rows], g).reshape(len(of), m, g)
+        for i in range(m):
+            for j in range(i + 1, m):
+                a, b = of + i, of + j
+                may = (components[a] != components[b]) & (np.minimum(held[:, i], held[:, j]).sum(axis=1) >= needed(percent, sizes[a], sizes[b]))
+                left.append(a[may]), right.append(b[may])
+
+    def tree(s: int, m: int, g: int) -> None:
+        held = unpacked(points[s : s + m], sizes[s : s + m], g)
+        index = CountTree(held, sizes[s : s + m], components[s : s + m])
+        for i in range(m):
+            hits = index.search(held[i], sizes[s + i], components[s + i], percent)
+            hits = hits[hits > i]
+            left.append(np.full(len(hits), s + i)), right.append(s + hits)
+
+    for m, g in np.unique(np.stack([counts, groups], axis=1), axis=0).tolist():
+        of = starts[(counts == m) & (groups == g)]
+        if m > FANOUT:
+            for s in of.tolist():
+                tree(s, m, g)
+            continue
+        step = max(1, CELLS_AT_ONCE // (m * g))
+        for first in range(0, len(of), step):
+            leaves(of[first : first + step], m, g)
+    return np.concatenate(left), np.concatenate(right)
+
+
 def tree_pairs(members: DataFrame, percent: int) -> DataFrame:
-    """Pairs (a, b), a < b, of different components within each tile, from an R-tree per tile.
+    """Pairs (a, b), a < b, of different components within each tile, by the bound on their points.
 
-    ``members`` has (key, node, component, n, point, size), size being the tile's. A task holds one tile of
-    at most ``UNIT`` members; a larger one is dealt into chunks, and every two chunks meet in one task.
+    ``members`` has (key, node, component, n, point, size), size being the tile's. A task holds a batch of
+    rows and the tile that the batch ends in, of at most ``UNIT`` members for each of two chunks; a larger
+    tile is dealt into chunks, and every two chunks meet in one task.
     """
     id_type = members.schema["node"].dataType.simpleString()
+    tile = ["key", "x", "y"]
+
+    def searched(rows: pa.Table) -> pa.RecordBatch:
+        columns = [np.asarray(rows.column(c).combine_chunks()) for c in (*tile, "node", "component", "n")]
+        fresh = np.ones(len(rows), dtype=bool)
+        fresh[1:] = np.any([c[1:] != c[:-1] for c in columns[:3]], axis=0)
+        node, component, n = columns[3:]
+        i, j = tile_pairs(rows.column("point").to_pylist(), n, component, np.flatnonzero(fresh), percent)
+        ends = np.sort(np.stack([node[i], node[j]]), axis=0)
+        ends = ends[:, ends[0] != ends[1]]
+        return pa.RecordBatch.from_arrays([pa.array(ends[0]), pa.array(ends[1])], ["a", "b"])
 
-    def run(tile: pd.DataFrame) -> pd.DataFrame:
-        points, sizes = unpacked(tile["point"].tolist()), tile["n"].to_numpy()
-        nodes, components = tile["node"].to_numpy(), tile["component"].to_numpy()
-        tree, a, b = CountTree(points, sizes, components), [], []
-        for i in range(len(tile)):
-            hits = nodes[tree.search(points[i], sizes[i], components[i], percent)]
-            hits = hits[hits > nodes[i]]
-            a.append(np.full(len(hits), nodes[i])), b.append(hits)
-        return pd.DataFrame({"a": np.concatenate(a), "b": np.concatenate(b)})
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: pa.Table | None = None
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            rows = pa.Table.from_batches([batch])
+            rows = rows if held is None else pa.concat_tables([held, rows])
+            last = np.all([np.asarray(rows.column(c).combine_chunks()) == rows.column(c)[-1].as_py() for c in tile], axis=0)
+            cut = int(np.argmax(last))
+            held = rows.slice(cut)
+            if cut:
+                yield searched(rows.slice(0, cut))
+        if held is not None:
+            yield searched(held)
 
     chunks = F.ceil(F.col("size") / UNIT).cast("int")
     dealt = members.withColumn("own", F.pmod(F.xxhash64("node"), chunks).cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0), chunks - 1)))
     units = dealt.select("key", F.least("own", "other").alias("x"), F.greatest("own", "other").alias("y"), "node", "component", "n", "point")
-    return units.groupBy("key", "x", "y").applyInPandas(run, f"a {id_type}, b {id_type}").distinct()
+    together = units.repartition(*tile).sortWithinPartitions(*tile)
+    return together.mapInArrow(run, f"a {id_type}, b {id_type}").distinct()
 
 
 def join_components(documents: DataFrame, k: int = 5, percent: int = 80, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -261,10 +370,10 @@ def join_components(documents: DataFrame, k: int = 5, percent: int = 80, id_col:
     star_links = save(verified(star_pairs, texts, k, percent), "star-links")
     near = save(contract_components(star_links, "a", "b"), "near").select(F.col("id").alias("node"), F.col("label"))
 
-    labelled = met.join(near, "node", "left").select("key", "node", F.coalesce("label", "node").alias("component"))
+    labelled = met.where("hub < node").join(near, "node", "left").select("key", "node", F.coalesce("label", "node").alias("component"))
     mixed_tiles = labelled.select("key", "node", "component", F.min("component").over(tile).alias("lo"), F.max("component").over(tile).alias("hi"), F.count("*").over(tile).alias("size")).where("lo < hi")
     members = mixed_tiles.select("key", "node", "component", "size").join(points, "node")
-    rest = tree_pairs(members, percent).join(stars, ["a", "b"], "left_anti")
+    rest = tree_pairs(members, percent)
     tree_links = save(verified(save(rest, "tree-pairs"), texts, k, percent), "tree-links")
 
     same_id = named.select("id", "s1", "s2").join(classes.select("s1", "s2", F.col("id").alias("rep")), ["s1", "s2"]).where("id <> rep").select(F.col("id").alias("a"), F.col("rep").alias("b")).distinct()

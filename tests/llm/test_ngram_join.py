@@ -112,15 +112,43 @@ def test_words_match_the_pattern():
     assert count == len(texts) and len(set(same.values())) == len(same)
 
 
-def test_tree_returns_all_pairs_within_the_bound():
-    rng = np.random.default_rng(2)
-    points = rng.poisson(3, (300, ngram_join.GROUPS))
-    points[150:] = np.maximum(0, points[:150] + rng.integers(-1, 2, (150, ngram_join.GROUPS)) * (rng.random((150, ngram_join.GROUPS)) < 0.1))
-    sizes, components = points.sum(axis=1), np.arange(300)
-    tree = ngram_join.CountTree(points, sizes, components)
-    for i in range(300):
-        want = {j for j in range(300) if j != i and np.minimum(points[i], points[j]).sum() >= ngram_join.needed(80, sizes[i], sizes[j])}
-        assert set(tree.search(points[i], sizes[i], i, 80).tolist()) == want
+def sized_points(seed, count, low, high):
+    """Sets of hashes, as near copies in pairs, with their packed points."""
+    rng = np.random.default_rng(seed)
+    sets = []
+    for _ in range(count // 2):
+        a = np.unique(rng.integers(0, 2**64, rng.integers(low, high), dtype=np.uint64))
+        b = np.unique(np.concatenate([a[: int(len(a) * rng.uniform(0.8, 1))], rng.integers(0, 2**64, 2, dtype=np.uint64)]))
+        sets += [a, b]
+    sizes = np.array([len(s) for s in sets])
+    groups = ngram_join.dimensions(sizes)
+    points = [ngram_join.packed(np.bincount((s & np.uint64(g - 1)).astype(np.int64), minlength=g)) for s, g in zip(sets, groups.tolist())]
+    return sets, sizes, points
+
+
+def test_bounds_hold_at_any_number_of_groups():
+    sets, sizes, points = sized_points(2, 60, 4, 900)
+    for i in range(60):
+        for j in range(60):
+            shared = len(np.intersect1d(sets[i], sets[j]))
+            for g in (64, int(min(ngram_join.dimensions(sizes[[i, j]])))):
+                a, b = ngram_join.unpacked([points[i], points[j]], sizes[[i, j]], g)
+                assert a.sum() == sizes[i] and np.minimum(a, b).sum() >= shared
+
+
+@pytest.mark.parametrize("fanout", [2, 16, 1000])
+def test_tiles_return_all_pairs_within_the_bound(fanout, monkeypatch):
+    monkeypatch.setattr(ngram_join, "FANOUT", fanout)
+    _, sizes, points = sized_points(3, 200, 20, 60)
+    components, starts = np.arange(200) // 3, np.array([0, 1, 4, 20, 150])
+    got = {tuple(p) for p in zip(*(x.tolist() for x in ngram_join.tile_pairs(points, sizes, components, starts, 80)))}
+    held, want = ngram_join.unpacked(points, sizes, 64), set()
+    for s, e in zip(starts, [*starts[1:], 200]):
+        for i in range(s, e):
+            for j in range(i + 1, e):
+                if components[i] != components[j] and np.minimum(held[i], held[j]).sum() >= ngram_join.needed(80, sizes[i], sizes[j]):
+                    want.add((i, j))
+    assert got == want
 
 
 def test_linked_pairs_share_a_tile():
@@ -137,3 +165,23 @@ def test_linked_pairs_share_a_tile():
             shared = len(np.intersect1d(a, b))
             if len(a) + len(b) > 2 * shared and 100 * shared >= 80 * (len(a) + len(b) - shared):
                 assert keys[0] & keys[1]
+
+
+def test_tables_of_few_words(spark):
+    """Fewer words in all than a shingle has, in one task."""
+    for rows in ([(1, "a")], [(1, "a b"), (2, "A B"), (3, None)], [(1, "a b c"), (2, "d")]):
+        assert joined(spark, rows, 5, 80) == brute(rows, 5, 80)
+
+
+def test_random_linked_pairs_share_a_tile():
+    rng = np.random.default_rng(11)
+    for percent in (80, 90):
+        tops = ngram_join.scales(percent)
+        for i in range(1500):
+            whole = np.unique(rng.integers(0, 2**64, rng.integers(2, 120 if i % 3 else 24), dtype=np.uint64))
+            gone = rng.permutation(len(whole))[: rng.integers(0, (100 - percent) * len(whole) // 100 + 1)]
+            cut = rng.integers(0, len(gone) + 1)
+            a, b = np.delete(whole, gone[:cut]), np.delete(whole, gone[cut:])
+            if len(gone):
+                first, second = (set(ngram_join.tile_keys(x, np.array([len(x)]), percent, tops)[1].tolist()) for x in (a, b))
+                assert first & second
