@@ -41,13 +41,15 @@ def save(df: DataFrame, name: str) -> DataFrame:
     spark = df.sparkSession
     path = new_path(spark, name)
     df.write.option("compression", "zstd").parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    written = spark.read.schema(df.schema).parquet(path)
+    written._scratch_path = path
+    return written
 
 
 def drop(spark: SparkSession, *frames: DataFrame) -> None:
     """Delete the files behind frames made by :func:`save` once nothing needs them."""
     jvm = spark.sparkContext._jvm
     for frame in frames:
-        for file in frame.inputFiles()[:1]:
-            where = jvm.org.apache.hadoop.fs.Path(file).getParent()
+        if path := vars(frame).get("_scratch_path"):
+            where = jvm.org.apache.hadoop.fs.Path(path)
             where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(where, True)

@@ -12,6 +12,7 @@ from edgefold.graph.rmat import rmat
 from edgefold.model.superstep import run
 from edgefold.runtime import metrics, wire
 from edgefold.runtime.checkpoint import Checkpointer, checkpoint_stats
+from edgefold.runtime.scratch import drop, save
 from edgefold.streaming.graphs import GrowingComponents
 
 
@@ -78,6 +79,27 @@ def test_layouts_round_trip(spark, small, tmp_path):
     assert sorted(map(tuple, io.load_graph(spark, f"file://{tmp_path}/parts").edges.select("src", "dst", "w").collect())) == want
 
 
+def test_bucketed_tables_join_without_exchange(spark, small):
+    g = build.trade(spark, small)
+    io.save_graph(g, "trade_test", "bucketed", parts=4)
+    try:
+        again = io.load_graph(spark, "trade_test", "bucketed")
+        assert again.edges.count() == g.edges.count() and again.vertices.count() == g.vertices.count()
+        joined = again.edges.hint("merge").join(again.vertices.withColumnRenamed("id", "src"), "src")
+        assert "hashpartitioning" not in joined._jdf.queryExecution().executedPlan().toString()
+    finally:
+        spark.sql("DROP TABLE IF EXISTS trade_test_edges")
+        spark.sql("DROP TABLE IF EXISTS trade_test_vertices")
+
+
+def test_scratch_tables_are_dropped(spark):
+    kept, gone = save(spark.range(3), "kept"), save(spark.range(3), "gone")
+    drop(spark, gone, spark.range(1))
+    assert kept.count() == 3
+    with pytest.raises(Exception, match="(?i)not exist|FileNotFound|FILE_NOT_EXIST"):
+        gone.count()
+
+
 def test_no_edge_exchange_inside_the_loop(spark, small):
     """Resident edges aren't shuffled again, and messages merge before they are."""
     from edgefold.model.program import seed
