@@ -32,7 +32,6 @@ from functools import reduce
 
 import numpy as np
 import pyarrow as pa
-import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -44,13 +43,9 @@ GRAM, BLOCK, SUPER, SHARD = 3, 16, 6, 1024
 SENTENCE = re.compile(r"(?<=[.!?])\s+|\n+")
 
 
-def lowered(column: pa.Array) -> pa.Array:
-    return pc.utf8_lower(pc.fill_null(column.cast(pa.large_string()), ""))
-
-
 def word_hashes(texts: list[str]) -> list[np.ndarray]:
     out = [np.zeros(0, dtype=np.uint64)] * len(texts)
-    for first, data, bounds in pieces(lowered(pa.array(texts, pa.large_string()))):
+    for first, data, bounds in pieces(pa.array(texts, pa.large_string()), lowered=True):
         hashes, rows, _, _ = words(data, bounds, PUNCTUATION)
         for r in range(len(bounds) - 1):
             out[first + r] = hashes[np.searchsorted(rows, r) : np.searchsorted(rows, r + 1)]
@@ -216,8 +211,7 @@ def contaminated(
             index = shared.value
             item_kind = pa.array(index.ids).type if any(i is not None for i in index.ids) else pa.int64()
             for batch in batches:
-                text = lowered(batch.column("text"))
-                for first, data, bounds in pieces(text):
+                for first, data, bounds in pieces(batch.column("text"), lowered=True):
                     hashes, rows, _, _ = words(data, bounds, PUNCTUATION)
                     hits = index.search(hashes, rows, len(bounds) - 1, limit)
                     if hits:

@@ -14,7 +14,7 @@ import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
 
-PIECE = 2_000_000
+PIECE = 1_000_000
 _BASE = np.uint64(0x9E3779B97F4A7C15)
 _rng = np.random.Generator(np.random.PCG64(20240117))
 _BYTE = _rng.integers(1, 2**63, 256, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
@@ -40,15 +40,17 @@ def _powers(size: int) -> tuple[np.ndarray, np.ndarray]:
     return tuple(np.cumprod(np.concatenate([[np.uint64(1)], np.full(size - 1, b, dtype=np.uint64)])) for b in (_BASE, inverse))
 
 
-def pieces(column: pa.Array) -> Iterator[tuple[int, np.ndarray, np.ndarray]]:
-    """(first row, bytes, row bounds in them) for runs of rows; null rows are empty."""
-    column = pc.fill_null(column.cast(pa.large_string()), "")
-    bounds = np.frombuffer(column.buffers()[1], np.int64)[column.offset : column.offset + len(column) + 1]
-    data = np.frombuffer(column.buffers()[2] or b"", np.uint8)
-    group = (bounds[:-1] - bounds[0]) // PIECE if len(column) else np.zeros(0, dtype=np.int64)
+def pieces(column: pa.Array, lowered: bool = False) -> Iterator[tuple[int, np.ndarray, np.ndarray]]:
+    """(first row, bytes, row bounds in them) for runs of rows; null rows are empty. Only a run is copied at a time."""
+    sizes = np.asarray(pc.fill_null(pc.binary_length(column), 0), dtype=np.int64)
+    group = (np.cumsum(sizes) - sizes) // PIECE
     edges = [*np.flatnonzero(np.diff(group, prepend=-1)).tolist(), len(column)]
     for a, b in zip(edges[:-1], edges[1:]):
-        yield a, data[bounds[a] : bounds[b]], (bounds[a : b + 1] - bounds[a]).astype(np.int64)
+        run = pc.fill_null(column.slice(a, b - a).cast(pa.large_string()), "")
+        run = pc.utf8_lower(run) if lowered else run
+        bounds = np.frombuffer(run.buffers()[1], np.int64)[run.offset : run.offset + len(run) + 1]
+        data = np.frombuffer(run.buffers()[2] or b"", np.uint8)
+        yield a, data[bounds[0] : bounds[-1]], bounds - bounds[0]
 
 
 def words(data: np.ndarray, bounds: np.ndarray, separators: np.ndarray = SPACE) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:

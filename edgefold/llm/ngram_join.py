@@ -222,18 +222,19 @@ def verified(pairs: DataFrame, docs: DataFrame, k: int, percent: int) -> DataFra
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         last_text, last_set = None, None
-        for batch in batches:
-            texts, keep = batch.column("ta").to_pylist(), np.zeros(batch.num_rows, dtype=bool)
-            for first, h, _, sizes in sets_of(batch.column("tb"), k):
-                at = np.concatenate([[0], np.cumsum(sizes)])
-                for i, n in enumerate(sizes.tolist()):
-                    if (text := texts[first + i]) != last_text:
-                        parts = list(sets_of(pa.array([text], pa.large_string()), k))
-                        last_text, last_set = text, parts[0][1]
-                    mine = h[at[i] : at[i + 1]]
-                    shared = len(np.intersect1d(mine, last_set, assume_unique=True))
-                    keep[first + i] = shared > 0 and 100 * shared >= percent * (n + len(last_set) - shared)
-            yield batch.select(["a", "b"]).filter(pa.array(keep))
+        for whole in batches:
+            for start in range(0, whole.num_rows, 200):
+                batch = whole.slice(start, 200)
+                texts, keep = batch.column("ta"), np.zeros(batch.num_rows, dtype=bool)
+                for first, h, _, sizes in sets_of(batch.column("tb"), k):
+                    at = np.concatenate([[0], np.cumsum(sizes)])
+                    for i, n in enumerate(sizes.tolist()):
+                        if (text := texts[first + i].as_py()) != last_text:
+                            last_text, last_set = text, next(sets_of(pa.array([text], pa.large_string()), k))[1]
+                        mine = h[at[i] : at[i + 1]]
+                        shared = len(np.intersect1d(mine, last_set, assume_unique=True))
+                        keep[first + i] = shared > 0 and 100 * shared >= percent * (n + len(last_set) - shared)
+                yield batch.select(["a", "b"]).filter(pa.array(keep))
 
     return both.mapInArrow(run, f"a {id_type}, b {id_type}").distinct()
 
