@@ -386,3 +386,21 @@ def join_components(documents: DataFrame, k: int = 5, percent: int = 80, id_col:
     out = table.select("id", "n", "s1", "s2").join(labels, ["s1", "s2"], "left").join(own, "id", "left")
     component = F.when(F.col("n") == 0, F.coalesce("own", "id")).otherwise(F.least("component_id", "own"))
     return out.select(F.col("id").alias(id_col), F.col("n").alias("n_shingles"), F.when(F.col("id").isNotNull(), component).alias("component_id"))
+
+
+def oracle(k: int, percent: int) -> str:
+    """DuckDB SQL for :func:`join_components` over ``documents``: every pair that shares a shingle, counted."""
+    upper = "ABCDEFGHIJKLMNOPQRSTUVWXYZ"
+    gram = " || ' ' || ".join(f"ws[i + {j}]" for j in range(k))
+    return rf"""
+WITH RECURSIVE w AS (SELECT doc_id, list_filter(string_split_regex(translate(coalesce(text, ''), '{upper}', '{upper.lower()}'), '[\x20\x09-\x0D]+'), lambda x: x <> '') AS ws FROM documents),
+s AS MATERIALIZED (SELECT DISTINCT doc_id, g FROM (SELECT doc_id, unnest(CASE WHEN len(ws) = 0 THEN [] WHEN len(ws) < {k} THEN [array_to_string(ws, ' ')]
+  ELSE list_transform(range(1, len(ws) - {k - 2}), lambda i: {gram}) END) AS g FROM w)),
+n AS MATERIALIZED (SELECT doc_id, count(*) AS n FROM s GROUP BY doc_id),
+p AS (SELECT a.doc_id AS x, b.doc_id AS y, count(*) AS k FROM s a JOIN s b ON a.g = b.g AND a.doc_id < b.doc_id GROUP BY 1, 2),
+l AS (SELECT x, y FROM p JOIN n a ON a.doc_id = x JOIN n b ON b.doc_id = y WHERE 100 * k >= {percent} * (a.n + b.n - k)),
+e AS MATERIALIZED (SELECT x AS src, y AS dst FROM l UNION SELECT y, x FROM l),
+d(id, c) USING KEY (id) AS (SELECT doc_id, doc_id FROM documents UNION
+  SELECT t.id, min(t.c) FROM (SELECT e.dst AS id, d.c FROM d JOIN e ON e.src = d.id) t JOIN recurring.d r ON r.id = t.id WHERE t.c < r.c GROUP BY t.id)
+SELECT d.id AS doc_id, coalesce(n.n, 0)::BIGINT AS n_shingles, d.c::BIGINT AS component_id FROM d LEFT JOIN n ON n.doc_id = d.id
+"""

@@ -82,4 +82,4 @@ def queries() -> dict[str, Query]:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op1_chat_format": chat.oracle(), "op3_quality_rules": quality.oracle(), "op8_line_dedup": line_dedup.oracle()}
+    return {"op1_chat_format": chat.oracle(), "op2_ngram_join": ngram_join.oracle(3, 90), "op3_quality_rules": quality.oracle(), "op7_url_filter": url_filter.oracle(), "op8_line_dedup": line_dedup.oracle()}
