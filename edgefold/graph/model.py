@@ -74,9 +74,9 @@ class PropertyGraph:
         return self.edges.groupBy(F.col("dst").alias("id")).agg(F.count("*").alias("in_degree"))
 
     def resident(self, key: str = "src", partitions: int | None = None) -> "PropertyGraph":
-        """Edges dealt by ``key`` and kept, so that each super-step moves values and never edges."""
+        """Edges dealt and sorted by ``key`` and kept, so that each super-step neither moves nor sorts them."""
         n = partitions or int(self.spark.conf.get("spark.sql.shuffle.partitions"))
-        return PropertyGraph(self.vertices, self.edges.repartition(n, key).persist())
+        return PropertyGraph(self.vertices, self.edges.repartition(n, key).sortWithinPartitions(key).persist())
 
     def register(self, name: str) -> None:
         """Temporary views <name>_vertices and <name>_edges for SQL."""

@@ -124,3 +124,16 @@ def test_entry_gives_rows(spark):
     import __spark_entry__
 
     assert __spark_entry__.entry(spark).count() > 0
+
+
+def test_resident_edges_stay_sorted(spark, small):
+    from edgefold.model.program import seed
+    from edgefold.model.superstep import messages
+
+    g = build.handoff(spark, small)
+    edges = type(g)(g.vertices, pagerank.with_degrees(g)).resident().edges
+    edges.count()
+    program = pagerank.rank_program()
+    joined = messages(edges, seed(g.vertices, program).hint("merge"), program)
+    above = joined._jdf.queryExecution().executedPlan().toString().split("InMemoryTableScan")[0]
+    assert "SortMergeJoin" in above and "Sort [src" not in above.split("SortMergeJoin")[1]
