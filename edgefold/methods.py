@@ -246,6 +246,11 @@ def forest_weight(spark: SparkSession, sf: str) -> DataFrame:
     return _count(rounds.spanning_forest(build.copurchase(spark, sf, order_below=400)), "edges")
 
 
+def forest_weight_all(spark: SparkSession, sf: str) -> DataFrame:
+    """(edges, weight): size and weight of a minimum spanning forest of parts bought together in any order."""
+    return rounds.spanning_forest(build.copurchase(spark, sf)).agg(F.count("*").alias("edges"), F.coalesce(F.sum("w"), F.lit(0)).alias("weight"))
+
+
 def colouring_violations(spark: SparkSession, sf: str) -> DataFrame:
     g = build.handoff_strong(spark, sf)
     c = save(rounds.colouring(g), "colours")
@@ -534,6 +539,7 @@ QUERIES = {
     "matching_maximal_violations": matching_maximal_violations,
     "semi_clusters_thread": semi_clusters_thread,
     "forest_weight": forest_weight,
+    "forest_weight_all": forest_weight_all,
     "colouring_violations": colouring_violations,
     "weighted_matching_violations": weighted_matching_violations,
     "place_hash_edge_cut": place_hash_edge_cut,

@@ -196,12 +196,20 @@ def events_json_k(spark: SparkSession, sf: str) -> DataFrame:
     return e.groupBy(F.col("p.k").alias("k")).agg(F.count("*").alias("n"))
 
 
-def decimal_flow(spark: SparkSession, sf: str) -> DataFrame:
-    lines = table(spark, sf, "lineitem").where("l_orderkey < 100")
+def _decimal_flow(lines: DataFrame) -> DataFrame:
     price = F.col("l_extendedprice").cast("decimal(12,2)")
     return lines.groupBy("l_returnflag").agg(F.sum(price).cast("double").alias("total"), F.count(F.nullif("l_linestatus", F.lit("O"))).alias("closed"), F.count(F.expr("try_cast(l_returnflag AS int)")).alias("numeric"))
 
 
+def decimal_flow(spark: SparkSession, sf: str) -> DataFrame:
+    return _decimal_flow(table(spark, sf, "lineitem").where("l_orderkey < 100"))
+
+
+def decimal_flow_all(spark: SparkSession, sf: str) -> DataFrame:
+    """The sums of ``decimal_flow`` over every order."""
+    return _decimal_flow(table(spark, sf, "lineitem"))
+
+
 def edge_sample(spark: SparkSession, sf: str) -> DataFrame:
     key = F.conv(F.substring(F.md5(F.concat_ws(":", "src", "dst")), 1, 8), 16, 10).cast("long")
     return build.handoff(spark, sf).edges.where(key % 10 == 0).select("src", "dst", "w")
@@ -282,6 +290,7 @@ QUERIES = {
     "map_label_counts": (map_label_counts, "SELECT user_id, count(*) FILTER (event_type = 'click') AS clicks, count(*) AS total, count(DISTINCT event_type) AS kinds FROM events GROUP BY user_id"),
     "events_json_k": (events_json_k, "SELECT (props->>'k')::BIGINT AS k, count(*) AS n FROM events GROUP BY 1"),
     "decimal_flow": (decimal_flow, "SELECT l_returnflag, sum(l_extendedprice::DECIMAL(12,2))::DOUBLE AS total, count(nullif(l_linestatus, 'O')) AS closed, count(try_cast(l_returnflag AS INT)) AS numeric FROM lineitem WHERE l_orderkey < 100 GROUP BY 1"),
+    "decimal_flow_all": (decimal_flow_all, None),
     "edge_sample": (edge_sample, f"WITH {ctes('handoff')} SELECT src, dst, w FROM e WHERE ('0x' || substr(md5(src || ':' || dst), 1, 8))::BIGINT % 10 = 0"),
     "udf_fold_product": (udf_fold_product, f"WITH {ctes('trade')} SELECT src, round(product(1 + w / 1000), 6) AS p FROM e GROUP BY src"),
     "udtf_neighbours": (udtf_neighbours, f"WITH {ctes('trade')} SELECT src, dst FROM e"),
