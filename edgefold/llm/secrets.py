@@ -33,7 +33,9 @@ RANK = {k: i for i, k in enumerate(KINDS)}
 #: Candidates of the structural layer.
 ARMOUR = re.compile(r"-----BEGIN ([A-Z0-9 ]*)PRIVATE KEY-----([A-Za-z0-9+/=\s]+)-----END \1PRIVATE KEY-----")
 SIGNED = re.compile(r"(?<![A-Za-z0-9_-])eyJ[A-Za-z0-9_-]+\.[A-Za-z0-9_-]+\.[A-Za-z0-9_-]*")
-RUN = re.compile(r"(?<![A-Za-z0-9+/_-])(?:[A-Za-z0-9+/]{40,}|[A-Za-z0-9_-]{40,})={0,2}")
+RUN = re.compile(r"(?<![A-Za-z0-9+/_-])[A-Za-z0-9+/_-]{40,}={0,2}")
+#: A run as a whole, or as far as it keeps to one alphabet (a key may be followed by a mark of the other one).
+ALPHABETS = (RUN, re.compile(r"[A-Za-z0-9+/]{40,}={0,2}"), re.compile(r"[A-Za-z0-9_-]{40,}={0,2}"))
 HEX_RUN = re.compile(r"(?<![0-9A-Fa-f])[0-9A-Fa-f]{48,}(?![0-9A-Fa-f])")
 
 
@@ -118,8 +120,11 @@ def confirmed_spans(text: str) -> list[tuple[int, int, str]]:
         spans += [(m.start(), m.end(), "token") for m in SIGNED.finditer(text) if is_signed_token(m[0])]
     inside = lambda m: any(a <= m.start() and m.end() <= b for a, b, k in spans if k == "pem")
     for m in RUN.finditer(text):
-        if m[0][:2] in ("MI", "MH", "MC", "b3") and not inside(m) and (d := unbase64(m[0])) and is_private_key(d):
-            spans.append((m.start(), m.end(), "der"))
+        # 0x30 in front makes the first character M, whatever the length byte; OpenSSH containers begin with b3.
+        if (m[0][0] == "M" or m[0][:2] == "b3") and not inside(m):
+            held = (x for p in ALPHABETS if (x := p.match(m[0])) and (d := unbase64(x[0])) and is_private_key(d))
+            if key := next(held, None):
+                spans.append((m.start(), m.start() + key.end(), "der"))
     for m in HEX_RUN.finditer(text):
         if m[0][:2] == "30" and len(m[0]) % 2 == 0 and is_private_key(bytes.fromhex(m[0])):
             spans.append((m.start(), m.end(), "der"))
