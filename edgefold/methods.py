@@ -219,6 +219,13 @@ def betweenness_strong(spark: SparkSession, sf: str) -> DataFrame:
     return multistage.betweenness(g, g.vertices.where("id % 5 = 0")).select("id", F.round("score", 4).alias("score"))
 
 
+def betweenness_strong_all(spark: SparkSession, sf: str) -> DataFrame:
+    """(id, score) over the shortest paths from every vertex."""
+    g = build.handoff_strong(spark, sf)
+    g = PropertyGraph(save(g.vertices, "vertices"), save(g.edges, "edges"))
+    return multistage.betweenness(g, g.vertices).select("id", F.round("score", 4).alias("score"))
+
+
 def _matching(spark: SparkSession, sf: str) -> tuple[PropertyGraph, DataFrame]:
     g = build.part_supplier(spark, sf)
     return g, save(multistage.bipartite_matching(g), "matching")
@@ -535,6 +542,7 @@ QUERIES = {
     "convergence_trace": convergence_trace,
     "scc_strong": scc_strong,
     "betweenness_strong": betweenness_strong,
+    "betweenness_strong_all": betweenness_strong_all,
     "bipartite_matching_violations": bipartite_matching_violations,
     "matching_maximal_violations": matching_maximal_violations,
     "semi_clusters_thread": semi_clusters_thread,

@@ -3,6 +3,8 @@
 from decimal import Decimal
 
 from edgefold import registry
+from edgefold.graph import build
+from edgefold.graph.model import PropertyGraph
 from edgefold.reference import exact
 
 LINE = "l_orderkey long, l_partkey long, l_returnflag string, l_linestatus string, l_extendedprice double"
@@ -33,3 +35,18 @@ def test_decimal_sums_of_all_orders(spark, tmp_path):
     for flag in "AR":
         own = [r for r in rows if r[2] == flag]
         assert got[flag] == (float(sum(Decimal(str(r[4])) for r in own)), sum(r[3] != "O" for r in own), 0)
+
+
+def test_betweenness_from_every_source(spark, monkeypatch):
+    rows = [(0, 1), (1, 2), (2, 3), (3, 6), (6, 7), (1, 4), (4, 3), (7, 0)]
+    monkeypatch.setattr(build, "handoff_strong", lambda spark, sf: PropertyGraph.from_edges(spark.createDataFrame(rows, "src long, dst long")))
+    want = exact.betweenness(sorted({x for r in rows for x in r}), [(a, b, 1) for a, b in rows])
+    got = {r.id: r.score for r in registry.queries()["betweenness_strong_all"](spark, "").collect()}
+    assert got.keys() == want.keys() and all(abs(got[i] - want[i]) < 1e-3 for i in want)
+
+
+def test_frontiers_of_a_traversal(spark, monkeypatch):
+    rows = [(0, 1), (0, 3), (1, 2), (3, 2), (2, 0), (2, 7), (8, 9)]
+    monkeypatch.setattr(build, "handoff", lambda spark, sf: PropertyGraph.from_edges(spark.createDataFrame(rows, "src long, dst long")))
+    got = sorted(map(tuple, registry.queries()["frontier_edges_traversal"](spark, "").collect()))
+    assert got == [(0, 0, 1), (0, 0, 3), (1, 1, 2), (1, 3, 2), (2, 2, 0), (2, 2, 7)]
