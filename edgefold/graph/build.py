@@ -5,6 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from ..runtime.scratch import save
 from .ids import text_key, typed
 from .model import PropertyGraph
 
@@ -99,34 +100,48 @@ def copurchase(spark: SparkSession, sf_dir: str, least: int = 1, order_below: in
     return PropertyGraph.from_edges(counted.select("src", "dst", (1 + (F.col("src") * 7919 + F.col("dst") * 104729) % 1000003).alias("w")))
 
 
-def knn(spark: SparkSession, sf_dir: str, k: int = 16, block: int = 512) -> PropertyGraph:
+def knn(spark: SparkSession, sf_dir: str, k: int = 16, block: int = 512, chunk: int = 16_384) -> PropertyGraph:
     """Vector to its ``k`` nearest by cosine (ties to the smaller id), by blocks of a bounded matrix product.
 
-    The vectors are read once per task as a broadcast of checked size; beyond it, use an index.
+    Chunks of about ``chunk`` vectors are broadcast one after the other; the best of every chunk are written,
+    and the best of these are the neighbours, so any number of vectors is compared exactly.
     """
     import numpy as np
     import pandas as pd
 
     rows = table(spark, sf_dir, "embeddings").select(F.col("vec_id").alias("id"), "embedding")
-    if rows.count() > 50_000:
-        raise ValueError("the exact neighbour graph is meant for at most 50,000 vectors")
-    whole = rows.orderBy("id").toPandas()
-    ids, all_vectors = whole["id"].to_numpy(), np.stack(whole["embedding"].to_list()).astype(np.float64)
-    all_vectors /= np.linalg.norm(all_vectors, axis=1, keepdims=True)
-    shared = spark.sparkContext.broadcast((ids, all_vectors))
-
-    def near(frames):
-        ids, vectors = shared.value
-        for frame in frames:
-            for a in range(0, len(frame), block):
-                part = frame.iloc[a : a + block]
-                own = np.stack(part["embedding"].to_list()).astype(np.float64)
-                score = np.round((own / np.linalg.norm(own, axis=1, keepdims=True)) @ vectors.T, 9)
-                score[part["id"].to_numpy()[:, None] == ids[None, :]] = -np.inf
-                best = np.argsort(-score, axis=1, kind="stable")[:, :k]
-                yield pd.DataFrame({"src": np.repeat(part["id"].to_numpy(), best.shape[1]), "dst": ids[best].ravel()})
-
-    return PropertyGraph.from_edges(rows.mapInPandas(near, "src long, dst long"))
+    n_chunks = max(1, -(-rows.count() // chunk))
+    found = None
+    for c in range(n_chunks):
+        whole = rows.where(F.pmod(F.xxhash64("id"), F.lit(n_chunks)) == c).orderBy("id").toPandas()
+        if whole.empty:
+            continue
+        ids, vectors = whole["id"].to_numpy(), np.stack(whole["embedding"].to_list()).astype(np.float64)
+        shared = spark.sparkContext.broadcast((ids, vectors / np.linalg.norm(vectors, axis=1, keepdims=True)))
+
+        def near(frames, shared=shared):
+            ids, vectors = shared.value
+            for frame in frames:
+                for a in range(0, len(frame), block):
+                    part = frame.iloc[a : a + block]
+                    own = np.stack(part["embedding"].to_list()).astype(np.float64)
+                    score = np.nan_to_num(np.round((own / np.linalg.norm(own, axis=1, keepdims=True)) @ vectors.T, 9), nan=-2.0)
+                    score[part["id"].to_numpy()[:, None] == ids[None, :]] = -np.inf
+                    best = np.argsort(-score, axis=1, kind="stable")[:, :k]
+                    made = pd.DataFrame({"src": np.repeat(part["id"].to_numpy(), best.shape[1]), "dst": ids[best].ravel(), "score": np.take_along_axis(score, best, axis=1).ravel()})
+                    yield made[made["score"] > -np.inf]
+
+        best = rows.mapInPandas(near, "src long, dst long, score double")
+        if n_chunks > 1:
+            best = save(best, "near")
+            shared.destroy()
+        found = best if found is None else found.unionByName(best)
+    if found is None:
+        return PropertyGraph.from_edges(spark.createDataFrame([], "src long, dst long"))
+    if n_chunks > 1:
+        order = Window.partitionBy("src").orderBy(F.desc("score"), "dst")
+        found = found.withColumn("nth", F.row_number().over(order)).where(F.col("nth") <= k)
+    return PropertyGraph.from_edges(found.select("src", "dst"))
 
 
 def with_random_weights(g: PropertyGraph, low: int = 1, high: int = 100) -> PropertyGraph:

@@ -484,14 +484,15 @@ def engine_axes(spark: SparkSession, sf: str) -> DataFrame:
 
 
 def sql_reachability(spark: SparkSession, sf: str) -> DataFrame:
-    """Ids reachable from 0, by recursion in SQL over the registered views, one row per id and level."""
-    build.handoff_strong(spark, sf).register("strong")
-    return spark.sql("""
-        WITH RECURSIVE walk(id, d) AS (
-          SELECT cast(0 AS bigint), 0
-          UNION ALL
-          SELECT DISTINCT e.dst, w.d + 1 FROM walk w JOIN strong_edges e ON e.src = w.id WHERE w.d < 30)
-        SELECT DISTINCT id FROM walk""")
+    """Ids reachable from 0, by SQL over the registered views, one query a level until none is new."""
+    g = build.handoff_strong(spark, sf)
+    PropertyGraph(g.vertices, save(g.edges.select("src", "dst"), "strong")).register("strong")
+    fresh = reached = save(spark.range(1).select("id"), "walk")
+    while fresh.limit(1).count():
+        step = spark.sql("SELECT DISTINCT e.dst AS id FROM {fresh} w JOIN strong_edges e ON e.src = w.id LEFT ANTI JOIN {reached} r ON r.id = e.dst", fresh=fresh, reached=reached)
+        fresh = save(step, "walk")
+        reached = reached.unionByName(fresh)
+    return reached
 
 
 def cosine_knn16(spark: SparkSession, sf: str) -> DataFrame:

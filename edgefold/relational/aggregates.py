@@ -61,6 +61,12 @@ def flow_pivot(spark: SparkSession, sf: str) -> DataFrame:
     return build.trade(spark, sf).edges.groupBy("src").pivot("dst", list(range(5))).agg(F.sum("w")).select("src", *(F.col(str(i)).alias(f"to_{i}") for i in range(5)))
 
 
+def flow_pivot_all(spark: SparkSession, sf: str) -> DataFrame:
+    """The matrix of ``flow_pivot`` with a column for every nation."""
+    keys = sorted(r[0] for r in table(spark, sf, "nation").select(F.col("n_nationkey").cast("long")).distinct().collect())
+    return build.trade(spark, sf).edges.groupBy("src").pivot("dst", keys).agg(F.sum("w")).select("src", *(F.col(str(i)).alias(f"to_{i}") for i in keys))
+
+
 def degree_having(spark: SparkSession, sf: str) -> DataFrame:
     return build.handoff(spark, sf).edges.groupBy("src").agg(F.count("*").alias("n"), F.count_if(F.col("w") > 1).alias("repeated")).where("repeated >= 10")
 
@@ -247,6 +253,7 @@ QUERIES = {
     "flow_rollup": (flow_rollup, FLOW_SQL + " SELECT r_name, n_name, sum(w)::BIGINT AS lines, grouping_id(r_name, n_name)::BIGINT AS gid FROM f GROUP BY ROLLUP (r_name, n_name)"),
     "flow_grouping_sets": (flow_grouping_sets, FLOW_SQL + " SELECT r_name, c_mktsegment, sum(w)::BIGINT AS lines FROM f GROUP BY GROUPING SETS ((r_name), (c_mktsegment), ())"),
     "flow_pivot": (flow_pivot, f"WITH {ctes('trade')} SELECT src, " + ", ".join(f"(sum(w) FILTER (dst = {i}))::BIGINT AS to_{i}" for i in range(5)) + " FROM e GROUP BY src"),
+    "flow_pivot_all": (flow_pivot_all, None),
     "degree_having": (degree_having, f"WITH {ctes('handoff')} SELECT src, count(*) AS n, count(*) FILTER (w > 1) AS repeated FROM e GROUP BY src HAVING count(*) FILTER (w > 1) >= 10"),
     "degree_stats": (
         degree_stats,

@@ -1,7 +1,10 @@
 """Queries over whole tables: nothing beyond a fixed id, source, nation or depth is left out."""
 
+import random
 from decimal import Decimal
 
+import numpy as np
+
 from edgefold import registry
 from edgefold.graph import build
 from edgefold.graph.model import PropertyGraph
@@ -50,3 +53,25 @@ def test_frontiers_of_a_traversal(spark, monkeypatch):
     monkeypatch.setattr(build, "handoff", lambda spark, sf: PropertyGraph.from_edges(spark.createDataFrame(rows, "src long, dst long")))
     got = sorted(map(tuple, registry.queries()["frontier_edges_traversal"](spark, "").collect()))
     assert got == [(0, 0, 1), (0, 0, 3), (1, 1, 2), (1, 3, 2), (2, 2, 0), (2, 2, 7)]
+
+
+def test_reachability_beyond_thirty_steps(spark, monkeypatch):
+    rows = [(i, i + 1) for i in range(34)] + [(34, 3), (90, 91)]
+    monkeypatch.setattr(build, "handoff_strong", lambda spark, sf: PropertyGraph.from_edges(spark.createDataFrame(rows, "src long, dst long").coalesce(1)))
+    assert sorted(r.id for r in registry.queries()["sql_reachability"](spark, "").collect()) == list(range(35))
+
+
+def test_neighbours_chunk_against_chunk(spark, tmp_path):
+    rng = random.Random(1)
+    rows = [(i, [float(rng.randint(-2, 2)) for _ in range(3)] + [1.0]) for i in range(60)]
+    spark.createDataFrame(rows, "vec_id long, embedding array<float>").write.parquet(f"{tmp_path}/embeddings.parquet")
+    unit = {i: np.array(v) / np.linalg.norm(v) for i, v in rows}
+    want = {(i, j) for i in unit for j in sorted((j for j in unit if j != i), key=lambda j: (-round(float(unit[i] @ unit[j]), 9), j))[:5]}
+    for chunk in (100, 17, 4):
+        assert sorted(map(tuple, build.knn(spark, str(tmp_path), 5, chunk=chunk).edges.collect())) == sorted(want)
+
+
+def test_pivot_has_every_nation(spark, small):
+    edges = {(r.src, r.dst): r.w for r in build.trade(spark, small).edges.collect()}
+    got = {(r.src, int(c[3:])): r[c] for r in registry.queries()["flow_pivot_all"](spark, small).collect() for c in r.asDict() if c != "src" and r[c]}
+    assert got == edges and max(d for _, d in got) > 4
