@@ -16,7 +16,8 @@ with half of that as stride, so any run of an item's length lies in one passage.
    that the passage holds must reach their limits.
 
 The index is broadcast in shards of at most ``SHARD`` items, each a pass over the texts, so its size is
-bounded whatever the benchmark's. Nothing is shuffled.
+bounded whatever the benchmark's; items, mean length and document frequencies are the whole benchmark's
+in every shard. Nothing is shuffled.
 
 Items are (id, text) or have question and answer columns; of a plain text the last sentence is the
 answer part. Words are runs of letters and digits, lower-cased. Cases: null, empty and wordless texts
@@ -95,10 +96,32 @@ class Group:
         self.length = 2 * int(max(lengths[i] for i in members))
 
 
+class Statistics:
+    """Figures of a whole benchmark that its items' weights come from: items with words, their mean length, and each word's items."""
+
+    def __init__(self) -> None:
+        self.items = self.total = 0
+        self.terms, self.holders = np.zeros(0, dtype=np.uint64), np.zeros(0, dtype=np.int64)
+
+    def add(self, items: list[tuple[int, str, str]]) -> None:
+        tokens = [np.concatenate(x) for x in zip(*(word_hashes([i[part] or "" for i in items]) for part in (1, 2)))]
+        self.items += sum(len(t) > 0 for t in tokens)
+        self.total += sum(map(len, tokens))
+        seen, counts = np.unique(np.concatenate([*map(np.unique, tokens), np.zeros(0, dtype=np.uint64)]), return_counts=True)
+        terms = np.union1d(self.terms, seen)
+        holders = np.zeros(len(terms), dtype=np.int64)
+        holders[np.searchsorted(terms, self.terms)] = self.holders
+        holders[np.searchsorted(terms, seen)] += counts
+        self.terms, self.holders = terms, holders
+
+
 class Index:
-    """BM25 index of benchmark items given as (id, question, answer)."""
+    """BM25 index of benchmark items given as (id, question, answer), weighted by figures of the whole benchmark."""
 
-    def __init__(self, items: list[tuple[int, str, str]]):
+    def __init__(self, items: list[tuple[int, str, str]], known: Statistics | None = None):
+        if known is None:
+            known = Statistics()
+            known.add(items)
         self.ids = [i for i, _, _ in items]
         question, answer = word_hashes([q or "" for _, q, _ in items]), word_hashes([a or "" for _, _, a in items])
         tokens = [np.concatenate(x) for x in zip(question, answer)]
@@ -107,8 +130,8 @@ class Index:
         n_terms, lengths = len(self.vocabulary), np.array([len(t) for t in tokens])
         full = np.flatnonzero(lengths > 0)
         counts = {int(i): np.unique(np.searchsorted(self.vocabulary, tokens[i]), return_counts=True) for i in full}
-        holders = np.bincount(np.concatenate([t for t, _ in counts.values()] or [np.zeros(0, dtype=np.int64)]), minlength=n_terms)
-        idf, mean = np.log1p((len(full) - holders + 0.5) / (holders + 0.5)), lengths[full].mean() if len(full) else 1
+        holders = known.holders[np.searchsorted(known.terms, self.vocabulary)]
+        idf, mean = np.log1p((known.items - holders + 0.5) / (holders + 0.5)), known.total / max(1, known.items)
         shares: list[dict[int, float]] = [{} for _ in items]
         for i, (terms, tf) in counts.items():
             weight = idf[terms] * tf * (K1 + 1) / (tf + K1 * (1 - B + B * lengths[i] / mean))
@@ -174,17 +197,28 @@ class Index:
 
 
 def shards(benchmark: DataFrame, item_col: str, text_col: str, question_col: str | None, answer_col: str | None) -> Iterator[Index]:
-    """Indexes of at most ``SHARD`` items each; the items of one shard at a time are on the driver."""
+    """Indexes of at most ``SHARD`` items each; the items of one shard at a time are on the driver.
+
+    A first pass over the items takes the figures of the whole benchmark, a second one builds the indexes.
+    """
     texts = [F.col(question_col), F.col(answer_col)] if question_col else [F.col(text_col), F.lit(None)]
     items = benchmark.select(F.col(item_col).alias("i"), *(t.cast("string").alias(n) for t, n in zip(texts, "qa")))
-    batch: list[tuple[int, str, str]] = []
-    for r in items.orderBy("i", "q", "a").toLocalIterator():
-        batch.append((r["i"], r["q"], r["a"]) if question_col else (r["i"], *parts(r["q"] or "")))
-        if len(batch) == SHARD:
-            yield Index(batch)
-            batch = []
-    if batch:
-        yield Index(batch)
+
+    def batches() -> Iterator[list[tuple[int, str, str]]]:
+        batch: list[tuple[int, str, str]] = []
+        for r in items.orderBy("i", "q", "a").toLocalIterator():
+            batch.append((r["i"], r["q"], r["a"]) if question_col else (r["i"], *parts(r["q"] or "")))
+            if len(batch) == SHARD:
+                yield batch
+                batch = []
+        if batch:
+            yield batch
+
+    known = Statistics()
+    for batch in batches():
+        known.add(batch)
+    for batch in batches():
+        yield Index(batch, known)
 
 
 def contaminated(
