@@ -5,7 +5,9 @@ Feistel network within its own format, so the pseudonym has the same shape, equa
 pseudonyms in every document, and different values stay different:
 
 * account and card numbers (13 to 19 digits, also in groups of four): all but the last digit are
-  permuted; the last is set so that the number's check-sum remainder - 0 for a valid card - is kept;
+  permuted; the last is set so that the number's check-sum remainder - 0 for a valid card - is kept.
+  Their form is all that is validated: not every account number has a check sum, so any number of that
+  form is permuted, time stamps, ISBN-13 and order numbers among them;
 * phone numbers with a country code: the digits after the country code;
 * IPv4 addresses with octets up to 255: permuted among all 32-bit addresses;
 * calendar dates of 1900-01-01 to 2099-11-13 (ISO, or day.month.year): permuted among those days;
