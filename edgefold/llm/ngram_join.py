@@ -388,6 +388,25 @@ def join_components(documents: DataFrame, k: int = 5, percent: int = 80, id_col:
     return out.select(F.col("id").alias(id_col), F.col("n").alias("n_shingles"), F.when(F.col("id").isNotNull(), component).alias("component_id"))
 
 
+def join_links(documents: DataFrame, k: int = 5, percent: int = 80, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """(a, b), a < b: every verified link between class representatives, also within one component.
+
+    Documents with equal sets are one class, named by its smallest id; each link is given once. The number
+    of links, and so the cost, may grow with the square of a group of near copies.
+    """
+    docs = documents.select(F.col(id_col).alias("id"), F.col(text_col).cast("string").alias("text"))
+    table = save(point_table(docs, k, percent), "points")
+    named = table.where("id IS NOT NULL AND n > 0")
+    classes = save(named.groupBy("s1", "s2").agg(F.min(F.struct("id", "row")).alias("first")).select("first.*"), "classes")
+    firsts = named.join(classes.select("row"), "row", "left_semi")
+    tiles = firsts.select(F.col("id").alias("node"), "n", "point", F.explode("keys").alias("key"))
+    sized = tiles.withColumn("size", F.count("*").over(Window.partitionBy("key"))).where("size > 1")
+    # Every member is a component of its own, so that no pair of a tile is passed over.
+    members = sized.select("key", "node", F.col("node").alias("component"), "size", "n", "point")
+    pairs = save(tree_pairs(members, percent), "link-pairs")
+    return verified(pairs, docs.join(classes.select("id"), "id", "left_semi"), k, percent)
+
+
 def oracle(k: int, percent: int) -> str:
     """DuckDB SQL for :func:`join_components` over ``documents``: every pair that shares a shingle, counted."""
     upper = "ABCDEFGHIJKLMNOPQRSTUVWXYZ"
