@@ -6,21 +6,26 @@ group counts. No pair of points can share more shingles than the sum of their co
 linked pair differs by at most D = (100 - percent) * (|A| + |B|) / (100 + percent) shingles, hence by at
 most D in the sum of coordinate differences.
 
-Equal sets are one class, represented by their smallest id; only representatives go on. Then
-
-1. *Tiles.* A fine point of M blocks of coordinates, M > D: at most D blocks can differ, so every linked
-   pair has a block whose counts are equal - one tile holds both. M depends on the size, so sizes are cut
-   into scales; a document goes into its own scale and, where a larger one may link to it, the next.
-   Blocks with one shingle or none make tiles only for documents with too few others (see ``tile_keys``).
-2. *Stars.* Every member of a tile is compared with the tile's smallest member: bound first, then the sets.
-   Links found so far give components. Most groups of near copies are connected after this.
-3. *Trees.* Tiles whose other members are of several components get an R-tree over their points. A
-   search descends only where the sum of minima with a box's upper corner reaches the need and the box
-   holds another component; pairs it returns are verified. Links of both steps give the components.
-
-A pair within one component needs no check for the components to be exact, so a group of m near copies
-costs about m checks, and no step emits all pairs of a group. Verification joins the two texts to each
-candidate pair and compares sets of 64-bit shingle hashes.
+Equal sets are one class, represented by their smallest id; only representatives go on. Every link comes from
+a search of an R-tree over count points and from an exact check of what the search returns:
+
+1. *Tiles* split the points before the search. A fine point of M blocks of coordinates, M > D: at most D
+   blocks can differ, so every linked pair has a block whose counts are equal - one tile holds both. M depends
+   on the size, so sizes are cut into scales; a document goes into its own scale and, where a larger one may
+   link to it, the next. Blocks with one shingle or none make tiles only for documents with too few others
+   (see ``tile_keys``). Of tiles with the same members one stays. Tiles known to be hot from partial counts
+   are dealt into chunks and never pass through a sort by tile.
+2. *First hits.* Each tile (or chunk of one) is an R-tree packed by id. A search descends, smallest ids first,
+   only where the sum of minima with a box's upper corner reaches the need, and ends at its first hit: one
+   pair per member, and about one leaf per member in a group of near copies. Verified pairs give components.
+3. *All hits.* Tiles of more than two members and of several components get a tree packed by component, and
+   a search returns all hits of other components. A tile whose hits are few beside its members gives them
+   as pairs; otherwise the members that hits connect become one group, so that a tile never gives more
+   rows than a multiple of its members. Groups are verified by one task each (or each pair of chunks) from an
+   inverted index of the members' shingles, joining components as links are found and ending at one.
+
+A pair within one component needs no check for the components to be exact. A family of m texts that are near
+each other but not linked costs up to m * m bounds and overlaps inside tasks, and about m rows.
 
 Cases: words are runs of characters outside x20 and x09-x0D, with A-Z lower-cased; a text of 1 to k-1
 words is one shingle; null, empty and wordless texts have no shingles and link with nothing; rows with
@@ -34,19 +39,22 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark import TaskContext
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..algorithms.contract import contract_components
-from ..runtime.scratch import save
+from ..runtime.scratch import drop, save
 from .hashing import mixed, pieces, shingles, words
 
-LEAST_GROUPS, MOST_GROUPS, CELLS, FANOUT = 64, 65536, 16, 16
+LEAST_GROUPS, MOST_GROUPS, CELLS, FANOUT = 64, 2048, 16, 16
 #: Blocks of at most so many shingles are light.
 LIGHT = 1
-#: Most members of a tile that one task compares, most ids or pairs that are broadcast, and most counts of points held at once.
+#: Most members of a chunk of a tile, most ids or pairs that are broadcast, and most counts of points compared at once.
 UNIT, BROADCAST_IDS, CELLS_AT_ONCE = 4096, 500_000, 4_000_000
+#: Rows of one tile in one task from which on they count for finding hot tiles, and keys counted at once.
+LOCAL, KEYS_AT_ONCE = 16, 8_000_000
+#: Most pairs per member that a tile gives before it gives groups, and shingles of a chunk of a group.
+PAIRS_A_MEMBER, GROUP_SHINGLES = 2, 2_000_000
 
 
 def scales(percent: int, most: int = 2**40) -> np.ndarray:
@@ -146,16 +154,30 @@ def sets_of(column: pa.Array, k: int) -> Iterator[tuple[int, np.ndarray, np.ndar
 
 
 def point_table(docs: DataFrame, k: int, percent: int) -> DataFrame:
-    """(id, row, n, s1, s2, point, keys): row number, set size, two sums that identify the set, coarse point, tiles."""
+    """(id, n, s1, s2, point, often): set size, two sums that identify the set, coarse point.
+
+    ``often`` is null but on an extra row of each task, where it has the tile keys that the task's rows hold at
+    least ``LOCAL`` times.
+    """
     id_type = docs.schema["id"].dataType.simpleString()
     tops = scales(percent)
+    counts_type = pa.list_(pa.struct([("key", pa.int64()), ("seen", pa.int64())]))
+    names = ["id", "n", "s1", "s2", "point", "often"]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        number = TaskContext.get().partitionId() << 33
+        held, id_kind = [], None
+
+        def counted() -> pa.RecordBatch:
+            key, count = np.unique(np.concatenate([np.zeros(0, dtype=np.uint64), *held]), return_counts=True)
+            held.clear()
+            often = [{"key": x, "seen": y} for x, y in zip(key[count >= LOCAL].view(np.int64).tolist(), count[count >= LOCAL].tolist())]
+            zero = pa.array([0], pa.int64())
+            return pa.RecordBatch.from_arrays([pa.nulls(1, id_kind), zero, zero, zero, pa.nulls(1, pa.binary()), pa.array([often], counts_type)], names)
+
         for batch in batches:
+            id_kind = batch.column("id").type
             for first, h, rows, sizes in sets_of(batch.column("text"), k):
                 n = len(sizes)
-                number += n
                 at = np.concatenate([[0], np.cumsum(sizes)])
                 sums = [np.concatenate([[np.uint64(0)], np.cumsum(mixed(h + c))]) for c in (np.uint64(1), np.uint64(2))]
                 s1, s2 = ((x[at[1:]] - x[at[:-1]]).view(np.int64) for x in sums)
@@ -164,13 +186,31 @@ def point_table(docs: DataFrame, k: int, percent: int) -> DataFrame:
                 cell = base[rows] + (h & (groups[rows] - 1).astype(np.uint64)).astype(np.int64)
                 counts = np.bincount(cell, minlength=base[-1])
                 points = [packed(counts[x:y]) for x, y in zip(base[:-1].tolist(), base[1:].tolist())]
+                held.append(tile_keys(h, sizes, percent, tops)[1])
+                yield pa.RecordBatch.from_arrays([batch.column("id").slice(first, n), pa.array(sizes.astype(np.int64)), pa.array(s1), pa.array(s2), pa.array(points, pa.binary()), pa.nulls(n, counts_type)], names)
+                if sum(map(len, held)) >= KEYS_AT_ONCE:
+                    yield counted()
+        if held:
+            yield counted()
+
+    return docs.mapInArrow(run, f"id {id_type}, n long, s1 long, s2 long, point binary, often array<struct<key:long,seen:long>>")
+
+
+def tile_table(docs: DataFrame, k: int, percent: int) -> DataFrame:
+    """(node, keys): the tiles of every text."""
+    id_type = docs.schema["id"].dataType.simpleString()
+    tops = scales(percent)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for first, h, _, sizes in sets_of(batch.column("text"), k):
                 row, key = tile_keys(h, sizes, percent, tops)
                 order = np.argsort(row, kind="stable")
-                offsets = np.searchsorted(row[order], np.arange(n + 1)).astype(np.int32)
+                offsets = np.searchsorted(row[order], np.arange(len(sizes) + 1)).astype(np.int32)
                 keys = pa.ListArray.from_arrays(pa.array(offsets), pa.array(key[order].view(np.int64)))
-                yield pa.RecordBatch.from_arrays([batch.column("id").slice(first, n), pa.array(np.arange(number - n, number)), pa.array(sizes.astype(np.int64)), pa.array(s1), pa.array(s2), pa.array(points, pa.binary()), keys], ["id", "row", "n", "s1", "s2", "point", "keys"])
+                yield pa.RecordBatch.from_arrays([batch.column("id").slice(first, len(sizes)), keys], ["node", "keys"])
 
-    return docs.mapInArrow(run, f"id {id_type}, row long, n long, s1 long, s2 long, point binary, keys array<long>")
+    return docs.mapInArrow(run, f"node {id_type}, keys array<long>")
 
 
 def packed(counts: np.ndarray) -> bytes:
@@ -180,33 +220,16 @@ def packed(counts: np.ndarray) -> bytes:
 
 def unpacked(points: list[bytes], sizes: np.ndarray, groups: int) -> np.ndarray:
     """Counts of points folded to ``groups``; a point's own number of groups follows from its set's size."""
-    out = np.zeros((len(points), groups), dtype=np.uint32)
-    for i, (p, own) in enumerate(zip(points, dimensions(sizes).tolist())):
-        counts = np.frombuffer(p, np.uint8 if len(p) == own else "<u4")
-        out[i] = counts if own == groups else counts.reshape(-1, groups).sum(axis=0)
+    own = dimensions(sizes)
+    wide = np.fromiter(map(len, points), np.int64, len(points)) > own
+    out = np.zeros((len(points), groups), dtype=np.uint32 if wide.any() or (own > groups).any() else np.uint8)
+    for size, four in {*zip(own.tolist(), wide.tolist())}:
+        at = np.flatnonzero((own == size) & (wide == four))
+        counts = np.frombuffer(b"".join([points[i] for i in at.tolist()]), "<u4" if four else np.uint8)
+        out[at] = counts.reshape(len(at), size // groups, groups).sum(axis=1) if size > groups else counts.reshape(len(at), groups)
     return out
 
 
-def within_bound(pairs: DataFrame, percent: int) -> DataFrame:
-    """Pairs (a, b, na, nb, pa, pb) whose points leave room for a link, as (a, b)."""
-    id_type = pairs.schema["a"].dataType.simpleString()
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            if batch.num_rows:
-                na, nb = (np.asarray(batch.column(c)) for c in ("na", "nb"))
-                groups, may = np.minimum(dimensions(na), dimensions(nb)), np.zeros(batch.num_rows, dtype=bool)
-                for g in np.unique(groups).tolist():
-                    at = np.flatnonzero(groups == g)
-                    for first in range(0, len(at), max(1, CELLS_AT_ONCE // g)):
-                        some = at[first : first + max(1, CELLS_AT_ONCE // g)]
-                        left, right = (unpacked(batch.column(c).take(pa.array(some)).to_pylist(), n[some], g) for c, n in (("pa", na), ("pb", nb)))
-                        may[some] = np.minimum(left, right).sum(axis=1) >= needed(percent, na[some], nb[some])
-                yield batch.select(["a", "b"]).filter(pa.array(may))
-
-    return pairs.mapInArrow(run, f"a {id_type}, b {id_type}")
-
-
 def verified(pairs: DataFrame, docs: DataFrame, k: int, percent: int) -> DataFrame:
     """The pairs (a, b) of ids whose texts link; ``pairs`` is a written table.
 
@@ -215,9 +238,9 @@ def verified(pairs: DataFrame, docs: DataFrame, k: int, percent: int) -> DataFra
     """
     id_type = pairs.schema["a"].dataType.simpleString()
     small = pairs.count() <= BROADCAST_IDS
-    few = F.broadcast if small else lambda df: df
-    seconds = docs.select(F.col("id").alias("b"), F.col("text").alias("tb")).join(few(pairs), "b")
-    firsts = docs.select(F.col("id").alias("a"), F.col("text").alias("ta")).join(few(pairs.select("a").distinct()), "a", "left_semi")
+    spread = F.broadcast if small else lambda df: df
+    seconds = docs.select(F.col("id").alias("b"), F.col("text").alias("tb")).join(spread(pairs), "b")
+    firsts = docs.select(F.col("id").alias("a"), F.col("text").alias("ta")).join(spread(pairs.select("a").distinct()), "a", "left_semi")
     both = seconds.hint("merge").join(firsts, "a").select("a", "b", "ta", "tb")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -240,150 +263,404 @@ def verified(pairs: DataFrame, docs: DataFrame, k: int, percent: int) -> DataFra
 
 
 class CountTree:
-    """Packed R-tree over count points: every node has its boxes' upper corner, least size and component."""
+    """Packed R-tree over count points: every node has its boxes' upper corner, least size and components."""
 
-    def __init__(self, points: np.ndarray, sizes: np.ndarray, components: np.ndarray):
-        self.order = np.lexsort((points.argmax(axis=1), components, sizes))
-        self.points, self.sizes, self.components = points[self.order], sizes[self.order], components[self.order]
-        self.levels = [(self.points, self.sizes, self.components, self.components)]
+    def __init__(self, points: np.ndarray, sizes: np.ndarray, components: np.ndarray, order: np.ndarray):
+        self.order = order
+        self.points, self.sizes, self.components = points, sizes, components
+        self.levels = [(points[order], sizes[order], components[order], components[order])]
         while len(self.levels[-1][0]) > 1:
             high, size, low_c, high_c = self.levels[-1]
             at = np.arange(0, len(high), FANOUT)
             self.levels.append((np.maximum.reduceat(high, at), np.minimum.reduceat(size, at), np.minimum.reduceat(low_c, at), np.maximum.reduceat(high_c, at)))
 
-    def search(self, point: np.ndarray, size: int, component: int, percent: int) -> np.ndarray:
-        """Members of other components that the bounds let link with a point."""
-        nodes = np.arange(len(self.levels[-1][0]))
-        for depth in range(len(self.levels) - 1, -1, -1):
-            high, least, low_c, high_c = (x[nodes] for x in self.levels[depth])
-            may = np.minimum(high, point).sum(axis=1) >= needed(percent, least, size)
-            nodes = nodes[may & ~((low_c == component) & (high_c == component))]
-            if depth and len(nodes):
-                nodes = (nodes[:, None] * FANOUT + np.arange(FANOUT)).ravel()
-                nodes = nodes[nodes < len(self.levels[depth - 1][0])]
-        return self.order[nodes]
+    def _may(self, depth: int, node: int, probes: np.ndarray, percent: int) -> np.ndarray:
+        """The probes that the bounds let link with some point of other components below a node."""
+        high, least, low_c, high_c = (x[node] for x in self.levels[depth])
+        if low_c == high_c:
+            probes = probes[self.components[probes] != low_c]
+        step, kept = max(1, CELLS_AT_ONCE // len(high)), [probes[:0]]
+        for a in range(0, len(probes), step):
+            some = probes[a : a + step]
+            kept.append(some[np.minimum(self.points[some], high).sum(axis=1, dtype=np.int64) >= needed(percent, least, self.sizes[some])])
+        return np.concatenate(kept)
+
+    def search(self, percent: int, first_only: bool = False) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+        """(members, one hit of theirs) arrays; hits come before their member, in its order, and differ in component.
+
+        All members are searched for together: each node is visited with the members that may have a hit below
+        it. With ``first_only`` a member's search ends at its first hit.
+        """
+        place = np.empty(len(self.order), dtype=np.int64)
+        place[self.order] = np.arange(len(self.order))
+        found = np.zeros(len(self.order), dtype=bool)
+        stack = [(len(self.levels) - 1, 0, self.order)]
+        while stack:
+            depth, node, probes = stack.pop()
+            if first_only:
+                probes = probes[~found[probes]]
+            probes = self._may(depth, node, probes[place[probes] > node * FANOUT**depth], percent)
+            if not len(probes):
+                continue
+            if depth:
+                below = range(node * FANOUT, min((node + 1) * FANOUT, len(self.levels[depth - 1][0])))
+                stack += [(depth - 1, child, probes) for child in reversed(below)]
+                continue
+            found[probes] = True
+            yield probes, np.full(len(probes), self.order[node])
 
 
-def tile_pairs(points: list[bytes], sizes: np.ndarray, components: np.ndarray, starts: np.ndarray, percent: int) -> tuple[np.ndarray, np.ndarray]:
-    """Rows (i, j) of different components that the bound lets link, within tiles that begin at ``starts``.
+def tile_hits(points: list[bytes], sizes: np.ndarray, components: np.ndarray, starts: np.ndarray, percent: int, first_only: bool = False) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """(rows, hits) of different components that the bound lets link, within tiles that begin at ``starts``.
 
-    A tile of at most ``FANOUT`` members is a single leaf; leaves of one size are compared together. A
-    larger one gets a tree. The points of a tile compare at its smallest number of groups.
+    A tile of at most ``FANOUT`` members is a single leaf; leaves of one size are searched together. A larger one
+    gets a tree, packed by row for first hits, else by component and size. Points of a tile compare at its
+    smallest number of groups; what is held of a tile is at most 2 * ``UNIT`` points of ``MOST_GROUPS`` counts.
     """
     counts = np.diff(np.append(starts, len(sizes)))
     groups = np.minimum.reduceat(dimensions(sizes), starts)
-    left, right = [np.zeros(0, dtype=np.int64)], [np.zeros(0, dtype=np.int64)]
 
-    def leaves(of: np.ndarray, m: int, g: int) -> None:
+    def leaves(of: np.ndarray, m: int, g: int) -> Iterator[tuple[np.ndarray, np.ndarray]]:
         rows = (of[:, None] + np.arange(m)).ravel()
         held = unpacked([points[r] for r in rows.tolist()], sizes[rows], g).reshape(len(of), m, g)
-        for i in range(m):
-            for j in range(i + 1, m):
-                a, b = of + i, of + j
-                may = (components[a] != components[b]) & (np.minimum(held[:, i], held[:, j]).sum(axis=1) >= needed(percent, sizes[a], sizes[b]))
-                left.append(a[may]), right.append(b[may])
-
-    def tree(s: int, m: int, g: int) -> None:
-        held = unpacked(points[s : s + m], sizes[s : s + m], g)
-        index = CountTree(held, sizes[s : s + m], components[s : s + m])
-        for i in range(m):
-            hits = index.search(held[i], sizes[s + i], components[s + i], percent)
-            hits = hits[hits > i]
-            left.append(np.full(len(hits), s + i)), right.append(s + hits)
+        for i in range(1, m):
+            left = np.arange(len(of))
+            for j in range(i):
+                a, b = of[left] + i, of[left] + j
+                may = components[a] != components[b]
+                may[may] = np.minimum(held[left[may], i], held[left[may], j]).sum(axis=1, dtype=np.int64) >= needed(percent, sizes[a[may]], sizes[b[may]])
+                yield a[may], b[may]
+                if first_only:
+                    left = left[~may]
 
     for m, g in np.unique(np.stack([counts, groups], axis=1), axis=0).tolist():
         of = starts[(counts == m) & (groups == g)]
         if m > FANOUT:
             for s in of.tolist():
-                tree(s, m, g)
+                n, c = sizes[s : s + m], components[s : s + m]
+                order = np.arange(m) if first_only else np.lexsort((n, c))
+                for i, j in CountTree(unpacked(points[s : s + m], n, g), n, c, order).search(percent, first_only):
+                    yield s + i, s + j
             continue
         step = max(1, CELLS_AT_ONCE // (m * g))
         for first in range(0, len(of), step):
-            leaves(of[first : first + step], m, g)
-    return np.concatenate(left), np.concatenate(right)
+            yield from leaves(of[first : first + step], m, g)
+
+
+def tile_pairs(points: list[bytes], sizes: np.ndarray, components: np.ndarray, starts: np.ndarray, percent: int) -> tuple[np.ndarray, np.ndarray]:
+    """Rows (i, j), i < j, of all hits of :func:`tile_hits`."""
+    hits = [np.zeros((2, 0), dtype=np.int64), *(np.sort(np.stack(h), axis=0) for h in tile_hits(points, sizes, components, starts, percent))]
+    return tuple(np.concatenate(hits, axis=1))
+
+
+TILE = ["key", "x", "y"]
+
+
+def units(batches: Iterator[pa.RecordBatch], keys: list[str]) -> Iterator[tuple[pa.Table, np.ndarray]]:
+    """(rows, starts of units in them) of sorted batches; a unit is all rows with equal ``keys`` and is never cut."""
+    held: pa.Table | None = None
+
+    def starts(rows: pa.Table) -> np.ndarray:
+        fresh = np.ones(len(rows), dtype=bool)
+        columns = [np.asarray(rows.column(c).combine_chunks()) for c in keys]
+        fresh[1:] = np.any([c[1:] != c[:-1] for c in columns], axis=0)
+        return np.flatnonzero(fresh)
+
+    for batch in batches:
+        if batch.num_rows:
+            rows = pa.Table.from_batches([batch])
+            rows = rows if held is None else pa.concat_tables([held, rows])
+            at = starts(rows)
+            held = rows.slice(at[-1])
+            if len(at) > 1:
+                yield rows.slice(0, at[-1]), at[:-1]
+    if held is not None:
+        yield held, starts(held)
+
+
+def together(dealt: DataFrame, keys: list[str], *within: str) -> DataFrame:
+    """Rows of one unit in one task, side by side."""
+    return dealt.repartition(*keys).sortWithinPartitions(*keys, *within)
+
+
+def chunk_pairs(rows: DataFrame, node: str, chunks: Column) -> DataFrame:
+    """Rows with (x, y): every two of a unit's chunks meet in one task, a row going to its own with each other."""
+    dealt = rows.withColumn("own", F.pmod(F.xxhash64(node), chunks).cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0), chunks - 1)))
+    return dealt.withColumn("x", F.least("own", "other")).withColumn("y", F.greatest("own", "other")).drop("own", "other")
+
+
+def tile_chunks() -> Column:
+    return F.ceil(F.col("size") / UNIT).cast("int")
+
+
+def columns_of(rows: pa.Table, *names: str) -> list[np.ndarray]:
+    return [np.asarray(rows.column(c).combine_chunks()) for c in names]
+
+
+def id_pairs(a: np.ndarray, b: np.ndarray) -> pa.RecordBatch:
+    ends = np.sort(np.stack([a, b]), axis=0)
+    ends = np.unique(ends[:, ends[0] != ends[1]], axis=1)
+    return pa.RecordBatch.from_arrays([pa.array(ends[0]), pa.array(ends[1])], ["a", "b"])
+
+
+def first_pairs(members: DataFrame, percent: int) -> DataFrame:
+    """Pairs (a, b), a < b: each member with the first hit of its search, within its tile or its chunk of one.
+
+    ``members`` has (key, size, hub, node, n, point); the ``hub`` of a tile in chunks, its smallest id, is in all of them.
+    """
+    id_type = members.schema["node"].dataType.simpleString()
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for rows, starts in units(batches, ["key", "x"]):
+            node, n = columns_of(rows, "node", "n")
+            for i, j in tile_hits(rows.column("point").to_pylist(), n, node, starts, percent, first_only=True):
+                if len(i):
+                    yield id_pairs(node[i], node[j])
+
+    chunks = tile_chunks()
+    everywhere = F.sequence(F.lit(0), chunks - 1)
+    own = F.when(F.col("node") == F.col("hub"), everywhere).otherwise(F.array(F.pmod(F.xxhash64("node"), chunks).cast("int")))
+    dealt = members.withColumn("x", F.explode(own)).select("key", "x", "node", "n", "point")
+    return together(dealt, ["key", "x"], "node").mapInArrow(run, f"a {id_type}, b {id_type}").distinct()
 
 
 def tree_pairs(members: DataFrame, percent: int) -> DataFrame:
-    """Pairs (a, b), a < b, of different components within each tile, by the bound on their points.
+    """All pairs (a, b), a < b, of different components within each tile, by the bound on their points.
 
-    ``members`` has (key, node, component, n, point, size), size being the tile's. A task holds a batch of
-    rows and the tile that the batch ends in, of at most ``UNIT`` members for each of two chunks; a larger
-    tile is dealt into chunks, and every two chunks meet in one task.
+    ``members`` has (key, node, component, n, point, size), size being the tile's. The result may grow with the
+    square of a tile, so only :func:`join_links`, whose answer does too, asks for it.
     """
     id_type = members.schema["node"].dataType.simpleString()
-    tile = ["key", "x", "y"]
 
-    def searched(rows: pa.Table) -> pa.RecordBatch:
-        columns = [np.asarray(rows.column(c).combine_chunks()) for c in (*tile, "node", "component", "n")]
-        fresh = np.ones(len(rows), dtype=bool)
-        fresh[1:] = np.any([c[1:] != c[:-1] for c in columns[:3]], axis=0)
-        node, component, n = columns[3:]
-        i, j = tile_pairs(rows.column("point").to_pylist(), n, component, np.flatnonzero(fresh), percent)
-        ends = np.sort(np.stack([node[i], node[j]]), axis=0)
-        ends = ends[:, ends[0] != ends[1]]
-        return pa.RecordBatch.from_arrays([pa.array(ends[0]), pa.array(ends[1])], ["a", "b"])
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for rows, starts in units(batches, TILE):
+            node, component, n = columns_of(rows, "node", "component", "n")
+            for i, j in tile_hits(rows.column("point").to_pylist(), n, component, starts, percent):
+                if len(i):
+                    yield id_pairs(node[i], node[j])
+
+    dealt = chunk_pairs(members, "node", tile_chunks()).select(*TILE, "node", "component", "n", "point")
+    return together(dealt, TILE).mapInArrow(run, f"a {id_type}, b {id_type}").distinct()
+
+
+def joined_ends(size: int, i: np.ndarray, j: np.ndarray) -> np.ndarray:
+    """Smallest row that edges (i, j) connect each of ``size`` rows with."""
+    label = np.arange(size)
+    while True:
+        low = np.minimum(label[i], label[j])
+        new = label.copy()
+        np.minimum.at(new, i, low)
+        np.minimum.at(new, j, low)
+        np.minimum.at(new, label[i], low)
+        np.minimum.at(new, label[j], low)
+        new = new[new]
+        if (new == label).all():
+            return label
+        label = new
+
+
+class Hits:
+    """Hits of one tile: kept as pairs while few, from then on as the groups that they connect."""
+
+    def __init__(self, size: int):
+        self.size, self.total, self.parts, self.label = size, 0, [], None
+
+    def add(self, i: np.ndarray, j: np.ndarray) -> None:
+        self.total += len(i)
+        self.parts.append((i, j))
+        if self.total > PAIRS_A_MEMBER * self.size:
+            i, j = (np.concatenate(x) for x in zip(*self.parts))
+            if self.label is not None:
+                i, j = np.concatenate([i, np.arange(self.size)]), np.concatenate([j, self.label])
+            self.label, self.parts, self.total = joined_ends(self.size, i, j), [], 0
+
+    def pairs(self) -> tuple[np.ndarray, np.ndarray]:
+        return tuple(np.concatenate(x) for x in zip(*self.parts)) if self.parts else (np.zeros(0, dtype=np.int64),) * 2
+
+
+def mixed_hits(members: DataFrame, percent: int) -> DataFrame:
+    """(a, b, g1, g2, weight): hits of different components in each tile, as pairs (a, b), or as groups: members a of (g1, g2).
+
+    ``members`` as for :func:`tree_pairs`. A tile, or two chunks of one, gives at most ``PAIRS_A_MEMBER`` pairs or
+    one group a member. A group is named by two hashes of its members, so the same group of several tiles is
+    the same rows; ``weight`` is the number of shingles in it.
+    """
+    id_type = members.schema["node"].dataType.simpleString()
+    names = ["a", "b", "g1", "g2", "weight"]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held: pa.Table | None = None
-        for batch in batches:
-            if not batch.num_rows:
-                continue
-            rows = pa.Table.from_batches([batch])
-            rows = rows if held is None else pa.concat_tables([held, rows])
-            last = np.all([np.asarray(rows.column(c).combine_chunks()) == rows.column(c)[-1].as_py() for c in tile], axis=0)
-            cut = int(np.argmax(last))
-            held = rows.slice(cut)
-            if cut:
-                yield searched(rows.slice(0, cut))
-        if held is not None:
-            yield searched(held)
+        for rows, starts in units(batches, TILE):
+            node, component, n = columns_of(rows, "node", "component", "n")
+            ends, found = np.append(starts, len(rows)), {}
+            for i, j in tile_hits(rows.column("point").to_pylist(), n, component, starts, percent):
+                tile = np.searchsorted(starts, i, "right") - 1
+                cuts = np.flatnonzero(np.diff(tile, prepend=-1))
+                for a, b in zip(cuts.tolist(), [*cuts[1:].tolist(), len(tile)]):
+                    t = int(tile[a])
+                    found.setdefault(t, Hits(int(ends[t + 1] - ends[t]))).add(i[a:b] - ends[t], j[a:b] - ends[t])
+            left, right = [np.zeros(0, dtype=node.dtype)], [np.zeros(0, dtype=node.dtype)]
+            for t, hits in found.items():
+                own, size = node[ends[t] : ends[t + 1]], n[ends[t] : ends[t + 1]]
+                i, j = hits.pairs()
+                left.append(own[i]), right.append(own[j])
+                if hits.label is not None:
+                    yield groups_of(own, size, hits.label)
+            pairs = id_pairs(np.concatenate(left), np.concatenate(right))
+            none = pa.nulls(len(pairs), pa.int64())
+            yield pa.RecordBatch.from_arrays([*pairs.columns, none, none, none], names)
+
+    def groups_of(own: np.ndarray, size: np.ndarray, label: np.ndarray) -> pa.RecordBatch:
+        inside = np.bincount(label, minlength=len(own))[label] > 1
+        own, size, label = own[inside], size[inside], np.unique(label[inside], return_inverse=True)[1]
+        values = own.astype(np.int64).view(np.uint64)
+        total = np.zeros((3, label.max() + 1), dtype=np.uint64)
+        for row, part in zip(total, (mixed(values + np.uint64(1)), mixed(values + np.uint64(2)), size.astype(np.uint64))):
+            np.add.at(row, label, part)
+        g1, g2, weight = (pa.array(x[label].view(np.int64)) for x in total)
+        return pa.RecordBatch.from_arrays([pa.array(own), pa.nulls(len(own), pa.array(own).type), g1, g2, weight], names)
+
+    dealt = chunk_pairs(members, "node", tile_chunks()).select(*TILE, "node", "component", "n", "point")
+    schema = f"a {id_type}, b {id_type}, g1 long, g2 long, weight long"
+    return together(dealt, TILE).mapInArrow(run, schema).distinct()
+
+
+def spanning_links(sets: list[np.ndarray], components: np.ndarray, percent: int) -> list[tuple[int, int]]:
+    """Links (i, j) that join all linked components of some sets, from an inverted index of their elements.
+
+    Members of small components are probed first; the search ends when those not yet probed are of one component.
+    """
+    sizes = np.array([len(x) for x in sets])
+    at = np.concatenate([[0], np.cumsum(sizes)])
+    held = np.unique(np.concatenate(sets), return_inverse=True)[1]
+    owner = np.repeat(np.arange(len(sets)), sizes)[np.argsort(held, kind="stable")]
+    many = np.bincount(held)
+    begin = np.cumsum(many) - many
+    component = np.unique(components, return_inverse=True)[1]
+    left, links = np.ones(len(sets), dtype=bool), []
+    for i in np.argsort(np.bincount(component)[component], kind="stable").tolist():
+        if (component[left] == component[i]).all():
+            break
+        left[i] = False
+        terms = held[at[i] : at[i + 1]]
+        count = many[terms]
+        index = np.arange(count.sum()) - np.repeat(np.cumsum(count) - count, count) + np.repeat(begin[terms], count)
+        shared = np.bincount(owner[index], minlength=len(sets))
+        hits = np.flatnonzero((shared > 0) & (component != component[i]) & (100 * shared >= percent * (sizes + sizes[i] - shared)))
+        for j in hits.tolist():
+            if component[j] != component[i]:
+                links.append((i, j))
+                component[component == component[j]] = component[i]
+    return links
+
+
+def verified_groups(groups: DataFrame, docs: DataFrame, k: int, percent: int) -> DataFrame:
+    """Links (a, b) that join the linked components within each group; ``groups`` has (node, component, g1, g2, weight)."""
+    id_type = groups.schema["node"].dataType.simpleString()
+    keys = ["g1", "g2", "x", "y"]
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        last, nodes, components, sets = None, [], [], []
 
-    chunks = F.ceil(F.col("size") / UNIT).cast("int")
-    dealt = members.withColumn("own", F.pmod(F.xxhash64("node"), chunks).cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0), chunks - 1)))
-    units = dealt.select("key", F.least("own", "other").alias("x"), F.greatest("own", "other").alias("y"), "node", "component", "n", "point")
-    together = units.repartition(*tile).sortWithinPartitions(*tile)
-    return together.mapInArrow(run, f"a {id_type}, b {id_type}").distinct()
+        def linked() -> pa.RecordBatch:
+            links = np.array(spanning_links(sets, np.array(components), percent), dtype=np.int64).reshape(-1, 2)
+            own = np.array(nodes)
+            return id_pairs(own[links[:, 0]], own[links[:, 1]])
+
+        for whole in batches:
+            for start in range(0, whole.num_rows, 200):
+                batch = whole.slice(start, 200)
+                node, component = batch.column("node").to_pylist(), batch.column("component").to_pylist()
+                key = list(zip(*(batch.column(c).to_pylist() for c in keys)))
+                for first, h, _, sizes in sets_of(batch.column("text"), k):
+                    at = np.concatenate([[0], np.cumsum(sizes)])
+                    for i in range(len(sizes)):
+                        if key[first + i] != last:
+                            if len(nodes) > 1:
+                                yield linked()
+                            last, nodes, components, sets = key[first + i], [], [], []
+                        nodes.append(node[first + i]), components.append(component[first + i]), sets.append(h[at[i] : at[i + 1]].copy())
+        if len(nodes) > 1:
+            yield linked()
+
+    dealt = chunk_pairs(few(groups), "node", F.ceil(F.col("weight") / GROUP_SHINGLES).cast("int"))
+    texts = docs.select(F.col("id").alias("node"), "text")
+    rows = texts.join(dealt, "node").select(*keys, "node", "component", "text")
+    return together(rows, keys, "node").mapInArrow(run, f"a {id_type}, b {id_type}").distinct()
+
+
+def few(ids: DataFrame) -> DataFrame:
+    """A written table, to be broadcast if its checked number of rows is small and shuffled otherwise."""
+    return F.broadcast(ids) if ids.count() <= BROADCAST_IDS else ids
+
+
+def hot_tiles(table: DataFrame) -> DataFrame:
+    """Keys of tiles with more than ``UNIT`` rows, from the counts of single tasks.
+
+    A tile that is missed has fewer than ``LOCAL`` rows in every task, so it is small beside a task's input,
+    whatever the table's size. Copies count here, so a tile may be called hot that has few members: it is
+    counted otherwise then, and treated as what it is.
+    """
+    seen = table.where("often IS NOT NULL").select(F.explode("often").alias("o")).groupBy("o.key").agg(F.sum("o.seen").alias("seen"))
+    return seen.where(F.col("seen") > UNIT).select("key")
+
+
+def met_tiles(table: DataFrame, firsts: DataFrame, k: int, percent: int) -> DataFrame:
+    """(key, node, size, hub) of the members of tiles with several ids, one tile for each set of members; written.
+
+    ``firsts`` has the texts (id, text) of representatives. Hot tiles are counted by partial aggregation, all others
+    side by side. ``hub`` is the smallest id.
+    """
+    hot = save(hot_tiles(table), "hot-tiles")
+    tiles = tile_table(firsts, k, percent).select("node", F.explode("keys").alias("key"))
+    tile = Window.partitionBy("key")
+    any_hot, cold = not hot.isEmpty(), tiles
+    if any_hot:
+        cold = tiles.join(few(hot), "key", "left_anti")
+    figures = {"size": F.count("*").over(tile), "hub": F.min("node").over(tile), "last": F.max("node").over(tile), "mark": F.bit_xor(F.xxhash64("node")).over(tile)}
+    met = cold.select("key", "node", *(c.alias(n) for n, c in figures.items())).where("hub < last")
+    if any_hot:
+        rows = save(tiles.join(few(hot), "key"), "hot-rows")
+        counts = rows.groupBy("key").agg(F.count("*").alias("size"), F.min("node").alias("hub"), F.max("node").alias("last"), F.bit_xor(F.xxhash64("node")).alias("mark"))
+        met = met.unionByName(rows.join(few(save(counts.where("hub < last"), "hot-counts")), "key").select(*met.columns))
+    met = save(met, "tiles")
+    sole = met.groupBy("size", "hub", "last", "mark").agg(F.min("key").alias("key")).select("key")
+    sole = save(met.join(sole, "key", "left_semi").select("key", "node", "size", "hub"), "sole-tiles")
+    drop(met.sparkSession, met, hot)
+    return sole
 
 
 def join_components(documents: DataFrame, k: int = 5, percent: int = 80, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(id, n_shingles, component_id) for every row; ids are whole numbers."""
     docs = documents.select(F.col(id_col).alias("id"), F.col(text_col).cast("string").alias("text"))
+    spark = documents.sparkSession
     table = save(point_table(docs, k, percent), "points")
     named = table.where("id IS NOT NULL AND n > 0")
-    classes = save(named.groupBy("s1", "s2").agg(F.min(F.struct("id", "row")).alias("first")).select("s1", "s2", "first.*"), "classes")
-    firsts = named.join(classes.select("row"), "row", "left_semi")
-
-    tiles = firsts.select(F.col("id").alias("node"), F.explode("keys").alias("key"))
-    tile = Window.partitionBy("key")
-    met = tiles.select("key", "node", F.min("node").over(tile).alias("hub"), F.max("node").over(tile).alias("last")).where("hub < last").drop("last")
-    met = save(met, "tiles")
-    points = save(firsts.select(F.col("id").alias("node"), "n", "point").join(met.select("node").distinct(), "node", "left_semi").distinct(), "tile-points")
-
-    def side(name: str) -> DataFrame:
-        return points.select(F.col("node").alias(name), F.col("n").alias(f"n{name}"), F.col("point").alias(f"p{name}"))
-
-    stars = met.where("hub < node").select(F.col("hub").alias("a"), F.col("node").alias("b")).distinct()
-    may = within_bound(stars.join(side("a"), "a").join(side("b"), "b").select("a", "b", "na", "nb", "pa", "pb"), percent)
-    star_pairs = save(may, "star-pairs")
-    wanted = points.select(F.col("node").alias("id")).distinct()
-    texts = docs.join(F.broadcast(wanted) if points.count() <= BROADCAST_IDS else wanted, "id", "left_semi")
-    texts = save(texts, "tile-texts")
-    star_links = save(verified(star_pairs, texts, k, percent), "star-links")
-    near = save(contract_components(star_links, "a", "b"), "near").select(F.col("id").alias("node"), F.col("label"))
-
-    labelled = met.where("hub < node").join(near, "node", "left").select("key", "node", F.coalesce("label", "node").alias("component"))
-    mixed_tiles = labelled.select("key", "node", "component", F.min("component").over(tile).alias("lo"), F.max("component").over(tile).alias("hi"), F.count("*").over(tile).alias("size")).where("lo < hi")
-    members = mixed_tiles.select("key", "node", "component", "size").join(points, "node")
-    rest = tree_pairs(members, percent)
-    tree_links = save(verified(save(rest, "tree-pairs"), texts, k, percent), "tree-links")
+    classes = save(named.groupBy("s1", "s2").agg(F.min("id").alias("id")), "classes")
+    first_ids = save(classes.select("id").distinct(), "first-ids")
+    met = met_tiles(table, docs.join(few(first_ids), "id", "left_semi"), k, percent)
+    points = named.join(few(first_ids), "id", "left_semi").select(F.col("id").alias("node"), "n", "point")
+    pairs = save(first_pairs(met.join(points, "node"), percent), "first-pairs")
+    first_links = save(verified(pairs, docs, k, percent), "first-links")
+    near = save(contract_components(first_links, "a", "b"), "near").select(F.col("id").alias("node"), F.col("label"))
+
+    labelled = met.where("size > 2").join(near, "node", "left").select("key", "node", "size", F.coalesce("label", "node").alias("component"))
+    several = labelled.groupBy("key").agg(F.min("component").alias("lo"), F.max("component").alias("hi")).where("lo < hi").select("key")
+    hits = save(mixed_hits(labelled.join(several, "key", "left_semi").join(points, "node"), percent), "hits")
+    rest = save(hits.where("b IS NOT NULL").select("a", "b").join(pairs, ["a", "b"], "left_anti"), "all-pairs")
+    later_links = save(verified(rest, docs, k, percent), "later-links")
+    groups = hits.where("b IS NULL").select(F.col("a").alias("node"), "g1", "g2", "weight")
+    grouped = save(groups.join(near, "node", "left").select("node", F.coalesce("label", "node").alias("component"), "g1", "g2", "weight"), "groups")
+    group_links = save(verified_groups(grouped, docs, k, percent), "group-links")
 
     same_id = named.select("id", "s1", "s2").join(classes.select("s1", "s2", F.col("id").alias("rep")), ["s1", "s2"]).where("id <> rep").select(F.col("id").alias("a"), F.col("rep").alias("b")).distinct()
     several = named.groupBy("id").agg(F.min("s1").alias("lo"), F.max("s1").alias("hi")).where("lo < hi").select(F.col("id").alias("a"))
     doubled = same_id.join(several, "a", "left_semi")
-    whole = save(contract_components(star_links.unionByName(tree_links).unionByName(doubled), "a", "b"), "components")
+    known = near.where("node <> label").select(F.col("node").alias("a"), F.col("label").alias("b"))
+    whole = save(contract_components(known.unionByName(later_links).unionByName(group_links).unionByName(doubled), "a", "b"), "components")
+    drop(spark, met, first_ids, pairs, first_links, hits, rest, later_links, grouped, group_links)
     labels = classes.join(whole, "id", "left").select("s1", "s2", F.coalesce("label", "id").alias("component_id"))
     own = whole.select(F.col("id"), F.col("label").alias("own"))
-    out = table.select("id", "n", "s1", "s2").join(labels, ["s1", "s2"], "left").join(own, "id", "left")
+    out = table.where("often IS NULL").select("id", "n", "s1", "s2").join(labels, ["s1", "s2"], "left").join(own, "id", "left")
     component = F.when(F.col("n") == 0, F.coalesce("own", "id")).otherwise(F.least("component_id", "own"))
     return out.select(F.col("id").alias(id_col), F.col("n").alias("n_shingles"), F.when(F.col("id").isNotNull(), component).alias("component_id"))
 
@@ -397,14 +674,13 @@ def join_links(documents: DataFrame, k: int = 5, percent: int = 80, id_col: str
     docs = documents.select(F.col(id_col).alias("id"), F.col(text_col).cast("string").alias("text"))
     table = save(point_table(docs, k, percent), "points")
     named = table.where("id IS NOT NULL AND n > 0")
-    classes = save(named.groupBy("s1", "s2").agg(F.min(F.struct("id", "row")).alias("first")).select("first.*"), "classes")
-    firsts = named.join(classes.select("row"), "row", "left_semi")
-    tiles = firsts.select(F.col("id").alias("node"), "n", "point", F.explode("keys").alias("key"))
-    sized = tiles.withColumn("size", F.count("*").over(Window.partitionBy("key"))).where("size > 1")
+    firsts = save(named.groupBy("s1", "s2").agg(F.min("id").alias("id")).select("id").distinct(), "first-ids")
     # Every member is a component of its own, so that no pair of a tile is passed over.
-    members = sized.select("key", "node", F.col("node").alias("component"), "size", "n", "point")
+    met = met_tiles(table, docs.join(few(firsts), "id", "left_semi"), k, percent)
+    points = named.join(few(firsts), "id", "left_semi").select(F.col("id").alias("node"), "n", "point")
+    members = met.join(points, "node").withColumn("component", F.col("node"))
     pairs = save(tree_pairs(members, percent), "link-pairs")
-    return verified(pairs, docs.join(classes.select("id"), "id", "left_semi"), k, percent)
+    return verified(pairs, docs.join(few(firsts), "id", "left_semi"), k, percent)
 
 
 def oracle(k: int, percent: int) -> str:
