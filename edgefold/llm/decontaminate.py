@@ -15,9 +15,14 @@ with half of that as stride, so any run of an item's length lies in one passage.
 4. a retrieved item is verified: the share of word trigrams of its question part and of its answer part
    that the passage holds must reach their limits.
 
-The index is broadcast in shards of at most ``SHARD`` items, each a pass over the texts, so its size is
-bounded whatever the benchmark's; items, mean length and document frequencies are the whole benchmark's
-in every shard. Nothing is shuffled.
+The index is broadcast in shards of at most ``SHARD`` items. The corpus is read and hashed once: a task holds the
+hashes of about ``HELD`` bytes of texts and takes one shard after another into memory for them, so neither
+the number of passes nor a task's memory grows with the benchmark. Items, mean length and document frequencies
+are the whole benchmark's in every shard. Nothing is shuffled.
+
+A pivot over term-ordered cursors, as a query of few terms against millions of documents needs, skips blocks whose
+maxima can't reach the limit. Here a query has hundreds of terms and a super-block a dozen blocks, so the maxima of all
+its blocks are summed at once, which leaves the same blocks and no others.
 
 Items are (id, text) or have question and answer columns; of a plain text the last sentence is the
 answer part. Words are runs of letters and digits, lower-cased. Cases: null, empty and wordless texts
@@ -29,7 +34,6 @@ from __future__ import annotations
 
 import re
 from collections.abc import Iterator
-from functools import reduce
 
 import numpy as np
 import pyarrow as pa
@@ -41,6 +45,8 @@ from .hashing import PUNCTUATION, pieces, shingles, words
 K1, B = 1.2, 0.75
 LIMIT, QUESTION_SHARE, ANSWER_SHARE = 0.6, 0.6, 0.5
 GRAM, BLOCK, SUPER, SHARD = 3, 16, 6, 1024
+#: Bytes of text whose hashes a task holds for all shards, and terms of windows that are sorted at once.
+HELD, CELLS_AT_ONCE = 8_000_000, 500_000
 SENTENCE = re.compile(r"(?<=[.!?])\s+|\n+")
 
 
@@ -165,8 +171,9 @@ class Index:
     def _distinct(self, group: Group, term: np.ndarray, a: np.ndarray, b: np.ndarray, windows: np.ndarray, limit: float) -> list[int]:
         """The windows for which the bounds of some block over the distinct terms reach the limit."""
         left, place = [], np.arange(group.length)
-        for at in range(0, len(windows), 4096):
-            w = windows[at : at + 4096]
+        step = max(1, CELLS_AT_ONCE // group.length)
+        for at in range(0, len(windows), step):
+            w = windows[at : at + step]
             index = a[w][:, None] + place
             terms = np.where(index < b[w][:, None], term[np.minimum(index, len(term) - 1)], len(self.vocabulary))
             terms.sort(axis=1)
@@ -221,6 +228,39 @@ def shards(benchmark: DataFrame, item_col: str, text_col: str, question_col: str
         yield Index(batch, known)
 
 
+def small_batches(batches: Iterator[pa.RecordBatch], rows: int = 1000) -> Iterator[pa.RecordBatch]:
+    for batch in batches:
+        yield from (batch.slice(a, rows) for a in range(0, batch.num_rows, rows))
+
+
+def hits(batches: Iterator[pa.RecordBatch], shared: list, limit: float) -> Iterator[tuple[pa.RecordBatch, list[tuple]]]:
+    """(batch, its hits as (row, item id, score, question share, answer share)) over all shards of the index."""
+    held: list[tuple[pa.RecordBatch, list, list]] = []
+    size = 0
+
+    def searched() -> Iterator[tuple[pa.RecordBatch, list[tuple]]]:
+        for shard in shared:
+            index = shard.value
+            for _, runs, found in held:
+                for first, hashes, rows, n_rows in runs:
+                    found += [(first + h[0], index.ids[h[1]], *h[2:]) for h in index.search(hashes, rows, n_rows, limit)]
+            if len(shared) > 1:
+                vars(shard).pop("_value", None)
+        yield from ((batch, found) for batch, _, found in held)
+        held.clear()
+
+    for batch in small_batches(batches):
+        runs = []
+        for first, data, bounds in pieces(batch.column("text"), lowered=True):
+            runs.append((first, *words(data, bounds, PUNCTUATION)[:2], len(bounds) - 1))
+            size += len(data)
+        held.append((batch, runs, []))
+        if size >= HELD or len(shared) < 2:
+            yield from searched()
+            size = 0
+    yield from searched()
+
+
 def contaminated(
     docs: DataFrame,
     benchmark: DataFrame,
@@ -235,26 +275,31 @@ def contaminated(
     """(id, item_id, score, question_share, answer_share): every verified pair of a text and an item."""
     source = docs.select(F.col(id_col).alias("id"), F.col(text_col).cast("string").alias("text"))
     id_type, item_type = source.schema["id"].dataType.simpleString(), benchmark.schema[item_col].dataType.simpleString()
-    schema = f"id {id_type}, item {item_type}, score double, question_share double, answer_share double"
-    spark = docs.sparkSession
-
-    def searched(index: Index) -> DataFrame:
-        shared = spark.sparkContext.broadcast(index)
-
-        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            index = shared.value
-            item_kind = pa.array(index.ids).type if any(i is not None for i in index.ids) else pa.int64()
-            for batch in batches:
-                for first, data, bounds in pieces(batch.column("text"), lowered=True):
-                    hashes, rows, _, _ = words(data, bounds, PUNCTUATION)
-                    hits = index.search(hashes, rows, len(bounds) - 1, limit)
-                    if hits:
-                        ids = batch.column("id").take(pa.array([first + h[0] for h in hits], pa.int64()))
-                        items = pa.array([index.ids[h[1]] for h in hits], item_kind)
-                        yield pa.RecordBatch.from_arrays([ids, items, *(pa.array([h[k] for h in hits], pa.float64()) for k in (2, 3, 4))], ["id", "item", "score", "question_share", "answer_share"])
-
-        return source.mapInArrow(run, schema)
-
-    found = [searched(index) for index in shards(benchmark, item_col, item_text_col, question_col, answer_col)]
-    whole = reduce(DataFrame.unionByName, found) if found else spark.createDataFrame([], schema)
-    return whole.withColumnRenamed("id", id_col).withColumnRenamed("item", item_col)
+    context = docs.sparkSession.sparkContext
+    shared = [context.broadcast(index) for index in shards(benchmark, item_col, item_text_col, question_col, answer_col)]
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch, found in hits(batches, shared, limit):
+            if found:
+                row, item, *figures = (list(x) for x in zip(*found))
+                ids = batch.column("id").take(pa.array(row, pa.int64()))
+                items = pa.array(item) if any(i is not None for i in item) else pa.nulls(len(item), pa.int64())
+                yield pa.RecordBatch.from_arrays([ids, items, *(pa.array(x, pa.float64()) for x in figures)], ["id", "item", "score", "question_share", "answer_share"])
+
+    found = source.mapInArrow(run, f"id {id_type}, item {item_type}, score double, question_share double, answer_share double")
+    return found.withColumnRenamed("id", id_col).withColumnRenamed("item", item_col)
+
+
+def clean(docs: DataFrame, benchmark: DataFrame, text_col: str = "text", item_col: str = "item_id", item_text_col: str = "text", limit: float = LIMIT) -> DataFrame:
+    """The rows of ``docs``, all columns, whose text holds no verified item; ids play no part, so they may be null or repeated."""
+    source = docs.select(F.struct(*docs.columns).alias("row"), F.col(text_col).cast("string").alias("text"))
+    context = docs.sparkSession.sparkContext
+    shared = [context.broadcast(index) for index in shards(benchmark, item_col, item_text_col, None, None)]
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch, found in hits(batches, shared, limit):
+            kept = np.ones(batch.num_rows, dtype=bool)
+            kept[[row for row, *_ in found]] = False
+            yield batch.select(["row"]).filter(pa.array(kept))
+
+    return source.mapInArrow(run, f"row {source.schema['row'].dataType.simpleString()}").select("row.*")
