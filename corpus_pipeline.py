@@ -18,12 +18,6 @@ from edgefold.runtime.scratch import save
 BROADCAST_IDS = 500_000
 
 
-def without(docs: DataFrame, ids: DataFrame) -> DataFrame:
-    """``docs`` without those whose doc_id is among ``ids``; rows without an id stay."""
-    ids = save(ids.select("doc_id").distinct(), "dropped-ids")
-    return docs.join(F.broadcast(ids) if ids.count() <= BROADCAST_IDS else ids, "doc_id", "left_anti").select(*docs.columns)
-
-
 def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     return quality.keep(docs)
 
@@ -35,18 +29,22 @@ def dedup_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group stays: the one whose id names the group, once."""
-    found = save(ngram_join.join_components(docs), "groups")
-    kept = without(docs, found.where("doc_id <> component_id"))
-    repeated = found.where("doc_id IS NOT NULL").groupBy("doc_id").count().where("count > 1").limit(1).count()
-    if repeated:
-        named = kept.where("doc_id IS NOT NULL").dropDuplicates(["doc_id"])
-        kept = named.unionByName(kept.where("doc_id IS NULL"))
-    return kept
+    """One document of each group stays: that of the smallest id, the first of its rows.
+
+    Rows are numbered, so a document is a row, whatever ids repeat: of equal rows one stays, of different
+    texts under one id each is judged for itself. Rows without an id link with nothing, as in the join, and stay.
+    """
+    numbered = save(docs.select(F.monotonically_increasing_id().alias("number"), F.struct(*docs.columns).alias("doc")), "numbered")
+    named = numbered.where("doc.doc_id IS NOT NULL").select("number", "doc.doc_id", "doc.text")
+    found = save(ngram_join.join_components(named, id_col="number").select("number", F.col("component_id").alias("component")), "groups")
+    ranked = found.join(named.select("number", "doc_id"), "number").groupBy("component").agg(F.min(F.struct("doc_id", "number")).alias("first"), F.count("*").alias("n"))
+    dropped = save(found.join(ranked.where("n > 1"), "component").where("number <> first.number").select("number"), "dropped")
+    few = F.broadcast(dropped) if dropped.count() <= BROADCAST_IDS else dropped
+    return numbered.join(few, "number", "left_anti").select("doc.*")
 
 
 def decontamination(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return without(docs, decontaminate.contaminated(docs, table(spark, sf_dir, "benchmark")))
+    return decontaminate.clean(docs, table(spark, sf_dir, "benchmark"))
 
 
 def pack(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

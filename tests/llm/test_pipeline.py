@@ -47,3 +47,18 @@ def test_repeated_rows_and_nulls(spark, small):
 
 def test_run_gives_rows(spark, small):
     assert cp.run(spark, small).count() > 0 and cp.ORACLE_SQL is None and len(cp.STAGES) == 5
+
+
+def test_different_texts_under_one_id_are_judged_each(spark, small):
+    a, b = (" ".join(f"{p}{i}" for i in range(60)) for p in "ab")
+    rows = [(1, b), (2, a), (2, b + " x"), (2, a), (3, a + " y")]
+    got = [(r.doc_id, r.text) for r in cp.near_duplicates(spark, spark.createDataFrame(rows, "doc_id long, text string"), small).collect()]
+    assert sorted(got) == [(1, b), (2, a)]
+
+
+def test_contaminated_rows_go_whatever_their_id(spark, small):
+    item = spark.read.parquet(f"{small}/benchmark.parquet").where("length(text) > 80").first().text
+    rows = [(None, "before " + item + " after", 1), (7, item, 2), (7, "clean text", 3), (None, None, 4), (8, "", 5)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, row long")
+    got = cp.decontamination(spark, docs, small)
+    assert got.columns == docs.columns and sorted(r.row for r in got.collect()) == [3, 4, 5]
