@@ -18,6 +18,7 @@ PIECE = 1_000_000
 _BASE = np.uint64(0x9E3779B97F4A7C15)
 _rng = np.random.Generator(np.random.PCG64(20240117))
 _BYTE = _rng.integers(1, 2**63, 256, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
+_EXACT = _BYTE.copy()
 _BYTE[65:91] = _BYTE[97:123]  # A-Z hash as a-z
 _SHIFTS = _rng.integers(1, 2**63, 64, dtype=np.uint64) | np.uint64(1)
 #: Separators: ASCII white space (x20, x09-x0D), or every ASCII character but letters and digits.
@@ -53,8 +54,8 @@ def pieces(column: pa.Array, lowered: bool = False) -> Iterator[tuple[int, np.nd
         yield a, data[bounds[0] : bounds[-1]], bounds - bounds[0]
 
 
-def words(data: np.ndarray, bounds: np.ndarray, separators: np.ndarray = SPACE) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    """(hash, row, start, end) of every word, in order."""
+def words(data: np.ndarray, bounds: np.ndarray, separators: np.ndarray = SPACE, exact: bool = False) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """(hash, row, start, end) of every word, in order; letters A-Z hash as a-z unless ``exact``."""
     n = len(data)
     if n == 0:
         none = np.zeros(0, dtype=np.int64)
@@ -69,7 +70,7 @@ def words(data: np.ndarray, bounds: np.ndarray, separators: np.ndarray = SPACE)
     start, end = np.flatnonzero(begins), np.flatnonzero(ends) + 1
     size = 1 << max(16, int(n - 1).bit_length())
     power, inverse = _powers(size)
-    sums = np.concatenate([[np.uint64(0)], np.cumsum(_BYTE[data] * power[:n])])
+    sums = np.concatenate([[np.uint64(0)], np.cumsum((_EXACT if exact else _BYTE)[data] * power[:n])])
     hashes = mixed((sums[end] - sums[start]) * inverse[start] + (end - start).astype(np.uint64))
     return hashes, np.searchsorted(bounds, start, "right") - 1, start, end
 
