@@ -7,7 +7,8 @@ from its pages. Lines are compared trimmed, by 64-bit hash; blank lines are neve
 Only (host, line hash) counts are shuffled, after partial counting in the map tasks, so a line that
 every page holds is one row per task. The boilerplate of one host has at most
 100 * (lines per page) / max_percent members, whatever the host's size, because each takes up that
-share of its pages. The sets are broadcast if their checked total is small and joined by host
+share of its pages. They are laid out as a hash table, an array of about as many slots as lines, so that a line
+costs one slot's few comparisons. The tables are broadcast if their checked total is small and joined by host
 otherwise, where a hot host's pages may be split over tasks.
 
 Cases: a null host is a host of its own; null texts have no lines and stay null; repeated rows are
@@ -31,27 +32,35 @@ def line_key(line: Column) -> Column:
 
 
 def boilerplate(docs: DataFrame, host_col: str = "source", text_col: str = "text", max_percent: int = 5, min_pages: int = 5) -> DataFrame:
-    """(host, lines): the hashes of each host's boilerplate lines."""
+    """(host, line): the hash of each host's boilerplate lines."""
     pages = docs.select(F.coalesce(F.col(host_col).cast("string"), F.lit("\0")).alias("host"), F.col(text_col).cast("string").alias("text"))
     full = F.filter(F.split("text", "\n"), lambda x: F.btrim(x, F.lit(EDGE)) != "")
     lines = pages.select("host", F.explode(F.array_distinct(F.transform(full, line_key))).alias("line"))
     counts = lines.groupBy("host", "line").agg(F.count("*").alias("pages")).where(F.col("pages") >= min_pages)
     totals = pages.groupBy("host").agg(F.count("*").alias("total"))
-    frequent = counts.join(totals, "host").where(100 * F.col("pages") > max_percent * F.col("total"))
-    return frequent.groupBy("host").agg(F.collect_set("line").alias("lines"))
+    return counts.join(totals, "host").where(100 * F.col("pages") > max_percent * F.col("total")).select("host", "line")
+
+
+def slots(lines: DataFrame) -> DataFrame:
+    """(host, slots): an array of arrays; a line is in slot ``line mod size``, and the size is a power of two."""
+    sizes = lines.groupBy("host").agg(F.pow(F.lit(2), F.ceil(F.log2(F.count("*")))).cast("long").alias("size"))
+    held = lines.join(sizes, "host").groupBy("host", F.pmod("line", "size").alias("slot")).agg(F.collect_set("line").alias("lines"))
+    every = sizes.select("host", F.explode(F.sequence(F.lit(0).cast("long"), F.col("size") - 1)).alias("slot"))
+    full = every.join(held, ["host", "slot"], "left").groupBy("host").agg(F.array_sort(F.collect_list(F.struct("slot", F.coalesce("lines", F.array().cast("array<bigint>")).alias("lines")))).alias("all"))
+    return full.select("host", F.transform("all", lambda x: x["lines"]).alias("slots"))
 
 
 def dedup_lines(docs: DataFrame, host_col: str = "source", text_col: str = "text", max_percent: int = 5, min_pages: int = 5) -> DataFrame:
     """(row, text, n_lines, n_dropped): the input row as a struct, its text without boilerplate, line counts."""
-    found = save(boilerplate(docs, host_col, text_col, max_percent, min_pages), "boilerplate")
-    size = found.agg(F.coalesce(F.sum(F.size("lines") + 1), F.lit(0))).first()[0]
+    lines = save(boilerplate(docs, host_col, text_col, max_percent, min_pages), "boilerplate")
+    found, size = slots(lines), lines.count()
     rows = docs.select(F.struct(*docs.columns).alias("row"), F.coalesce(F.col(host_col).cast("string"), F.lit("\0")).alias("host"), F.col(text_col).cast("string").alias("_text"))
     joined = rows.join(F.broadcast(found) if size <= BROADCAST_LINES else found, "host", "left")
     every = F.split("_text", "\n")
-    kept = F.filter(every, lambda x: ~F.array_contains("lines", line_key(x)))
-    text = F.when(F.col("lines").isNull(), F.col("_text")).otherwise(F.array_join(kept, "\n"))
+    kept = F.filter(every, lambda x: ~F.array_contains(F.get("slots", F.pmod(line_key(x), F.size("slots"))), line_key(x)))
+    text = F.when(F.col("slots").isNull(), F.col("_text")).otherwise(F.array_join(kept, "\n"))
     n_lines = F.coalesce(F.size(every), F.lit(0))
-    n_kept = F.when(F.col("lines").isNull(), n_lines).otherwise(F.coalesce(F.size(kept), F.lit(0)))
+    n_kept = F.when(F.col("slots").isNull(), n_lines).otherwise(F.coalesce(F.size(kept), F.lit(0)))
     has_text = F.col("_text").isNotNull()
     return joined.select(
         "row",
