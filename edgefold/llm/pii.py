@@ -6,14 +6,19 @@ pseudonyms in every document, and different values stay different:
 
 * account and card numbers (13 to 19 digits, also in groups of four): all but the last digit are
   permuted; the last is set so that the number's check-sum remainder - 0 for a valid card - is kept.
-  Their form is all that is validated: not every account number has a check sum, so any number of that
-  form is permuted, time stamps, ISBN-13 and order numbers among them;
+  By default their form is all that is validated: not every account number has a check sum, so any number of
+  that form is permuted, time stamps, ISBN-13 and order numbers among them. With ``accounts="checked"`` the
+  check sum must hold, and every other number stays;
 * phone numbers with a country code: the digits after the country code;
-* IPv4 addresses with octets up to 255: permuted among all 32-bit addresses;
+* IPv4 addresses with octets up to 255, without leading zeros: permuted among all 32-bit addresses;
 * calendar dates of 1900-01-01 to 2099-11-13 (ISO, or day.month.year): permuted among those days;
 * local parts of e-mail addresses: letters and digits, each within its class.
 
-A candidate that fails its kind's validation stays as it is. Gaps between candidates are copied.
+A candidate that fails its kind's validation stays as it is. Gaps between candidates are copied. No pattern repeats
+a group without bound, so texts of any length are matched in a bounded stack.
+
+Whoever has the key can undo the pseudonyms. It is an argument, or the session's setting ``KEY_SETTING``; ``KEY`` in
+this module is for tests and examples.
 
 Cases: null text stays null with counts 0; null ids are kept; repeated rows get equal results; empty
 tables give empty results; very long texts are treated whole; other columns are ignored.
@@ -25,9 +30,10 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 KEY = "edgefold-default-key"
+KEY_SETTING = "spark.edgefold.pseudonym.key"
 ROUNDS = 8
 #: The forms of candidates.
-EMAIL = r"(?<![A-Za-z0-9._%+-])[A-Za-z0-9._%+-]++@[A-Za-z0-9-]++(?:\.[A-Za-z0-9-]++)+"
+EMAIL = r"(?<![A-Za-z0-9._%+-])[A-Za-z0-9._%+-]++@(?=[A-Za-z0-9-]++\.[A-Za-z0-9-])[A-Za-z0-9.-]++"
 ISO_DATE = r"(?<![0-9.-])[0-9]{4}-[0-9]{2}-[0-9]{2}(?![0-9-])"
 DAY_DATE = r"(?<![0-9./])[0-9]{2}\.[0-9]{2}\.[0-9]{4}(?![0-9])"
 PHONE = r"(?<![0-9A-Za-z+])\+[0-9]{1,3}[ .-]?\(?[0-9]{2,4}\)?[ .-]?[0-9]{3,4}[ .-]?[0-9]{3,4}(?![0-9])"
@@ -81,14 +87,17 @@ def checksum_sql(d: str, with_last: bool) -> str:
     return f"aggregate(transform(split({d}, ''), (c, i) -> {value} - CASE WHEN {value} > 9 THEN 9 ELSE 0 END), 0, (x, y) -> x + y) % 10"
 
 
-def account_sql(m: str, key: str) -> str:
-    """Permute all digits but the last; the last keeps the remainder of the check-sum."""
+def account_sql(m: str, key: str, checked: bool) -> str:
+    """Permute all digits but the last; the last keeps the remainder of the check-sum, which must be 0 if ``checked``."""
     body = _bound(
         f"named_struct('p', substr(d, 1, length(d) - 1), 'o', {checksum_sql('d', True)})",
         "x",
         _bound(digits_sql("x.p", "concat('account', x.o, '/')", key), "n", f"concat(n, (20 + x.o - {checksum_sql('n', False)}) % 10)"),
     )
-    return _bound(f"regexp_replace({m}, '[^0-9]', '')", "d", _bound(body, "e", refilled_sql(m, "e")))
+    made = _bound(body, "e", refilled_sql(m, "e"))
+    if checked:
+        made = f"CASE WHEN {checksum_sql('d', True)} = 0 THEN {made} ELSE {m} END"
+    return _bound(f"regexp_replace({m}, '[^0-9]', '')", "d", made)
 
 
 def phone_sql(m: str, key: str) -> str:
@@ -101,7 +110,7 @@ def phone_sql(m: str, key: str) -> str:
 def address_sql(m: str, key: str) -> str:
     pair = feistel_sql("cast(o[0] AS int) * 256 + cast(o[1] AS int)", "cast(o[2] AS int) * 256 + cast(o[3] AS int)", "65536", "65536", _q("address"), key)
     shown = _bound(pair, "f", "concat_ws('.', f.a div 256, f.a % 256, f.b div 256, f.b % 256)")
-    made = f"CASE WHEN forall(o, x -> cast(x AS int) <= 255) THEN {shown} ELSE {m} END"
+    made = f"CASE WHEN forall(o, x -> cast(x AS int) <= 255 AND (x = '0' OR x NOT LIKE '0%')) THEN {shown} ELSE {m} END"
     return _bound(f"split({m}, '[.]')", "o", made)
 
 
@@ -116,9 +125,11 @@ def email_sql(m: str, key: str) -> str:
     """Feistel over two halves of the local part, shifting letters and digits within their classes."""
 
     def shifted(half: str, other: str, r: str) -> str:
-        byte = f"cast(conv(substr(sha2(concat_ws('|', {_q(key)}, 'email', {r}, {other}, i div 16), 256), (i % 16) * 4 + 1, 4), 16, 10) AS int)"
+        seed = f"sha2(concat_ws('|', {_q(key)}, 'email', {r}, {other}), 256)"
+        byte = "cast(conv(substr(sha2(concat_ws('|', h, i div 16), 256), (i % 16) * 4 + 1, 4), 16, 10) AS int)"
         inside = lambda low, n: f"chr(ascii('{low}') + (ascii(c) - ascii('{low}') + {byte}) % {n})"
-        return f"array_join(transform(split({half}, ''), (c, i) -> CASE WHEN c RLIKE '[a-z]' THEN {inside('a', 26)} WHEN c RLIKE '[A-Z]' THEN {inside('A', 26)} WHEN c RLIKE '[0-9]' THEN {inside('0', 10)} ELSE c END), '')"
+        new = f"CASE WHEN c RLIKE '[a-z]' THEN {inside('a', 26)} WHEN c RLIKE '[A-Z]' THEN {inside('A', 26)} WHEN c RLIKE '[0-9]' THEN {inside('0', 10)} ELSE c END"
+        return _bound(seed, "h", f"array_join(transform(split({half}, ''), (c, i) -> {new}), '')")
 
     local, half = f"substring_index({m}, '@', 1)", f"cast(ceil(length(substring_index({m}, '@', 1)) / 2) AS int)"
     step = f"CASE WHEN r % 2 = 0 THEN named_struct('a', {shifted('t.a', 't.b', 'r')}, 'b', t.b) ELSE named_struct('a', t.a, 'b', {shifted('t.b', 't.a', 'r')}) END"
@@ -126,7 +137,7 @@ def email_sql(m: str, key: str) -> str:
     return _bound(loop, "f", f"concat(f.a, f.b, '@', substring_index({m}, '@', -1))")
 
 
-def pseudonym_sql(m: str, key: str) -> str:
+def pseudonym_sql(m: str, key: str, checked: bool = False) -> str:
     """SQL that maps a candidate to (kind, new)."""
     full = lambda p: f"{m} RLIKE {_q(f'^(?:{p})$')}"
     cases = (
@@ -137,15 +148,21 @@ def pseudonym_sql(m: str, key: str) -> str:
         ("address", full("[0-9.]*[.][0-9.]*"), address_sql(m, key)),
     )
     when = " ".join(f"WHEN {test} THEN named_struct('kind', '{kind}', 'new', {made})" for kind, test, made in cases)
-    return f"CASE {when} ELSE named_struct('kind', 'account', 'new', {account_sql(m, key)}) END"
+    return f"CASE {when} ELSE named_struct('kind', 'account', 'new', {account_sql(m, key, checked)}) END"
+
 
+def pseudonymise(docs: DataFrame, key: str | None = None, id_col: str = "doc_id", text_col: str = "text", accounts: str = "form") -> DataFrame:
+    """(id, text, n_<kind> for every kind, n_changed) with pseudonyms in place of validated values.
 
-def pseudonymise(docs: DataFrame, key: str = KEY, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """(id, text, n_<kind> for every kind, n_changed) with pseudonyms in place of validated values."""
+    ``accounts`` is "form" or "checked": whether a number's form alone or its check sum too validates it.
+    """
+    if accounts not in ("form", "checked"):
+        raise ValueError(f"accounts must be form or checked, not {accounts}")
+    key = key or docs.sparkSession.conf.get(KEY_SETTING, KEY)
     rows = docs.select(F.col(id_col).alias("_id"), F.col(text_col).cast("string").alias("_t"))
     found = f"regexp_extract_all(_t, {_q(CANDIDATE)}, 0)"
     gaps = f"split(_t, {_q(CANDIDATE)}, -1)"
-    named = f"transform({found}, m -> {_bound(pseudonym_sql('m', key), 'p', 'named_struct(' + chr(39) + 'old' + chr(39) + ', m, ' + chr(39) + 'kind' + chr(39) + ', p.kind, ' + chr(39) + 'new' + chr(39) + ', p.new)')})"
+    named = f"transform({found}, m -> {_bound(pseudonym_sql('m', key, accounts == 'checked'), 'p', 'named_struct(' + chr(39) + 'old' + chr(39) + ', m, ' + chr(39) + 'kind' + chr(39) + ', p.kind, ' + chr(39) + 'new' + chr(39) + ', p.new)')})"
     rows = rows.withColumn("_v", F.expr(f"CASE WHEN _t RLIKE '[0-9@]' THEN {named} END"))
     text = F.expr(f"CASE WHEN size(_v) > 0 THEN array_join(zip_with({gaps}, transform(_v, v -> v.new), (g, n) -> concat(g, coalesce(n, ''))), '') ELSE _t END")
     count = lambda test: F.when(F.col("_v").isNull(), 0).otherwise(F.size(F.filter("_v", test))).cast("long")
