@@ -34,13 +34,24 @@ def with_degrees(g: PropertyGraph) -> DataFrame:
 
 
 def pagerank_run(g: PropertyGraph, iterations: int = 10, arithmetic: str = "double", strategy: Strategy = flat, damping: int = 85, wake: str = ALL, init: float = 1.0, on_step=None, write_every: int | None = None) -> RunResult:
-    """Run and keep the trace. State is written every 5 steps where a step reads it once, else every step."""
-    write_every = write_every or (5 if strategy in (flat, no_premerge) else 1)
-    edges = PropertyGraph(g.vertices, with_degrees(g)).resident().edges
+    """Run and keep the trace. State is written every 5 steps where a step reads it once, else every step.
+
+    The graph's tables are written once, so that whatever they are derived from is read once, not per step.
+    """
+    from ..runtime.scratch import drop, save
+
+    own_layout = hasattr(strategy, "begin")
+    write_every = write_every or (5 if strategy in (flat, no_premerge) or getattr(strategy, "reads_once", False) else 1)
+    plain = save(g.edges.select("src", "dst"), "edges")
+    vertices = save(g.vertices.select("id"), "vertices")
+    edges = with_degrees(PropertyGraph(vertices, plain))
+    edges = edges if own_layout else PropertyGraph(vertices, edges).resident().edges
     try:
-        return run(edges, g.vertices, rank_program(arithmetic, damping, wake, init), iterations, strategy, on_step=on_step, fixed=True, write_every=write_every)
+        return run(edges, vertices, rank_program(arithmetic, damping, wake, init), iterations, strategy, on_step=on_step, fixed=True, write_every=write_every)
     finally:
-        edges.unpersist()
+        if not own_layout:
+            edges.unpersist()
+        drop(g.spark, plain, vertices)
 
 
 def pagerank(g: PropertyGraph, iterations: int = 10, **options) -> DataFrame:

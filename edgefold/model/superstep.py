@@ -12,14 +12,14 @@ import time
 from collections.abc import Callable
 from dataclasses import dataclass, field
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Observation
 from pyspark.sql import functions as F
 
 from ..runtime.scratch import drop, save
 from .algebra import allow_premerge
 from .program import ALL, VertexProgram, seed
 
-#: A strategy turns (edges, frontier, program) into (id, acc).
+#: A strategy turns (edges, frontier, program) into (id, acc). One with ``begin(edges)`` and ``end()`` lays edges out once a run.
 Strategy = Callable[[DataFrame, DataFrame, VertexProgram], DataFrame]
 
 
@@ -139,13 +139,32 @@ def run(
     only; a lost executor then costs that many steps at most.
     """
     program.validate(state)
+    if hasattr(strategy, "begin"):
+        strategy.begin(edges)
+    try:
+        return _loop(edges, vertices, program, max_steps, strategy, state, on_step, fixed, debug_invariants, write_every)
+    finally:
+        if hasattr(strategy, "end"):
+            strategy.end()
+
+
+def _loop(edges, vertices, program, max_steps, strategy, state, on_step, fixed, debug_invariants, write_every) -> RunResult:
     spark = edges.sparkSession
-    current = state if state is not None else save(seed(vertices, program), "state")
-    result, step, owned = RunResult(current, 0, edges=edges), 0, state is None
     chained = fixed and max_steps is not None and program.wake == ALL and not program.reads_result and not program.retire and not program.edge_update and not on_step and vertices is not None
+    chained = chained and write_every > 1
+    waiting = None
+    if state is not None:
+        current = state
+    elif chained:  # the first chain starts from the seeds as they are computed
+        current = seed(vertices, program)
+    else:
+        seen = Observation()
+        current = save(seed(vertices, program), "state", seen, F.count_if("can_emit").alias("waiting"))
+        waiting = seen.get["waiting"]
+    result, step, owned = RunResult(current, 0, edges=edges), 0, state is None and not chained
     while max_steps is None or step < max_steps:
         began = time.time()
-        if chained and write_every > 1:
+        if chained:
             n, after = min(write_every, max_steps - step), current
             static = vertices.select("id", *program.attributes)
             for _ in range(n):
@@ -158,12 +177,14 @@ def run(
             continue
         frontier = current.where("can_emit")
         if not fixed:
-            waiting = frontier.count()
+            waiting = frontier.count() if waiting is None else waiting
             if waiting == 0:
                 break
             result.frontier.append(waiting)
         acc = targeted(edges, frontier, program, current) if program.needs_target else strategy(edges, frontier, program)
-        after = save(settled(current, acc, program), "state")
+        seen = Observation()
+        after = save(settled(current, acc, program), "state", seen, F.count_if("can_emit").alias("waiting"))
+        waiting = seen.get["waiting"]
         if debug_invariants:
             check_invariants(current, after, acc, program)
         if program.edge_update:

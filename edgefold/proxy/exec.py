@@ -1,7 +1,8 @@
 """Super-steps over a proxy graph or a mirror placement, with the messages each direction counted.
 
-Edges stay in their parts. A home's value goes once to every part with an out-proxy of it; edges there
-emit; messages merge within the part; one merged message per in-proxy goes to its home.
+Edges stay in their parts: a strategy lays them out once per run, with their columns, by part and source, and a
+step moves values and merged messages only. A home's value goes once to every part that has out-edges of it;
+edges there emit; messages merge where they are made; merged messages go to their homes.
 """
 
 from __future__ import annotations
@@ -10,47 +11,92 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..model.program import VertexProgram
-from ..model.superstep import Strategy
 from .graph import ProxyGraph
 
 
-def _emitted(edges: DataFrame, values: DataFrame, program: VertexProgram) -> DataFrame:
+def emitted(edges: DataFrame, values: DataFrame, program: VertexProgram) -> DataFrame:
     """(pid, dst, payload) of a placed edge list whose sources' values are (pid, src, _out)."""
     used = edges.where(program.emit_where) if program.emit_where else edges
     return used.join(values, ["pid", "src"]).select("pid", "src", "dst", program.emit(F.col("_out"), F.col).alias("payload")).where("payload IS NOT NULL")
 
 
-def relayed(pg: ProxyGraph, frontier: DataFrame) -> DataFrame:
-    """(pid, src, _out): emitting homes' values in their own part and in those of their out-proxies."""
-    at_home = frontier.join(pg.homes, "id").select(F.col("home").alias("pid"), F.col("id").alias("src"), F.col("outgoing").alias("_out"))
-    routed = frontier.join(pg.routing(), "id").select(F.explode("parts").alias("pid"), F.col("id").alias("src"), F.col("outgoing").alias("_out"))
-    return at_home.unionByName(routed)
+class Resident:
+    """Placed edges and the parts that each source's value goes to, both laid out once for all steps of a run.
 
+    An edge update changes columns that a layout holds, so it isn't offered here.
+    """
 
-def proxied(pg: ProxyGraph, placed: DataFrame | None = None) -> Strategy:
-    """Strategy that runs over ``pg``; ``placed`` adds edge columns to its (pid, src, dst)."""
+    #: A step reads the state once, so several may run before it is written.
+    reads_once = True
+
+    def __init__(self, pg: ProxyGraph, placed: DataFrame | None = None):
+        self.pg, self.placed = pg, placed
+        self.edges = self.routes = None
+
+    def targets(self) -> DataFrame:
+        """(id, pid) of every part that gets a value of a vertex."""
+        raise NotImplementedError
 
-    def run(edges: DataFrame, frontier: DataFrame, program: VertexProgram) -> DataFrame:
-        own = (placed if placed is not None else pg.edges).drop(*[c for c in edges.columns if c not in ("src", "dst")])
+    def begin(self, edges: DataFrame) -> None:
+        n = int(edges.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+        own = (self.placed if self.placed is not None else self.pg.edges).drop(*[c for c in edges.columns if c not in ("src", "dst")])
         full = own.join(edges, ["src", "dst"]) if set(edges.columns) - {"src", "dst"} else own
-        partial = _emitted(full, relayed(pg, frontier), program).groupBy("pid", "dst").agg(program.fold.aggregate(F.col("payload")).alias("payload"))
-        return partial.groupBy(F.col("dst").alias("id")).agg(program.fold.aggregate(F.col("payload")).alias("acc"))
+        self.edges = full.repartition(n, "pid", "src").sortWithinPartitions("pid", "src").persist()
+        self.routes = self.targets().repartition(n, "id").sortWithinPartitions("id").persist()
+
+    def end(self) -> None:
+        for kept in (self.edges, self.routes):
+            kept.unpersist()
+        self.edges = self.routes = None
+
+    def values(self, frontier: DataFrame) -> DataFrame:
+        """(pid, src, _out): emitting vertices' values in the parts they go to."""
+        return self.routes.join(frontier.select("id", "outgoing"), "id").select("pid", F.col("id").alias("src"), F.col("outgoing").alias("_out"))
+
+    def __call__(self, edges: DataFrame, frontier: DataFrame, program: VertexProgram) -> DataFrame:
+        if program.edge_update:
+            raise ValueError("edges that stay in their parts can't be rewritten by a program")
+        if self.edges is None:  # a single step outside a run
+            self.begin(edges)
+        return self.step(frontier, program)
+
+    def step(self, frontier: DataFrame, program: VertexProgram) -> DataFrame:
+        raise NotImplementedError
 
-    return run
 
+class Proxied(Resident):
+    """One direction per proxy: values to out-proxies, merged messages from in-proxies."""
 
-def mirrored(pg: ProxyGraph) -> Strategy:
+    def targets(self) -> DataFrame:
+        outs = self.pg.proxies.where("role = 'out'").select("id", "pid")
+        sources = self.pg.edges.select("pid", F.col("src").alias("id")).distinct()
+        at_home = self.pg.homes.select("id", F.col("home").alias("pid")).join(sources, ["id", "pid"], "left_semi")
+        return at_home.unionByName(outs)
+
+    def step(self, frontier: DataFrame, program: VertexProgram) -> DataFrame:
+        sent = emitted(self.edges, self.values(frontier), program)
+        return sent.groupBy(F.col("dst").alias("id")).agg(program.fold.aggregate(F.col("payload")).alias("acc"))
+
+
+class Mirrored(Resident):
     """Vertex-cut comparator: every replica gets the value, and every replica's sum goes to its home."""
-    replicas = pg.homes.select(F.col("home").alias("pid"), "id").unionByName(pg.mirrors())
 
-    def run(edges: DataFrame, frontier: DataFrame, program: VertexProgram) -> DataFrame:
-        full = pg.edges.join(edges, ["src", "dst"]) if set(edges.columns) - {"src", "dst"} else pg.edges
-        values = replicas.join(frontier.select("id", "outgoing"), "id").select("pid", F.col("id").alias("src"), F.col("outgoing").alias("_out"))
-        partial = _emitted(full, values, program).groupBy("pid", "dst").agg(program.fold.aggregate(F.col("payload")).alias("payload"))
-        synced = replicas.join(partial.withColumnRenamed("dst", "id"), ["pid", "id"], "left").where("payload IS NOT NULL")
+    def targets(self) -> DataFrame:
+        return self.pg.homes.select("id", F.col("home").alias("pid")).unionByName(self.pg.mirrors().select("id", "pid"))
+
+    def step(self, frontier: DataFrame, program: VertexProgram) -> DataFrame:
+        partial = emitted(self.edges, self.values(frontier), program).groupBy("pid", "dst").agg(program.fold.aggregate(F.col("payload")).alias("payload"))
+        synced = self.routes.join(partial.withColumnRenamed("dst", "id"), ["pid", "id"])
         return synced.groupBy("id").agg(program.fold.aggregate(F.col("payload")).alias("acc"))
 
-    return run
+
+def proxied(pg: ProxyGraph, placed: DataFrame | None = None) -> Proxied:
+    """Strategy that runs over ``pg``; ``placed`` adds edge columns to its (pid, src, dst)."""
+    return Proxied(pg, placed)
+
+
+def mirrored(pg: ProxyGraph) -> Mirrored:
+    return Mirrored(pg)
 
 
 def message_counts(pg: ProxyGraph, frontier: DataFrame) -> DataFrame:

@@ -2,8 +2,8 @@
 
 Lineage is cut by writing a table and reading it back, so a lost executor costs a re-read and
 never a recomputation of the whole history. The folder is the one named by the session in
-``spark.checkpoint.dir``; a private one is made only where the session names none (tests,
-notebooks), because a machine-local folder is invisible to other machines.
+``spark.checkpoint.dir``; a private one is made only where the session names none and runs on one machine
+(tests, notebooks), because a machine-local folder is invisible to other machines.
 """
 
 from __future__ import annotations
@@ -11,7 +11,7 @@ from __future__ import annotations
 import tempfile
 import uuid
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, Observation, SparkSession
 
 _own_folder: str | None = None
 
@@ -23,6 +23,8 @@ def shared_folder(spark: SparkSession) -> str:
     if named:
         return named.rstrip("/")
     if _own_folder is None:
+        if not spark.sparkContext.master.startswith("local"):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that all machines share")
         _own_folder = "file://" + tempfile.mkdtemp(prefix="edgefold-")
     return _own_folder
 
@@ -36,11 +38,14 @@ def new_path(spark: SparkSession, name: str) -> str:
     return path
 
 
-def save(df: DataFrame, name: str) -> DataFrame:
-    """Write ``df`` to the shared folder and return a DataFrame that reads it back."""
+def save(df: DataFrame, name: str, observed: Observation | None = None, *figures: Column) -> DataFrame:
+    """Write ``df`` to the shared folder and return a DataFrame that reads it back.
+
+    ``figures`` are aggregates that ``observed`` has after the write, at no job of their own.
+    """
     spark = df.sparkSession
     path = new_path(spark, name)
-    df.write.option("compression", "zstd").parquet(path)
+    (df.observe(observed, *figures) if observed else df).write.option("compression", "zstd").parquet(path)
     written = spark.read.schema(df.schema).parquet(path)
     written._scratch_path = path
     return written
