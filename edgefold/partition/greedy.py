@@ -6,21 +6,27 @@ part. The undirected variant, which vertex-cut comparators use, counts any prese
 ``capacity_guard`` = e closes parts that hold more than (1 + e) times their share.
 
 ``serial`` has one loader that sees everything; ``oblivious`` loaders know only their own edges;
-``coordinated`` loaders place ``sync_every`` edges each and then merge what they know. A loader's tables
-are bit sets of parts per vertex, in arrays indexed by the loader's own dense vertex numbers.
+``coordinated`` loaders place ``sync_every`` edges each and then merge what they know. A loader reads its edges
+as a stream of Arrow batches and holds only its tables, whole-number bit sets of parts per vertex, so the number
+of parts has no bound. Presence that coordinated loaders share is an array of 63-bit words per vertex.
+
+Only parts where an end is present and the least loaded open part can have the highest score, so a placement
+costs the number of the former, not k.
 """
 
 from __future__ import annotations
 
 from collections.abc import Iterator
 from dataclasses import dataclass, field
+from heapq import heapify, heappop, heappush
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..runtime.scratch import drop, save
+from ..runtime.scratch import drop, new_path, save
 from .stream_order import order_edges
 
 DELTA = 1.0
@@ -47,37 +53,73 @@ class LoaderTables:
         """Parts of a run of edges, updating the tables after each."""
         k, loads, out_bits, in_bits = self.k, self.loads.tolist(), self.out_bits, self.in_bits
         low, high, total = min(loads), max(loads), sum(loads)
+        least = [(n, i) for i, n in enumerate(loads)]  # (load, part), entries of old loads are passed over
+        heapify(least)
         parts = np.empty(len(sources), dtype=np.int32)
         for n, (u, v) in enumerate(zip(sources.tolist(), targets.tolist())):
             bu, bv = out_bits.get(u, 0), in_bits.get(v, 0)
-            limit = None if self.guard is None else (1 + self.guard) * (total + 1) / k
+            limit = None if self.guard is None else max((1 + self.guard) * (total + 1) / k, low + 1)
             scale = self.delta + high - low
-            best, chosen = -1.0, -1
-            for i in range(k):
-                if limit is not None and loads[i] + 1 > max(limit, low + 1):
+            while least[0][0] != loads[least[0][1]]:
+                heappop(least)
+            best, chosen = (high - low) / scale, least[0][1]  # the least loaded part is always open
+            best += (bu >> chosen & 1) + (bv >> chosen & 1)
+            held = bu | bv
+            while held:
+                bit = held & -held
+                i, held = bit.bit_length() - 1, held ^ bit
+                if limit is not None and loads[i] + 1 > limit:
                     continue
                 score = (bu >> i & 1) + (bv >> i & 1) + (high - loads[i]) / scale
-                if score > best:
+                if score > best or (score == best and i < chosen):
                     best, chosen = score, i
             parts[n] = chosen
             out_bits[u] = bu | 1 << chosen
             in_bits[v] = in_bits.get(v, 0) | 1 << chosen
             loads[chosen] += 1
+            heappush(least, (loads[chosen], chosen))
             total += 1
             high = max(high, loads[chosen])
             if loads[chosen] - 1 == low:
-                low = min(loads)
+                while least[0][0] != loads[least[0][1]]:
+                    heappop(least)
+                low = least[0][0]
         self.loads = np.array(loads, dtype=np.int64)
         return parts
 
 
-def _per_loader(ordered: DataFrame, k: int, directed: bool, delta: float, guard: float | None) -> DataFrame:
-    def run(frame: pd.DataFrame) -> pd.DataFrame:
-        frame = frame.sort_values("edge_seq")
-        tables = LoaderTables(k, directed, delta, guard)
-        return frame.assign(pid=tables.place(frame["src"].to_numpy(), frame["dst"].to_numpy()))[["edge_seq", "src", "dst", "loader", "pid"]]
+#: Rows of a placement.
+PLACED = "edge_seq long, src long, dst long, loader int, pid int"
+
+
+def with_parts(batch: pa.RecordBatch, parts: np.ndarray) -> pa.RecordBatch:
+    names = ["edge_seq", "src", "dst", "loader"]
+    return pa.RecordBatch.from_arrays([*(batch.column(c) for c in names), pa.array(parts, pa.int32())], [*names, "pid"])
+
+
+def runs(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[int, pa.RecordBatch]]:
+    """(loader, its next edges) of batches in which a loader's edges lie side by side."""
+    for batch in batches:
+        loader = np.asarray(batch.column("loader"))
+        cuts = np.flatnonzero(np.diff(loader, prepend=-1)).tolist()
+        for a, b in zip(cuts, [*cuts[1:], len(loader)]):
+            yield int(loader[a]), batch.slice(a, b - a)
+
+
+def by_loader(rows: DataFrame, loaders: int) -> DataFrame:
+    """Each loader's edges in one task, in their order; the sort can spill, and nothing else holds them."""
+    return rows.repartition(loaders, "loader").sortWithinPartitions("loader", "edge_seq")
+
 
-    return ordered.groupBy("loader").applyInPandas(run, "edge_seq long, src long, dst long, loader int, pid int")
+def _per_loader(ordered: DataFrame, loaders: int, k: int, directed: bool, delta: float, guard: float | None) -> DataFrame:
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        now, tables = None, None
+        for loader, batch in runs(batches):
+            if loader != now:
+                now, tables = loader, LoaderTables(k, directed, delta, guard)
+            yield with_parts(batch, tables.place(np.asarray(batch.column("src")), np.asarray(batch.column("dst"))))
+
+    return by_loader(ordered, loaders).mapInArrow(run, PLACED)
 
 
 def greedy_place(
@@ -99,64 +141,93 @@ def greedy_place(
     directed = direction == "directed"
     order = "degree" if two_pass else order
     if ingress == "serial":
-        return _per_loader(order_edges(edges, order, 1), k, directed, delta, capacity_guard)
+        return _per_loader(order_edges(edges, order, 1), 1, k, directed, delta, capacity_guard)
     ordered = order_edges(edges, order, loaders)
     if ingress == "oblivious":
-        return _per_loader(ordered, k, directed, delta, capacity_guard)
+        return _per_loader(ordered, loaders, k, directed, delta, capacity_guard)
     if ingress == "coordinated":
-        return coordinated(ordered, k, directed, delta, capacity_guard, sync_every)
+        return coordinated(ordered, k, directed, delta, capacity_guard, sync_every, loaders)
     raise ValueError(f"unknown ingress {ingress}")
 
 
-def _round_placer(k: int, directed: bool, delta: float, guard: float | None, start: np.ndarray):
-    """Function that places one loader's edges of a round from merged loads and the presence joined to them."""
+#: Parts in a word of shared presence, and most rounds of a coordinated placement.
+WORD, MOST_ROUNDS = 63, 256
 
-    def run(frame: pd.DataFrame) -> pd.DataFrame:
-        frame = frame.sort_values("edge_seq")
-        tables = LoaderTables(k, directed, delta, guard, loads=start.copy())
-        tables.out_bits.update((u, b) for u, b in zip(frame["src"].tolist(), frame["bu"].tolist()) if b)
-        for v, b in zip(frame["dst"].tolist(), frame["bv"].tolist()):
-            if b:
-                tables.in_bits[v] = tables.in_bits.get(v, 0) | b
-        return frame.assign(pid=tables.place(frame["src"].to_numpy(), frame["dst"].to_numpy()))[["edge_seq", "src", "dst", "loader", "pid"]]
+
+def _round_placer(k: int, directed: bool, delta: float, guard: float | None, start: np.ndarray):
+    """Function that places loaders' edges of a round from merged loads and the presence (bu, bv) joined to them."""
+
+    def whole(words: list[int] | None) -> int:
+        return sum(w << WORD * i for i, w in enumerate(words or ()))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        now, tables = None, None
+        for loader, batch in runs(batches):
+            if loader != now:
+                now, tables = loader, LoaderTables(k, directed, delta, guard, loads=start.copy())
+            source, target = batch.column("src").to_pylist(), batch.column("dst").to_pylist()
+            for u, v, bu, bv in zip(source, target, batch.column("bu").to_pylist(), batch.column("bv").to_pylist()):
+                if bu:
+                    tables.out_bits[u] = tables.out_bits.get(u, 0) | whole(bu)
+                if bv:
+                    tables.in_bits[v] = tables.in_bits.get(v, 0) | whole(bv)
+            yield with_parts(batch, tables.place(np.array(source, dtype=np.int64), np.array(target, dtype=np.int64)))
 
     return run
 
 
-def coordinated(ordered: DataFrame, k: int, directed: bool, delta: float, guard: float | None, sync_every: int) -> DataFrame:
+def coordinated(ordered: DataFrame, k: int, directed: bool, delta: float, guard: float | None, sync_every: int, loaders: int) -> DataFrame:
     """Rounds of ``sync_every`` edges per loader; presence and loads merge between rounds.
 
-    Presence is sparse rows (id, out_bits, in_bits) and joins only the ids a round names; the loads, k
-    numbers, go through the driver.
+    The edges are written once, a folder per round, and a round reads and appends its own only. Rounds grow with
+    the edges, so ``sync_every`` is raised where there would be more than ``MOST_ROUNDS``. Presence is sparse rows
+    (id, out_words, in_words) and joins only the ids a round names; the loads, k numbers, go through the driver.
     """
     spark = ordered.sparkSession
-    ordered = save(ordered, "ordered")
-    rounds = (ordered.agg(F.max("edge_seq")).first()[0] or 0) // sync_every + 1
-    presence, placed, loads = None, [], np.zeros(k, dtype=np.int64)
+    n_words = -(-k // WORD)
+    listed = save(ordered, "ordered")
+    longest = (listed.agg(F.max("edge_seq")).first()[0] or 0) + 1
+    sync_every = max(sync_every, -(-longest // MOST_ROUNDS))
+    rounds = -(-longest // sync_every)
+    by_round, out = new_path(spark, "rounds"), new_path(spark, "placed")
+    listed.withColumn("round", F.expr(f"edge_seq div {sync_every}")).repartition("round").write.partitionBy("round").parquet(by_round)
+    drop(spark, listed)
+    presence, loads = None, np.zeros(k, dtype=np.int64)
     for r in range(rounds):
-        now = ordered.where((F.col("edge_seq") >= r * sync_every) & (F.col("edge_seq") < (r + 1) * sync_every))
+        path = f"{by_round}/round={r}"
+        now = spark.read.schema(ordered.schema).parquet(path) if longest > 1 or _exists(spark, path) else ordered.limit(0)
         if presence is None:
-            known = now.withColumns({"bu": F.lit(0).cast("long"), "bv": F.lit(0).cast("long")})
+            known = now.withColumns({c: F.lit(None).cast("array<bigint>") for c in ("bu", "bv")})
         else:
-            known = now.join(presence.select(F.col("id").alias("src"), F.col("out_bits").alias("bu")), "src", "left")
-            known = known.join(presence.select(F.col("id").alias("dst"), F.col("in_bits" if directed else "out_bits").alias("bv")), "dst", "left").fillna(0, ["bu", "bv"])
-        done = save(known.groupBy("loader").applyInPandas(_round_placer(k, directed, delta, guard, loads.copy()), "edge_seq long, src long, dst long, loader int, pid int"), "placed")
-        placed.append(done)
-        for row in done.groupBy("pid").count().collect():  # k rows
+            known = now.join(presence.select(F.col("id").alias("src"), F.col("out_words").alias("bu")), "src", "left")
+            known = known.join(presence.select(F.col("id").alias("dst"), F.col("in_words" if directed else "out_words").alias("bv")), "dst", "left")
+        done = by_loader(known, loaders).mapInArrow(_round_placer(k, directed, delta, guard, loads.copy()), PLACED)
+        done.write.parquet(f"{out}/r={r}")
+        placed = spark.read.schema(PLACED).parquet(f"{out}/r={r}")
+        for row in placed.groupBy("pid").count().collect():  # k rows
             loads[row["pid"]] += row["count"]
-        bit = F.expr("shiftleft(1L, pid)")
+        bits = [F.when(F.expr(f"pid div {WORD}") == i, F.expr(f"shiftleft(1L, pid % {WORD})")).otherwise(F.lit(0).cast("long")) for i in range(n_words)]
         none = F.lit(0).cast("long")
-        seen = done.select(F.col("src").alias("id"), bit.alias("o"), none.alias("i")).unionByName(done.select(F.col("dst").alias("id"), (none if directed else bit).alias("o"), bit.alias("i")))
+        columns = [f"o{i}" for i in range(n_words)] + [f"i{i}" for i in range(n_words)]
+
+        def of(end: str, outs: list, ins: list) -> DataFrame:
+            return placed.select(F.col(end).alias("id"), *(c.alias(n) for c, n in zip([*outs, *ins], columns)))
+
+        blank = [none] * n_words
+        seen = of("src", bits, blank).unionByName(of("dst", blank if directed else bits, bits))
         if presence is not None:
-            seen = seen.unionByName(presence.select("id", F.col("out_bits").alias("o"), F.col("in_bits").alias("i")))
+            seen = seen.unionByName(presence.select("id", *(F.col(f"{w}_words")[i].alias(f"{w[0]}{i}") for w in ("out", "in") for i in range(n_words))))
         before = presence
-        presence = save(seen.groupBy("id").agg(F.bit_or("o").alias("out_bits"), F.bit_or("i").alias("in_bits")), "presence")
+        merged = seen.groupBy("id").agg(*(F.bit_or(c).alias(c) for c in columns))
+        presence = save(merged.select("id", F.array(*columns[:n_words]).alias("out_words"), F.array(*columns[n_words:]).alias("in_words")), "presence")
         if before is not None:
             drop(spark, before)
-    out = placed[0]
-    for p in placed[1:]:
-        out = out.unionByName(p)
-    return out
+    return spark.read.schema(PLACED).parquet(*(f"{out}/r={r}" for r in range(rounds)))
+
+
+def _exists(spark, path: str) -> bool:
+    where = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    return where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).exists(where)
 
 
 def brute_place(edges: list[tuple[int, int]], k: int, directed: bool = True, delta: float = DELTA) -> list[int]:
