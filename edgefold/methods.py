@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from functools import reduce
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -414,6 +416,22 @@ def greedy_two_pass_loads(spark: SparkSession, sf: str) -> DataFrame:
     return _count(greedy.greedy_place(g.edges, 4, ingress="serial", two_pass=True), "edges")
 
 
+def greedy_two_pass_parts(spark: SparkSession, sf: str) -> DataFrame:
+    """Every edge's part when a first pass counts degrees and the second streams edges of high-degree vertices first."""
+    g = build.trade(spark, sf)
+    return greedy.greedy_place(g.edges, 4, ingress="serial", two_pass=True).select("edge_seq", "src", "dst", "pid")
+
+
+def edgecut_violations(spark: SparkSession, sf: str) -> DataFrame:
+    """(n): vertices that some edge-cut method places never, twice, or in no part, over all methods."""
+    g = build.sharedline(spark, sf)
+    bad = []
+    for m in ("hash", "range", "chunk", "balanced", "ldg", "fennel"):
+        homes = edgecut.vertex_partition(g, K, m).groupBy("id").agg(F.count("*").alias("times"), F.min("home").alias("lo"), F.max("home").alias("hi"))
+        bad.append(g.vertices.select("id").join(homes, "id", "full").where(f"times IS NULL OR times <> 1 OR lo < 0 OR hi >= {K}").agg(F.count("*").alias("n")))
+    return reduce(DataFrame.unionByName, bad).agg(F.sum("n").alias("n"))
+
+
 def greedy_guarded_balance_violations(spark: SparkSession, sf: str) -> DataFrame:
     g = build.handoff(spark, sf)
     placed = greedy.greedy_place(g.edges, 4, ingress="serial", order="source", capacity_guard=0.1)
@@ -574,6 +592,8 @@ QUERIES = {
     "greedy_mirror_assign_trade": _greedy("mixed", "undirected"),
     "greedy_oblivious_trade": greedy_oblivious_trade,
     "greedy_coordinated_trade": greedy_coordinated_trade,
+    "greedy_two_pass_parts": greedy_two_pass_parts,
+    "edgecut_violations": edgecut_violations,
     "greedy_two_pass_loads": greedy_two_pass_loads,
     "greedy_guarded_balance_violations": greedy_guarded_balance_violations,
     "greedy_measures_hyperlink": greedy_measures_hyperlink,

@@ -87,6 +87,15 @@ SELECT count(*) AS pairs, sum(n)::BIGINT AS messages, sum(ceil(n / 63))::BIGINT
 TOPOLOGY = f"""WITH {placed('purchase', 4)}, c AS (SELECT (SELECT count(*) FROM v) + (SELECT count(*) FROM x) AS n, (SELECT count(*) FROM q) AS e)
 SELECT n AS local_ids, e AS edges, 8 * n + 4 * e AS bytes, 2 * (8 * n + 4 * e) + 8 * e AS gas_bytes FROM c"""
 
+AXES = """SELECT * FROM (VALUES ('one-sided flat', 'edges by source', 'one-sided messages', 'merged messages'),
+  ('one-sided proxied', 'proxy graph', 'one-sided messages', 'one direction per proxy'),
+  ('gather-apply-scatter', 'edges with state', 'split phases', 'shared edge values'),
+  ('mirror', 'vertex-cut with mirrors', 'split phases', 'collect and broadcast'),
+  ('message super-steps', 'edges by source', 'vertex programs', 'stored messages'),
+  ('map/reduce rounds', 'adjacency records', 'map and reduce', 'whole graph each round'),
+  ('matrix products', 'sparse matrix', 'semiring products', 'vector shuffles'),
+  ('rdd', 'partitioned pairs', 'joins and reductions', 'merged pairs')) t(engine, data_model, computation_model, communication_model)"""
+
 ORACLES: dict[str, str] = {
     **{f"pagerank_{n}scaled_10": RANKS for n in ("", "gas_", "bsp_", "bsp_merged_", "mirror_", "proxied_", "nopremerge_", "two_level_", "spmv_", "mapreduce_", "rdd_")},
     "pagerank_double_5": ranks("handoff", 5, scaled=False, value="rank"),
@@ -136,6 +145,8 @@ SELECT pid, lid, coalesce(sum(degree) OVER (PARTITION BY pid ORDER BY lid ROWS B
     "greedy_mirror_assign_trade": _greedy(MIXED, directed=False),
     "greedy_oblivious_trade": OBLIVIOUS,
     "greedy_coordinated_trade": _greedy(MIXED),
+    "greedy_two_pass_parts": _greedy("(SELECT count(*) FROM e x WHERE x.src = e.src) + (SELECT count(*) FROM e x WHERE x.dst = e.dst) DESC, src, dst"),
+    "engine_axes": AXES,
     "greedy_two_pass_loads": f"WITH {ctes('trade')} SELECT count(*) AS edges FROM e",
     "message_counts": f"""WITH {placed('purchase', 4)}, m AS (SELECT q.pid, dst, home, count(*) AS n FROM q JOIN h ON h.id = dst GROUP BY 1, 2, 3)
 SELECT sum(n)::BIGINT AS emitted, coalesce(sum(n) FILTER (pid = home), 0)::BIGINT AS local_msgs, (SELECT count(*) FROM x WHERE role = 'out') AS s_msgs, count(*) FILTER (pid <> home) AS c_msgs FROM m""",
@@ -147,5 +158,5 @@ SELECT sum(n)::BIGINT AS emitted, coalesce(sum(n) FILTER (pid = home), 0)::BIGIN
     "sql_reachability": reach("handoff_strong") + " SELECT b AS id FROM p WHERE a = 0",
     "cosine_knn16": "SELECT src, dst FROM (SELECT a.vec_id AS src, b.vec_id AS dst, row_number() OVER (PARTITION BY a.vec_id ORDER BY round(list_cosine_similarity(a.embedding::DOUBLE[], b.embedding::DOUBLE[]), 9) DESC, b.vec_id) AS k FROM embeddings a JOIN embeddings b ON a.vec_id <> b.vec_id) WHERE k <= 16",
     "knn_degrees": "SELECT 16 AS out_degree, count(*) AS n FROM embeddings",
-    **{n: ZERO for n in ("sssp_triangle_violations", "bipartite_matching_violations", "matching_maximal_violations", "colouring_violations", "weighted_matching_violations", "min_proxy_violations", "proxy_bound_violations", "proxy_direction_violations", "greedy_guarded_balance_violations")},
+    **{n: ZERO for n in ("sssp_triangle_violations", "bipartite_matching_violations", "matching_maximal_violations", "colouring_violations", "weighted_matching_violations", "min_proxy_violations", "proxy_bound_violations", "proxy_direction_violations", "greedy_guarded_balance_violations", "edgecut_violations")},
 }

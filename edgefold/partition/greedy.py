@@ -21,9 +21,8 @@ from dataclasses import dataclass, field
 from heapq import heapify, heappop, heappush
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..runtime.scratch import drop, new_path, save
@@ -176,53 +175,74 @@ def _round_placer(k: int, directed: bool, delta: float, guard: float | None, sta
     return run
 
 
+class SharedTables:
+    """Presence and loads that loaders share, merged after every round.
+
+    Presence is sparse rows (id, out_words, in_words) and a round joins only the ids it names; the loads, k
+    numbers, are on the driver. A round's edges are written once and never read by later rounds.
+    """
+
+    def __init__(self, spark: SparkSession, k: int, directed: bool = True, delta: float = DELTA, guard: float | None = None, loaders: int = 8):
+        self.spark, self.k, self.directed, self.delta, self.guard, self.loaders = spark, k, directed, delta, guard, loaders
+        self.presence: DataFrame | None = None
+        self.loads, self.out, self.rounds = np.zeros(k, dtype=np.int64), new_path(spark, "placed"), []
+
+    def place(self, now: DataFrame) -> None:
+        """Place one round's rows (edge_seq, src, dst, loader)."""
+        if self.presence is None:
+            known = now.withColumns({c: F.lit(None).cast("array<bigint>") for c in ("bu", "bv")})
+        else:
+            known = now.join(self.presence.select(F.col("id").alias("src"), F.col("out_words").alias("bu")), "src", "left")
+            known = known.join(self.presence.select(F.col("id").alias("dst"), F.col("in_words" if self.directed else "out_words").alias("bv")), "dst", "left")
+        done = by_loader(known, self.loaders).mapInArrow(_round_placer(self.k, self.directed, self.delta, self.guard, self.loads.copy()), PLACED)
+        path = f"{self.out}/r={len(self.rounds)}"
+        done.write.parquet(path)
+        self.rounds.append(path)
+        placed = self.spark.read.schema(PLACED).parquet(path)
+        for row in placed.groupBy("pid").count().collect():  # k rows
+            self.loads[row["pid"]] += row["count"]
+        self._merge(placed)
+
+    def _merge(self, placed: DataFrame) -> None:
+        n_words = -(-self.k // WORD)
+        blank = [F.lit(0).cast("long")] * n_words
+        bits = [F.when(F.expr(f"pid div {WORD}") == i, F.expr(f"shiftleft(1L, pid % {WORD})")).otherwise(blank[0]) for i in range(n_words)]
+        outs, ins = ([f"{side}{i}" for i in range(n_words)] for side in "oi")
+
+        def of(end: str, out: list, into: list) -> DataFrame:
+            return placed.select(F.col(end).alias("id"), *(c.alias(n) for c, n in zip([*out, *into], [*outs, *ins])))
+
+        seen = of("src", bits, blank).unionByName(of("dst", blank if self.directed else bits, bits))
+        if self.presence is not None:
+            held = (F.col(words)[i].alias(n) for words, names in (("out_words", outs), ("in_words", ins)) for i, n in enumerate(names))
+            seen = seen.unionByName(self.presence.select("id", *held))
+        merged = seen.groupBy("id").agg(*(F.bit_or(c).alias(c) for c in (*outs, *ins)))
+        before, self.presence = self.presence, save(merged.select("id", F.array(*outs).alias("out_words"), F.array(*ins).alias("in_words")), "presence")
+        if before is not None:
+            drop(self.spark, before)
+
+    def frame(self) -> DataFrame:
+        """All rounds' rows (edge_seq, src, dst, loader, pid)."""
+        return self.spark.read.schema(PLACED).parquet(*self.rounds)
+
+
 def coordinated(ordered: DataFrame, k: int, directed: bool, delta: float, guard: float | None, sync_every: int, loaders: int) -> DataFrame:
     """Rounds of ``sync_every`` edges per loader; presence and loads merge between rounds.
 
-    The edges are written once, a folder per round, and a round reads and appends its own only. Rounds grow with
-    the edges, so ``sync_every`` is raised where there would be more than ``MOST_ROUNDS``. Presence is sparse rows
-    (id, out_words, in_words) and joins only the ids a round names; the loads, k numbers, go through the driver.
+    The edges are written once, a folder per round, and a round reads its own only. Rounds grow with the edges,
+    so ``sync_every`` is raised where there would be more than ``MOST_ROUNDS``.
     """
     spark = ordered.sparkSession
-    n_words = -(-k // WORD)
     listed = save(ordered, "ordered")
     longest = (listed.agg(F.max("edge_seq")).first()[0] or 0) + 1
     sync_every = max(sync_every, -(-longest // MOST_ROUNDS))
-    rounds = -(-longest // sync_every)
-    by_round, out = new_path(spark, "rounds"), new_path(spark, "placed")
+    by_round, tables = new_path(spark, "rounds"), SharedTables(spark, k, directed, delta, guard, loaders)
     listed.withColumn("round", F.expr(f"edge_seq div {sync_every}")).repartition("round").write.partitionBy("round").parquet(by_round)
-    drop(spark, listed)
-    presence, loads = None, np.zeros(k, dtype=np.int64)
-    for r in range(rounds):
+    for r in range(-(-longest // sync_every)):
         path = f"{by_round}/round={r}"
-        now = spark.read.schema(ordered.schema).parquet(path) if longest > 1 or _exists(spark, path) else ordered.limit(0)
-        if presence is None:
-            known = now.withColumns({c: F.lit(None).cast("array<bigint>") for c in ("bu", "bv")})
-        else:
-            known = now.join(presence.select(F.col("id").alias("src"), F.col("out_words").alias("bu")), "src", "left")
-            known = known.join(presence.select(F.col("id").alias("dst"), F.col("in_words" if directed else "out_words").alias("bv")), "dst", "left")
-        done = by_loader(known, loaders).mapInArrow(_round_placer(k, directed, delta, guard, loads.copy()), PLACED)
-        done.write.parquet(f"{out}/r={r}")
-        placed = spark.read.schema(PLACED).parquet(f"{out}/r={r}")
-        for row in placed.groupBy("pid").count().collect():  # k rows
-            loads[row["pid"]] += row["count"]
-        bits = [F.when(F.expr(f"pid div {WORD}") == i, F.expr(f"shiftleft(1L, pid % {WORD})")).otherwise(F.lit(0).cast("long")) for i in range(n_words)]
-        none = F.lit(0).cast("long")
-        columns = [f"o{i}" for i in range(n_words)] + [f"i{i}" for i in range(n_words)]
-
-        def of(end: str, outs: list, ins: list) -> DataFrame:
-            return placed.select(F.col(end).alias("id"), *(c.alias(n) for c, n in zip([*outs, *ins], columns)))
-
-        blank = [none] * n_words
-        seen = of("src", bits, blank).unionByName(of("dst", blank if directed else bits, bits))
-        if presence is not None:
-            seen = seen.unionByName(presence.select("id", *(F.col(f"{w}_words")[i].alias(f"{w[0]}{i}") for w in ("out", "in") for i in range(n_words))))
-        before = presence
-        merged = seen.groupBy("id").agg(*(F.bit_or(c).alias(c) for c in columns))
-        presence = save(merged.select("id", F.array(*columns[:n_words]).alias("out_words"), F.array(*columns[n_words:]).alias("in_words")), "presence")
-        if before is not None:
-            drop(spark, before)
-    return spark.read.schema(PLACED).parquet(*(f"{out}/r={r}" for r in range(rounds)))
+        tables.place(spark.read.schema(ordered.schema).parquet(path) if longest > 1 or _exists(spark, path) else ordered.limit(0))
+    drop(spark, listed)
+    return tables.frame()
 
 
 def _exists(spark, path: str) -> bool:
@@ -244,9 +264,3 @@ def brute_place(edges: list[tuple[int, int]], k: int, directed: bool = True, del
         parts.append(i), outs[i].add(u), ins[i].add(v)
         loads[i] += 1
     return parts
-
-
-def stream_batches(frames: Iterator[pd.DataFrame], tables: LoaderTables) -> Iterator[pd.DataFrame]:
-    """Place runs of an unbounded stream with one loader's tables."""
-    for frame in frames:
-        yield frame.assign(pid=tables.place(frame["src"].to_numpy(), frame["dst"].to_numpy()))

@@ -18,6 +18,14 @@ PAIRS = {**joins.QUERIES, **aggregates.QUERIES, **streams.QUERIES}
 WORKLOADS: dict[str, Query] = {
     "workload_rank_engines": lambda spark, sf: workloads.rank_engines(spark, build.handoff(spark, sf), (4,)),
     "workload_weak_scaling": lambda spark, sf: workloads.weak_scaling(spark, (8, 10)),
+    "workload_weak_scaling_slopes": lambda spark, sf: workloads.weak_scaling_slopes(spark, (12, 14, 16)),
+    "workload_strong_scaling": lambda spark, sf: workloads.strong_scaling(spark, 14),
+    "workload_engines_social": lambda spark, sf: workloads.program_engines(spark, build.handoff(spark, sf)),
+    "workload_engines_web": lambda spark, sf: workloads.program_engines(spark, build.hyperlink(spark, sf)),
+    "workload_rank_engines_web": lambda spark, sf: workloads.rank_engines(spark, build.hyperlink(spark, sf), (2, 4, 8, 16)),
+    "workload_compute_share": lambda spark, sf: workloads.compute_shares(spark, build.handoff(spark, sf)),
+    "workload_cut_factors_social_12": lambda spark, sf: workloads.cut_factors(spark, build.handoff(spark, sf), (12,)),
+    "workload_cut_factors_purchase": lambda spark, sf: workloads.cut_factors(spark, build.purchase(spark, sf), (2, 4, 8, 12, 16)),
     "workload_cut_factors_social": lambda spark, sf: workloads.cut_factors(spark, build.handoff(spark, sf), (2, 4, 8, 16)),
     "workload_cut_factors_web": lambda spark, sf: workloads.cut_factors(spark, build.hyperlink(spark, sf), (2, 4, 8, 16)),
     "workload_cut_table": lambda spark, sf: workloads.cut_table(spark, sf, 16),

@@ -35,6 +35,13 @@ def approx_neighbours(spark: SparkSession, sf: str) -> DataFrame:
     return rows.agg(F.approx_count_distinct("l_partkey", 0.03).alias("parts"), F.hll_sketch_estimate(F.hll_sketch_agg("l_partkey", F.lit(12))).alias("sketch"), F.percentile_approx("l_quantity", 0.5).alias("median_quantity"))
 
 
+def approx_neighbours_violations(spark: SparkSession, sf: str) -> DataFrame:
+    """(n): suppliers whose approximate counts of parts are off by more than a quarter, or by more than 2 parts where these are few."""
+    both = approx_neighbours(spark, sf).join(distinct_neighbours(spark, sf).withColumnRenamed("parts", "exact"), "id")
+    off = lambda c: F.abs(F.col(c) - F.col("exact")) > F.greatest(F.lit(2.0), F.col("exact") / 4)
+    return both.where(off("parts") | off("sketch")).agg(F.count("*").alias("n"))
+
+
 def _flows(spark: SparkSession, sf: str) -> DataFrame:
     """Line counts by customer region, customer nation and segment."""
     edges = build.purchase(spark, sf).edges
@@ -249,6 +256,7 @@ QUERIES = {
     "adjacency_lists": (adjacency_lists, f"WITH {ctes('trade')} SELECT src, string_agg(dst::VARCHAR, ',' ORDER BY dst) AS targets FROM e GROUP BY src"),
     "distinct_neighbours": (distinct_neighbours, "SELECT l_suppkey AS id, count(DISTINCT l_partkey) AS parts FROM lineitem GROUP BY 1"),
     "approx_neighbours": (approx_neighbours, None),
+    "approx_neighbours_violations": (approx_neighbours_violations, "SELECT 0::BIGINT AS n"),
     "flow_cube": (flow_cube, FLOW_SQL + " SELECT r_name, c_mktsegment, sum(w)::BIGINT AS lines, grouping_id(r_name, c_mktsegment)::BIGINT AS gid FROM f GROUP BY CUBE (r_name, c_mktsegment)"),
     "flow_rollup": (flow_rollup, FLOW_SQL + " SELECT r_name, n_name, sum(w)::BIGINT AS lines, grouping_id(r_name, n_name)::BIGINT AS gid FROM f GROUP BY ROLLUP (r_name, n_name)"),
     "flow_grouping_sets": (flow_grouping_sets, FLOW_SQL + " SELECT r_name, c_mktsegment, sum(w)::BIGINT AS lines FROM f GROUP BY GROUPING SETS ((r_name), (c_mktsegment), ())"),

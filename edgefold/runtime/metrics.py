@@ -22,6 +22,21 @@ def scaling_slope(times: DataFrame) -> DataFrame:
     return times.agg(F.regr_slope(F.ln("seconds"), F.ln("size")).alias("slope"))
 
 
+def group_share(spark: SparkSession, group: str) -> tuple[float, float]:
+    """(compute_ms, wait_ms) over the stages of a job group, from the session's own status store: no event log needed."""
+    context = spark.sparkContext
+    tracker, store, stages = context.statusTracker(), context._jsc.sc().statusStore(), set()
+    for job in tracker.getJobIdsForGroup(group):
+        stages |= set(info.stageIds if (info := tracker.getJobInfo(job)) else ())
+    compute = wait = 0.0
+    for stage in stages:
+        if tracker.getStageInfo(stage) is not None:
+            data = store.lastStageAttempt(stage)
+            lost = data.shuffleFetchWaitTime() + data.shuffleWriteTime() / 1_000_000
+            compute, wait = compute + max(0.0, data.executorRunTime() - lost), wait + lost
+    return compute, wait
+
+
 def compute_share(spark: SparkSession, event_log: str) -> DataFrame:
     """(compute_ms, wait_ms, share) over the tasks of an event log: run time without shuffle waits and writes."""
     metrics = "struct<`Executor Run Time`:long,`Shuffle Read Metrics`:struct<`Fetch Wait Time`:long>,`Shuffle Write Metrics`:struct<`Shuffle Write Time`:long>>"

@@ -2,31 +2,40 @@
 
 from __future__ import annotations
 
-import pickle
-
-import pandas as pd
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..algorithms.contract import contract_components
 from ..graph.ids import mix
-from ..partition.greedy import LoaderTables
+from ..partition.greedy import SharedTables
 from ..runtime.scratch import new_path, save
 
 
-def place_stream(stream: DataFrame, k: int, loaders: int = 4) -> DataFrame:
-    """(src, dst, loader, pid): greedy placement by loaders whose tables are the stream's state."""
-    keyed = stream.select("src", "dst", (mix("dst") % loaders).cast("int").alias("loader"))
+class PlacedStream:
+    """Greedy placement of a stream of edges: a micro-batch is a round of coordinated loaders.
+
+    State is the loaders' shared presence, one row per vertex, joined to the ids that a batch names; a batch costs
+    its own edges and one merge of the presence, never a loader's whole tables as one value.
+    """
+
+    def __init__(self, k: int, loaders: int = 4, directed: bool = True) -> None:
+        self.k, self.loaders, self.directed = k, loaders, directed
+        self.tables: SharedTables | None = None
 
-    def place(key, frames, state):
-        tables = pickle.loads(state.get[0]) if state.exists else LoaderTables(k)
-        rows = pd.concat([f for f in frames])
-        rows = rows.sort_values(["src", "dst"], kind="stable")
-        pids = tables.place(rows["src"].to_numpy(), rows["dst"].to_numpy())
-        state.update((pickle.dumps(tables),))
-        yield pd.DataFrame({"src": rows["src"].to_numpy(), "dst": rows["dst"].to_numpy(), "loader": key[0], "pid": pids})
+    def add(self, batch: DataFrame) -> None:
+        if self.tables is None:
+            self.tables = SharedTables(batch.sparkSession, self.k, self.directed, loaders=self.loaders)
+        dealt = batch.select("src", "dst").withColumn("loader", (mix("dst") % self.loaders).cast("int"))
+        here = Window.partitionBy("loader").orderBy("src", "dst")
+        self.tables.place(dealt.select((F.row_number().over(here) - 1).cast("long").alias("edge_seq"), "src", "dst", "loader"))
 
-    return keyed.groupBy("loader").applyInPandasWithState(place, "src long, dst long, loader int, pid int", "tables binary", "append", "NoTimeout")
+    def follow(self, stream: DataFrame) -> DataFrame:
+        """Drain a stream of edges and return (src, dst, loader, pid)."""
+        query = stream.writeStream.foreachBatch(lambda batch, _: self.add(batch)).option("checkpointLocation", new_path(stream.sparkSession, "marks")).trigger(availableNow=True).start()
+        query.awaitTermination()
+        if self.tables is None:  # a stream without rows has no batch
+            return stream.sparkSession.createDataFrame([], "src long, dst long, loader int, pid int")
+        return self.tables.frame().select("src", "dst", "loader", "pid")
 
 
 class GrowingComponents:

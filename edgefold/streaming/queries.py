@@ -7,10 +7,10 @@ from pyspark.sql import functions as F
 
 from ..graph import build
 from ..graph.build import table
-from ..oracles.graphs import labels
+from ..oracles.graphs import ctes, greedy, labels
 from ..runtime.scratch import new_path
 from . import events as ev
-from .graphs import GrowingComponents, place_stream
+from .graphs import GrowingComponents, PlacedStream
 
 
 def _edge_stream(spark: SparkSession, sf: str, graph: str, files: int = 4) -> DataFrame:
@@ -52,7 +52,12 @@ def stream_interval_join(spark: SparkSession, sf: str) -> DataFrame:
 
 
 def stream_greedy_place(spark: SparkSession, sf: str) -> DataFrame:
-    return ev.drain(place_stream(_edge_stream(spark, sf, "trade"), 4))
+    return PlacedStream(4).follow(_edge_stream(spark, sf, "trade"))
+
+
+def stream_greedy_place_serial(spark: SparkSession, sf: str) -> DataFrame:
+    """One loader that gets the stream as one batch places as the serial loader of a list sorted by source."""
+    return PlacedStream(4, loaders=1).follow(_edge_stream(spark, sf, "trade", files=1)).select("src", "dst", "pid")
 
 
 def stream_components(spark: SparkSession, sf: str) -> DataFrame:
@@ -74,5 +79,6 @@ QUERIES = {
         "SELECT a.user_id, a.event_id AS first, b.event_id AS second FROM events a JOIN events b ON a.user_id = b.user_id AND b.ts > a.ts AND b.ts <= a.ts + INTERVAL 120 MINUTE WHERE a.event_type = 'click' AND b.event_type = 'purchase'",
     ),
     "stream_greedy_place": (stream_greedy_place, None),
+    "stream_greedy_place_serial": (stream_greedy_place_serial, f"WITH RECURSIVE {ctes('trade')},\n{greedy('e', 'src, dst', 4)}\nSELECT src, dst, pid FROM g WHERE edge_seq >= 0"),
     "stream_components": (stream_components, labels("sharedline")),
 }

@@ -6,7 +6,10 @@ Absolute seconds depend on the machine; what is to be compared is order and tren
 from __future__ import annotations
 
 import time
+import uuid
 from collections.abc import Callable
+from contextlib import contextmanager
+from functools import reduce
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -18,9 +21,11 @@ from .graph import build
 from .graph.model import PropertyGraph
 from .graph.rmat import rmat
 from .methods import kept, proxy_graph
+from .model.superstep import flat
 from .partition import greedy, hashing, measures
 from .proxy.exec import mirrored, proxied
 from .proxy.graph import ProxyGraph, pick_homes
+from .runtime.metrics import group_share, scaling_slope, speedup
 from .runtime.scratch import save
 from .runtime.wire import capacity_gigabytes
 
@@ -58,6 +63,89 @@ def weak_scaling(spark: SparkSession, scales: tuple[int, ...] = (8, 10, 12)) ->
     return spark.createDataFrame(rows, "program string, size double, seconds double")
 
 
+def weak_scaling_slopes(spark: SparkSession, scales: tuple[int, ...] = (12, 14, 16)) -> DataFrame:
+    """(program, slope): growth of seconds with size, as a power; 1 is in proportion, less is fixed cost being shared."""
+    times = save(weak_scaling(spark, scales), "times")
+    parts = [scaling_slope(times.where(F.col("program") == p)).select(F.lit(p).alias("program"), "slope") for p in ("pagerank", "sssp", "components")]
+    return reduce(DataFrame.unionByName, parts)
+
+
+@contextmanager
+def _at_most(spark: SparkSession, workers: int):
+    """Shuffles of ``workers`` partitions meanwhile, so that at most so many tasks of a step run at once."""
+    before = spark.conf.get("spark.sql.shuffle.partitions")
+    spark.conf.set("spark.sql.shuffle.partitions", str(workers))
+    try:
+        yield
+    finally:
+        spark.conf.set("spark.sql.shuffle.partitions", before)
+
+
+def _saved(g: PropertyGraph) -> PropertyGraph:
+    return PropertyGraph(save(g.vertices, "vertices"), save(g.edges, "edges"))
+
+
+def strong_scaling(spark: SparkSession, scale: int = 14, workers: tuple[int, ...] = (1, 2, 4, 8)) -> DataFrame:
+    """(program, workers, seconds, speedup) of a rank step, distances and components on one graph.
+
+    A session's cores are fixed; what varies is how many tasks a step is dealt to. Loops run once before they are timed.
+    """
+    g = _saved(rmat(spark, scale))
+    weighted = PropertyGraph(g.vertices, build.with_random_weights(g).edges)
+    programs = {
+        "pagerank": lambda: min(pagerank.pagerank_run(g, 3, write_every=1).timings),
+        "sssp": lambda: sum(traversal.sssp_run(weighted, 0).timings),
+        "components": lambda: sum(traversal.connected_run(g).timings),
+    }
+    parts = []
+    for name, run in programs.items():
+        run()
+        rows = []
+        for n in workers:
+            with _at_most(spark, n):
+                rows.append((n, run()))
+        parts.append(speedup(spark.createDataFrame(rows, "workers int, seconds double")).select(F.lit(name).alias("program"), "workers", "seconds", "speedup"))
+    return reduce(DataFrame.unionByName, parts)
+
+
+def program_engines(spark: SparkSession, g: PropertyGraph, k: int = 4) -> DataFrame:
+    """(program, engine, seconds) of distances and components per engine on one graph; every engine gets saved tables."""
+    weighted, both = _saved(build.with_random_weights(g)), _saved(g.symmetrize())
+    source = weighted.edges.agg(F.min("src")).first()[0] or 0
+    rows = []
+    for name, graph, program, own in (
+        ("sssp", weighted, traversal.sssp_program(source), lambda s: traversal.sssp_run(weighted, source, strategy=s)),
+        ("components", both, traversal.component_program(), lambda s: traversal.connected_run(both, strategy=s)),
+    ):
+        pg = kept(proxy_graph(graph, k))
+        engines = {
+            "flat": lambda: own(flat),
+            "proxied": lambda: own(proxied(pg)),
+            "mirror": lambda: own(mirrored(pg)),
+            "gas": lambda: gas.run_gas(graph.edges, graph.vertices, program, counted=False),
+            "bsp": lambda: bsp.run_bsp(graph.edges, graph.vertices, program),
+        }
+        rows += [(name, engine, _timed(run)) for engine, run in engines.items()]
+    return spark.createDataFrame(rows, "program string, engine string, seconds double")
+
+
+def compute_shares(spark: SparkSession, g: PropertyGraph) -> DataFrame:
+    """(program, compute_ms, wait_ms, share): time in tasks that isn't waiting for or writing shuffles."""
+    g, rows = _saved(g), []
+    weighted = build.with_random_weights(g)
+    source = g.edges.agg(F.min("src")).first()[0] or 0
+    for name, run in (("pagerank", lambda: pagerank.pagerank_run(g, 5)), ("sssp", lambda: traversal.sssp_run(weighted, source)), ("components", lambda: traversal.connected_run(g))):
+        group = f"{name}-{uuid.uuid4().hex}"
+        spark.sparkContext.setJobGroup(group, name)
+        try:
+            run()
+        finally:
+            spark.sparkContext.setLocalProperty("spark.jobGroup.id", None)
+        compute, wait = group_share(spark, group)
+        rows.append((name, compute, wait, compute / max(1.0, compute + wait)))
+    return spark.createDataFrame(rows, "program string, compute_ms double, wait_ms double, share double")
+
+
 def cut_factors(spark: SparkSession, g: PropertyGraph, ks: tuple[int, ...] = (2, 4, 8, 16), order: str = "digest") -> DataFrame:
     """(placer, k, cut_factor, equivalent_cut, hash_cut, s_pct, c_pct): four placers, what each is charged, and roles' shares.
 
