@@ -6,6 +6,8 @@ have the structure of a credential: DER whose nested lengths fit to the last byt
 a private key, an OpenSSH key container, or a signed token whose header and claims are JSON with an
 algorithm. Confirmed spans are added; base spans are never removed.
 
+JSON or DER that is nested too deeply to be a header or a key isn't one.
+
 Cases: null text is empty; null ids are kept; repeated rows are scanned each; empty tables give empty
 results; texts of any length are scanned whole; other columns are ignored.
 """
@@ -98,7 +100,7 @@ def is_signed_token(run: str) -> bool:
         data = unbase64(piece)
         try:
             parts.append(json.loads(data)) if data is not None else parts.append(None)
-        except ValueError:
+        except (ValueError, RecursionError):  # no JSON, or nested beyond any header
             return False
     return all(isinstance(p, dict) for p in parts) and isinstance(parts[0].get("alg"), str)
 
@@ -126,7 +128,8 @@ def confirmed_spans(text: str) -> list[tuple[int, int, str]]:
             if key := next(held, None):
                 spans.append((m.start(), m.start() + key.end(), "der"))
     for m in HEX_RUN.finditer(text):
-        if m[0][:2] == "30" and len(m[0]) % 2 == 0 and is_private_key(bytes.fromhex(m[0])):
+        # A DER sequence, or the first letters of an OpenSSH container.
+        if m[0][:4].lower().startswith(("30", "6f70")) and len(m[0]) % 2 == 0 and is_private_key(bytes.fromhex(m[0])):
             spans.append((m.start(), m.end(), "der"))
     return spans
 
