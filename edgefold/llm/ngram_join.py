@@ -18,7 +18,7 @@ a search of an R-tree over count points and from an exact check of what the sear
 2. *First hits.* Each tile (or chunk of one) is an R-tree packed by id. A search descends, smallest ids first,
    only where the sum of minima with a box's upper corner reaches the need, and ends at its first hit: one
    pair per member, and about one leaf per member in a group of near copies. Verified pairs give components.
-3. *All hits.* Tiles of more than two members and of several components get a tree packed by component, and
+3. *All hits.* Tiles of more than two members, some hit and several components get a tree packed by component, and
    a search returns all hits of other components. A tile whose hits are few beside its members gives them
    as pairs; otherwise the members that hits connect become one group, so that a tile never gives more
    rows than a multiple of its members. Groups are verified by one task each (or each pair of chunks) from an
@@ -50,7 +50,7 @@ LEAST_GROUPS, MOST_GROUPS, CELLS, FANOUT = 64, 2048, 16, 16
 #: Blocks of at most so many shingles are light.
 LIGHT = 1
 #: Most members of a chunk of a tile, most ids or pairs that are broadcast, and most counts of points compared at once.
-UNIT, BROADCAST_IDS, CELLS_AT_ONCE = 4096, 500_000, 4_000_000
+UNIT, BROADCAST_IDS, CELLS_AT_ONCE = 4096, 500_000, 1_000_000
 #: Rows of one tile in one task from which on they count for finding hot tiles, and keys counted at once.
 LOCAL, KEYS_AT_ONCE = 16, 8_000_000
 #: Most pairs per member that a tile gives before it gives groups, and shingles of a chunk of a group.
@@ -76,7 +76,7 @@ def needed(percent: int, a: np.ndarray, b: np.ndarray) -> np.ndarray:
 
 
 def dimensions(sizes: np.ndarray) -> np.ndarray:
-    """Groups of a point: a power of two, two shingles a group on average.
+    """Groups of a point: a power of two, one to two shingles a group.
 
     Fewer groups would let the minima of unlike long documents add up to the need. A point folds to half
     as many groups by adding its halves, so points of different sizes compare at the smaller of the two.
@@ -103,6 +103,9 @@ def tile_keys(hashes: np.ndarray, sizes: np.ndarray, percent: int, tops: np.ndar
     always tiles. They are enough if either row has at most slack light ones, since one of the equal blocks is
     heavy then. Rows with more add their blocks of one shingle, and rows with more than slack empty
     blocks add these too: a pair that shares only such blocks has rows that both add them.
+
+    Keys have 48 bits, the low ones being 0, which makes them a sixth shorter when shuffled. Tiles that fall together
+    by chance cost a comparison and nothing else.
     """
     first = np.concatenate([[0], np.cumsum(sizes)])
     own = np.searchsorted(tops, sizes)
@@ -143,7 +146,7 @@ def tile_keys(hashes: np.ndarray, sizes: np.ndarray, percent: int, tops: np.ndar
             out_row.append(np.full(len(empty), rows[i]))
     if not out_row:
         return np.zeros(0, dtype=np.int64), np.zeros(0, dtype=np.uint64)
-    return np.concatenate(out_row), np.concatenate(out_key)
+    return np.concatenate(out_row), np.concatenate(out_key) & np.uint64(0xFFFFFFFFFFFF0000)
 
 
 def sets_of(column: pa.Array, k: int) -> Iterator[tuple[int, np.ndarray, np.ndarray, np.ndarray]]:
@@ -214,19 +217,28 @@ def tile_table(docs: DataFrame, k: int, percent: int) -> DataFrame:
 
 
 def packed(counts: np.ndarray) -> bytes:
-    """Counts as bytes, in one byte each where they fit, else in four."""
-    return counts.astype(np.uint8 if counts.max(initial=0) < 256 else "<u4").tobytes()
+    """Counts as bytes, in half a byte each where they fit, else in one or four."""
+    top = counts.max(initial=0)
+    if top < 16:
+        return (counts[::2] | counts[1::2] << 4).astype(np.uint8).tobytes()
+    return counts.astype(np.uint8 if top < 256 else "<u4").tobytes()
 
 
 def unpacked(points: list[bytes], sizes: np.ndarray, groups: int) -> np.ndarray:
     """Counts of points folded to ``groups``; a point's own number of groups follows from its set's size."""
     own = dimensions(sizes)
-    wide = np.fromiter(map(len, points), np.int64, len(points)) > own
-    out = np.zeros((len(points), groups), dtype=np.uint32 if wide.any() or (own > groups).any() else np.uint8)
-    for size, four in {*zip(own.tolist(), wide.tolist())}:
-        at = np.flatnonzero((own == size) & (wide == four))
-        counts = np.frombuffer(b"".join([points[i] for i in at.tolist()]), "<u4" if four else np.uint8)
-        out[at] = counts.reshape(len(at), size // groups, groups).sum(axis=1) if size > groups else counts.reshape(len(at), groups)
+    length = np.fromiter(map(len, points), np.int64, len(points))
+    plain = (length <= own) & (own == groups)
+    out = np.zeros((len(points), groups), dtype=np.uint8 if plain.all() else np.uint32)
+    for size, held in {*zip(own.tolist(), length.tolist())}:
+        at = np.flatnonzero((own == size) & (length == held))
+        raw = b"".join([points[i] for i in at.tolist()])
+        counts = np.frombuffer(raw, "<u4" if held > size else np.uint8).reshape(len(at), -1)
+        if held < size:
+            halves = counts
+            counts = np.empty((len(at), size), dtype=np.uint8)
+            counts[:, ::2], counts[:, 1::2] = halves & 15, halves >> 4
+        out[at] = counts.reshape(len(at), size // groups, groups).sum(axis=1) if size > groups else counts
     return out
 
 
@@ -404,7 +416,7 @@ def id_pairs(a: np.ndarray, b: np.ndarray) -> pa.RecordBatch:
 
 
 def first_pairs(members: DataFrame, percent: int) -> DataFrame:
-    """Pairs (a, b), a < b: each member with the first hit of its search, within its tile or its chunk of one.
+    """(key, a, b), a < b: each member with the first hit of its search, within its tile or its chunk of one.
 
     ``members`` has (key, size, hub, node, n, point); the ``hub`` of a tile in chunks, its smallest id, is in all of them.
     """
@@ -412,16 +424,16 @@ def first_pairs(members: DataFrame, percent: int) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for rows, starts in units(batches, ["key", "x"]):
-            node, n = columns_of(rows, "node", "n")
-            for i, j in tile_hits(rows.column("point").to_pylist(), n, node, starts, percent, first_only=True):
-                if len(i):
-                    yield id_pairs(node[i], node[j])
+            key, node, n = columns_of(rows, "key", "node", "n")
+            found = [np.zeros((2, 0), dtype=np.int64), *map(np.stack, tile_hits(rows.column("point").to_pylist(), n, node, starts, percent, first_only=True))]
+            i, j = np.concatenate(found, axis=1)  # at most one a member, whose hit is smaller as ids are in order
+            yield pa.RecordBatch.from_arrays([pa.array(key[i]), pa.array(node[j]), pa.array(node[i])], ["key", "a", "b"])
 
     chunks = tile_chunks()
     everywhere = F.sequence(F.lit(0), chunks - 1)
-    own = F.when(F.col("node") == F.col("hub"), everywhere).otherwise(F.array(F.pmod(F.xxhash64("node"), chunks).cast("int")))
+    own = F.when(F.coalesce(F.col("node") == F.col("hub"), F.lit(False)), everywhere).otherwise(F.array(F.pmod(F.xxhash64("node"), chunks).cast("int")))
     dealt = members.withColumn("x", F.explode(own)).select("key", "x", "node", "n", "point")
-    return together(dealt, ["key", "x"], "node").mapInArrow(run, f"a {id_type}, b {id_type}").distinct()
+    return together(dealt, ["key", "x"], "node").mapInArrow(run, f"key long, a {id_type}, b {id_type}")
 
 
 def tree_pairs(members: DataFrame, percent: int) -> DataFrame:
@@ -608,7 +620,7 @@ def met_tiles(table: DataFrame, firsts: DataFrame, k: int, percent: int) -> Data
     """(key, node, size, hub) of the members of tiles with several ids, one tile for each set of members; written.
 
     ``firsts`` has the texts (id, text) of representatives. Hot tiles are counted by partial aggregation, all others
-    side by side. ``hub`` is the smallest id.
+    side by side. ``hub`` is the smallest id, given for tiles in chunks only.
     """
     hot = save(hot_tiles(table), "hot-tiles")
     tiles = tile_table(firsts, k, percent).select("node", F.explode("keys").alias("key"))
@@ -623,14 +635,18 @@ def met_tiles(table: DataFrame, firsts: DataFrame, k: int, percent: int) -> Data
         counts = rows.groupBy("key").agg(F.count("*").alias("size"), F.min("node").alias("hub"), F.max("node").alias("last"), F.bit_xor(F.xxhash64("node")).alias("mark"))
         met = met.unionByName(rows.join(few(save(counts.where("hub < last"), "hot-counts")), "key").select(*met.columns))
     met = save(met, "tiles")
-    sole = met.groupBy("size", "hub", "last", "mark").agg(F.min("key").alias("key")).select("key")
-    sole = save(met.join(sole, "key", "left_semi").select("key", "node", "size", "hub"), "sole-tiles")
-    drop(met.sparkSession, met, hot)
-    return sole
+    sole = save(met.groupBy("size", "hub", "last", "mark").agg(F.min("key").alias("key")).select("key"), "sole-keys")
+    hub = F.when(F.col("size") > UNIT, F.col("hub")).alias("hub")
+    kept = save(met.join(few(sole), "key", "left_semi").select("key", "node", "size", hub), "sole-tiles")
+    drop(met.sparkSession, met, hot, sole)
+    return kept
 
 
 def join_components(documents: DataFrame, k: int = 5, percent: int = 80, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """(id, n_shingles, component_id) for every row; ids are whole numbers."""
+    """(id, n_shingles, component_id) for every row; ids are whole numbers.
+
+    Joins of tables of tiles are merge joins at any size; ids and keys are broadcast up to ``BROADCAST_IDS`` of them.
+    """
     docs = documents.select(F.col(id_col).alias("id"), F.col(text_col).cast("string").alias("text"))
     spark = documents.sparkSession
     table = save(point_table(docs, k, percent), "points")
@@ -639,14 +655,18 @@ def join_components(documents: DataFrame, k: int = 5, percent: int = 80, id_col:
     first_ids = save(classes.select("id").distinct(), "first-ids")
     met = met_tiles(table, docs.join(few(first_ids), "id", "left_semi"), k, percent)
     points = named.join(few(first_ids), "id", "left_semi").select(F.col("id").alias("node"), "n", "point")
-    pairs = save(first_pairs(met.join(points, "node"), percent), "first-pairs")
+    first_hits = save(first_pairs(met.hint("merge").join(points, "node"), percent), "first-hits")
+    pairs = save(first_hits.select("a", "b").distinct(), "first-pairs")
     first_links = save(verified(pairs, docs, k, percent), "first-links")
     near = save(contract_components(first_links, "a", "b"), "near").select(F.col("id").alias("node"), F.col("label"))
 
-    labelled = met.where("size > 2").join(near, "node", "left").select("key", "node", "size", F.coalesce("label", "node").alias("component"))
+    # A tile in which no member had a hit has none; of a tile in chunks that is not known yet.
+    hit_keys = save(first_hits.select("key").distinct(), "hit-keys")
+    again = met.where(f"size > 2 AND size <= {UNIT}").hint("merge").join(hit_keys, "key", "left_semi").unionByName(met.where(f"size > {UNIT}"))
+    labelled = again.hint("merge").join(near, "node", "left").select("key", "node", "size", F.coalesce("label", "node").alias("component"))
     several = labelled.groupBy("key").agg(F.min("component").alias("lo"), F.max("component").alias("hi")).where("lo < hi").select("key")
-    hits = save(mixed_hits(labelled.join(several, "key", "left_semi").join(points, "node"), percent), "hits")
-    rest = save(hits.where("b IS NOT NULL").select("a", "b").join(pairs, ["a", "b"], "left_anti"), "all-pairs")
+    hits = save(mixed_hits(labelled.hint("merge").join(several, "key", "left_semi").hint("merge").join(points, "node"), percent), "hits")
+    rest = save(hits.where("b IS NOT NULL").select("a", "b").hint("merge").join(pairs, ["a", "b"], "left_anti"), "all-pairs")
     later_links = save(verified(rest, docs, k, percent), "later-links")
     groups = hits.where("b IS NULL").select(F.col("a").alias("node"), "g1", "g2", "weight")
     grouped = save(groups.join(near, "node", "left").select("node", F.coalesce("label", "node").alias("component"), "g1", "g2", "weight"), "groups")
@@ -657,7 +677,7 @@ def join_components(documents: DataFrame, k: int = 5, percent: int = 80, id_col:
     doubled = same_id.join(several, "a", "left_semi")
     known = near.where("node <> label").select(F.col("node").alias("a"), F.col("label").alias("b"))
     whole = save(contract_components(known.unionByName(later_links).unionByName(group_links).unionByName(doubled), "a", "b"), "components")
-    drop(spark, met, first_ids, pairs, first_links, hits, rest, later_links, grouped, group_links)
+    drop(spark, met, first_ids, first_hits, hit_keys, pairs, first_links, hits, rest, later_links, grouped, group_links)
     labels = classes.join(whole, "id", "left").select("s1", "s2", F.coalesce("label", "id").alias("component_id"))
     own = whole.select(F.col("id"), F.col("label").alias("own"))
     out = table.where("often IS NULL").select("id", "n", "s1", "s2").join(labels, ["s1", "s2"], "left").join(own, "id", "left")
