@@ -89,11 +89,9 @@ def part_supplier(spark: SparkSession, sf_dir: str) -> PropertyGraph:
     return PropertyGraph.from_edges(lines.select(typed("l_partkey", "part").alias("src"), typed("l_suppkey", "supplier").alias("dst")).distinct())
 
 
-def copurchase(spark: SparkSession, sf_dir: str, least: int = 1, order_below: int | None = None) -> PropertyGraph:
+def copurchase(spark: SparkSession, sf_dir: str, least: int = 1) -> PropertyGraph:
     """Parts of one order, a < b, with w a fixed scramble of the pair; undirected by convention."""
     lines = table(spark, sf_dir, "lineitem").select("l_orderkey", F.col("l_partkey").alias("p"))
-    if order_below is not None:
-        lines = lines.where(F.col("l_orderkey") < order_below)
     lines = lines.distinct()
     pairs = lines.withColumnRenamed("p", "src").join(lines.withColumnRenamed("p", "dst"), "l_orderkey").where("src < dst")
     counted = pairs.groupBy("src", "dst").agg(F.count("*").alias("n")).where(F.col("n") >= least)

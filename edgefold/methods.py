@@ -216,11 +216,6 @@ def scc_strong(spark: SparkSession, sf: str) -> DataFrame:
     return multistage.strong_components(build.handoff_strong(spark, sf))
 
 
-def betweenness_strong(spark: SparkSession, sf: str) -> DataFrame:
-    g = build.handoff_strong(spark, sf)
-    return multistage.betweenness(g, g.vertices.where("id % 5 = 0")).select("id", F.round("score", 4).alias("score"))
-
-
 def betweenness_strong_all(spark: SparkSession, sf: str) -> DataFrame:
     """(id, score) over the shortest paths from every vertex."""
     g = build.handoff_strong(spark, sf)
@@ -250,11 +245,6 @@ def semi_clusters_thread(spark: SparkSession, sf: str) -> DataFrame:
     return multistage.semi_clusters(build.thread(spark, sf))
 
 
-def forest_weight(spark: SparkSession, sf: str) -> DataFrame:
-    """(edges): edges of a minimum spanning forest of parts bought together in the first 400 orders."""
-    return _count(rounds.spanning_forest(build.copurchase(spark, sf, order_below=400)), "edges")
-
-
 def forest_weight_all(spark: SparkSession, sf: str) -> DataFrame:
     """(edges, weight): size and weight of a minimum spanning forest of parts bought together in any order."""
     return rounds.spanning_forest(build.copurchase(spark, sf)).agg(F.count("*").alias("edges"), F.coalesce(F.sum("w"), F.lit(0)).alias("weight"))
@@ -560,12 +550,10 @@ QUERIES = {
     "rmat_scale8_degrees": rmat_scale8_degrees,
     "convergence_trace": convergence_trace,
     "scc_strong": scc_strong,
-    "betweenness_strong": betweenness_strong,
     "betweenness_strong_all": betweenness_strong_all,
     "bipartite_matching_violations": bipartite_matching_violations,
     "matching_maximal_violations": matching_maximal_violations,
     "semi_clusters_thread": semi_clusters_thread,
-    "forest_weight": forest_weight,
     "forest_weight_all": forest_weight_all,
     "colouring_violations": colouring_violations,
     "weighted_matching_violations": weighted_matching_violations,

@@ -48,7 +48,7 @@ def _profile() -> str:
 
 BETWEEN = f"""WITH RECURSIVE {ctes('handoff_strong')},
 b AS MATERIALIZED (SELECT DISTINCT src, dst FROM e WHERE src <> dst),
-lv(s, id, d) USING KEY (s, id) AS (SELECT id, id, 0 FROM v WHERE id % 5 = 0 UNION
+lv(s, id, d) USING KEY (s, id) AS (SELECT id, id, 0 FROM v UNION
   SELECT DISTINCT lv.s, b.dst, lv.d + 1 FROM lv JOIN b ON b.src = lv.id LEFT JOIN recurring.lv r ON r.s = lv.s AND r.id = b.dst WHERE r.id IS NULL),
 sg(s, id, d, n) AS (SELECT s, id, 0, 1.0::DOUBLE FROM lv WHERE d = 0 UNION ALL
   SELECT sg.s, b.dst, sg.d + 1, sum(sg.n) FROM sg JOIN b ON b.src = sg.id JOIN lv ON lv.s = sg.s AND lv.id = b.dst AND lv.d = sg.d + 1 GROUP BY sg.s, b.dst, sg.d + 1),
@@ -58,14 +58,6 @@ dl(s, id, d, x) AS (SELECT s, id, d, 0.0::DOUBLE FROM sg, mx WHERE d = m UNION A
     SELECT p.s, p.id, sum(p.n / w.n * (1 + dl.x)) AS x FROM dl JOIN sg w ON w.s = dl.s AND w.id = dl.id JOIN b ON b.dst = dl.id JOIN sg p ON p.s = dl.s AND p.id = b.src AND p.d = dl.d - 1 GROUP BY p.s, p.id) c ON c.s = p.s AND c.id = p.id)
 SELECT v.id, round(coalesce(sum(x) FILTER (s <> dl.id), 0.0), 4) AS score FROM v LEFT JOIN dl ON dl.id = v.id GROUP BY v.id"""
 
-FOREST = """WITH RECURSIVE l AS (SELECT DISTINCT l_orderkey AS o, l_partkey AS p FROM lineitem WHERE l_orderkey < 400),
-e AS MATERIALIZED (SELECT DISTINCT a.p AS src, b.p AS dst FROM l a JOIN l b ON a.o = b.o AND a.p < b.p),
-v AS MATERIALIZED (SELECT src AS id FROM e UNION SELECT dst FROM e),
-b AS MATERIALIZED (SELECT src, dst FROM e UNION SELECT dst, src FROM e),
-d(id, x) USING KEY (id) AS (SELECT id, id FROM v UNION
-  SELECT c.id, min(c.x) FROM (SELECT b.dst AS id, d.x FROM d JOIN b ON b.src = d.id) c LEFT JOIN recurring.d r ON r.id = c.id WHERE r.x IS NULL OR c.x < r.x GROUP BY c.id)
-SELECT (SELECT count(*) FROM v) - (SELECT count(DISTINCT x) FROM d) AS edges"""
-
 TRACE = f"""WITH RECURSIVE {ctes('thread')},
 n AS (SELECT id // 1000 AS c, count(*) AS len FROM v GROUP BY 1),
 t(step, frontier) AS (SELECT 0::BIGINT, (SELECT count(*) FROM v)::BIGINT UNION ALL SELECT step + 1, (SELECT sum(greatest(len - step - 1, 0)) FROM n)::BIGINT FROM t WHERE frontier > 0)
@@ -123,8 +115,7 @@ t(step, id, pred) AS (SELECT 0::BIGINT, id, pred FROM f WHERE id = 7 UNION ALL S
     "rmat_scale8_degrees": f"WITH {ctes('rmat8')} SELECT src AS id, count(*) AS out_degree FROM e GROUP BY src",
     "convergence_trace": TRACE,
     "scc_strong": reach("handoff_strong") + " SELECT x.a AS id, min(x.b)::BIGINT AS scc FROM p x JOIN p y ON x.a = y.b AND x.b = y.a GROUP BY x.a",
-    "betweenness_strong": BETWEEN,
-    "forest_weight": FOREST,
+    "betweenness_strong_all": BETWEEN,
     "place_hash_edge_cut": f"WITH {ctes('purchase')} " + " UNION ALL ".join(_cut(k) for k in (4, 8, 16)),
     **{f"proxy_measures_k{k}": " UNION ALL ".join(measures(g, k) for g in ("handoff", "purchase")) for k in (4, 8, 16)},
     "place_at_source": _rule("at_source"),

@@ -9,7 +9,7 @@ from ..algorithms import traversal
 from ..graph import build, io
 from ..graph.build import table
 from ..graph.model import PropertyGraph
-from ..oracles.graphs import ctes
+from ..oracles.graphs import ctes, relaxed
 from ..runtime.scratch import new_path, save
 
 TRADE = f"WITH {ctes('trade')} SELECT src, dst, w FROM e"
@@ -63,11 +63,6 @@ def join_rank_compare_full(spark: SparkSession, sf: str) -> DataFrame:
     return g.out_degrees().join(g.in_degrees(), "id", "full").select("id", "out_degree", "in_degree")
 
 
-def frontier_edges_semi(spark: SparkSession, sf: str) -> DataFrame:
-    g = build.handoff(spark, sf)
-    return g.out_edges(g.vertices.where("id % 10 = 0")).select("src", "dst")
-
-
 def frontier_edges_traversal(spark: SparkSession, sf: str) -> DataFrame:
     """(level, src, dst): the edges out of each frontier of a traversal from vertex 0, whatever its depth."""
     g = build.handoff(spark, sf)
@@ -180,8 +175,7 @@ QUERIES = {
         join_rank_compare_full,
         f"WITH {ctes('handoff_strong')} SELECT coalesce(a.id, b.id) AS id, out_degree, in_degree FROM (SELECT src AS id, count(*) AS out_degree FROM e GROUP BY src) a FULL JOIN (SELECT dst AS id, count(*) AS in_degree FROM e GROUP BY dst) b ON a.id = b.id",
     ),
-    "frontier_edges_semi": (frontier_edges_semi, f"WITH {ctes('handoff')} SELECT src, dst FROM e WHERE src % 10 = 0"),
-    "frontier_edges_traversal": (frontier_edges_traversal, None),
+    "frontier_edges_traversal": (frontier_edges_traversal, relaxed("handoff", "SELECT 0::BIGINT, 0::BIGINT", "d.x + 1", "SELECT d.x::BIGINT AS level, e.src, e.dst FROM e JOIN d ON d.id = e.src")),
     "dangling_anti": (dangling_anti, f"WITH {ctes('hyperlink')} SELECT id FROM v WHERE id NOT IN (SELECT src FROM e)"),
     "cross_parts_nation": (cross_parts_nation, "SELECT n_nationkey::BIGINT AS n_nationkey, pid, (n_nationkey * 7 + pid * 3) % 11 AS score FROM nation, range(4) t(pid)"),
     "range_join_balance": (range_join_balance, "SELECT a.s_suppkey AS a, b.s_suppkey AS b FROM supplier a JOIN supplier b ON a.s_suppkey < b.s_suppkey AND abs(a.s_acctbal - b.s_acctbal) < 5"),
