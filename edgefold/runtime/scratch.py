@@ -10,10 +10,14 @@ from __future__ import annotations
 
 import tempfile
 import uuid
+from collections.abc import Iterator
+from contextlib import contextmanager
 
 from pyspark.sql import Column, DataFrame, Observation, SparkSession
 
 _own_folder: str | None = None
+#: Session setting, changeable at run time: whether a query's shuffle files go when the query ends.
+RELEASE = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
 
 
 def shared_folder(spark: SparkSession) -> str:
@@ -38,6 +42,21 @@ def new_path(spark: SparkSession, name: str) -> str:
     return path
 
 
+@contextmanager
+def shuffles_released(spark: SparkSession) -> Iterator[None]:
+    """Queries run within give up their shuffle files when they end, not when the driver next collects garbage.
+
+    What a written table was made from is never read again. Should a frame be run twice all the same, or a lost block be
+    made anew, the missing files are a fetch failure, and their stage runs again.
+    """
+    before = spark.conf.get(RELEASE, "false")
+    spark.conf.set(RELEASE, "true")
+    try:
+        yield
+    finally:
+        spark.conf.set(RELEASE, before)
+
+
 def save(df: DataFrame, name: str, observed: Observation | None = None, *figures: Column) -> DataFrame:
     """Write ``df`` to the shared folder and return a DataFrame that reads it back.
 
@@ -45,7 +64,8 @@ def save(df: DataFrame, name: str, observed: Observation | None = None, *figures
     """
     spark = df.sparkSession
     path = new_path(spark, name)
-    (df.observe(observed, *figures) if observed else df).write.option("compression", "zstd").parquet(path)
+    with shuffles_released(spark):
+        (df.observe(observed, *figures) if observed else df).write.option("compression", "zstd").parquet(path)
     written = spark.read.schema(df.schema).parquet(path)
     written._scratch_path = path
     return written
