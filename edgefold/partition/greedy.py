@@ -26,9 +26,11 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..runtime.scratch import drop, new_path, save
-from .stream_order import order_edges
+from .stream_order import loader_of, order_edges, sort_keys
 
 DELTA = 1.0
+#: Parts in a word of shared presence.
+WORD = 63
 
 
 @dataclass
@@ -42,6 +44,7 @@ class LoaderTables:
     out_bits: dict[int, int] = field(default_factory=dict)
     in_bits: dict[int, int] = field(default_factory=dict)
     loads: np.ndarray | None = None
+    members: dict[int, tuple[int, ...]] = field(default_factory=dict)
 
     def __post_init__(self) -> None:
         self.loads = np.zeros(self.k, dtype=np.int64) if self.loads is None else self.loads
@@ -50,6 +53,8 @@ class LoaderTables:
 
     def place(self, sources: np.ndarray, targets: np.ndarray) -> np.ndarray:
         """Parts of a run of edges, updating the tables after each."""
+        if self.guard is None and self.k <= WORD and self.delta == DELTA:
+            return self.place_few(sources, targets)
         k, loads, out_bits, in_bits = self.k, self.loads.tolist(), self.out_bits, self.in_bits
         low, high, total = min(loads), max(loads), sum(loads)
         least = [(n, i) for i, n in enumerate(loads)]  # (load, part), entries of old loads are passed over
@@ -86,6 +91,39 @@ class LoaderTables:
         self.loads = np.array(loads, dtype=np.int64)
         return parts
 
+    def place_few(self, sources: np.ndarray, targets: np.ndarray) -> np.ndarray:
+        """:meth:`place` for few parts that all stay open.
+
+        The load term is below 1, so the best part is the least loaded of those with both ends, else of those with one,
+        else of all; ``min`` takes the lowest of equals.
+        """
+        loads, out_bits, in_bits, members = self.loads.tolist(), self.out_bits, self.in_bits, self.members
+        load = loads.__getitem__
+        parts = []
+        for u, v in zip(sources.tolist(), targets.tolist()):
+            bu, bv = out_bits.get(u, 0), in_bits.get(v, 0)
+            held = bu & bv or bu | bv
+            if not held:
+                chosen = loads.index(min(loads))
+            elif held & held - 1:
+                among = members.get(held)
+                if among is None:
+                    among = tuple(i for i in range(self.k) if held >> i & 1)
+                    if len(members) < 1 << 16:
+                        members[held] = among
+                chosen = min(among, key=load)
+            else:
+                chosen = held.bit_length() - 1
+            bit = 1 << chosen
+            if not bu & bit:
+                out_bits[u] = bu | bit
+            if not bv & bit:
+                in_bits[v] = bv | bit
+            loads[chosen] += 1
+            parts.append(chosen)
+        self.loads = np.array(loads, dtype=np.int64)
+        return np.array(parts, dtype=np.int32)
+
 
 #: Rows of a placement.
 PLACED = "edge_seq long, src long, dst long, loader int, pid int"
@@ -96,10 +134,10 @@ def with_parts(batch: pa.RecordBatch, parts: np.ndarray) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays([*(batch.column(c) for c in names), pa.array(parts, pa.int32())], [*names, "pid"])
 
 
-def runs(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[int, pa.RecordBatch]]:
+def runs(batches: Iterator[pa.RecordBatch], key: str = "loader") -> Iterator[tuple[int, pa.RecordBatch]]:
     """(loader, its next edges) of batches in which a loader's edges lie side by side."""
     for batch in batches:
-        loader = np.asarray(batch.column("loader"))
+        loader = np.asarray(batch.column(key))
         cuts = np.flatnonzero(np.diff(loader, prepend=-1)).tolist()
         for a, b in zip(cuts, [*cuts[1:], len(loader)]):
             yield int(loader[a]), batch.slice(a, b - a)
@@ -149,8 +187,44 @@ def greedy_place(
     raise ValueError(f"unknown ingress {ingress}")
 
 
-#: Parts in a word of shared presence, and most rounds of a coordinated placement.
-WORD, MOST_ROUNDS = 63, 256
+#: Rows of several placements.
+PLACED_BY = "graph int, way int, src long, dst long, pid int"
+
+
+def place_each_way(edges: DataFrame, graphs: int, ways: list[tuple[int, str, str]], loaders: int = 8, order: str = "digest") -> DataFrame:
+    """(graph, way, src, dst, pid): every edge (graph, src, dst) placed once by each of ``ways`` (k, direction, ingress).
+
+    Placements are those of :func:`greedy_place`. They don't depend on each other, so every loader of every graph and
+    way has a task of its own, and edges are ordered in these tasks. ``ways`` are serial or oblivious.
+    """
+    known, keys = sort_keys(edges.select("graph", "src", "dst"), order)
+    if order == "digest":  # a whole number sorts faster than text, and decides nearly always
+        known = known.withColumn("_key", F.conv(F.substring(keys[0], 1, 15), 16, 10).cast("long"))
+        keys = ["_key", *keys]
+    many = [loaders if ingress == "oblivious" else 1 for _, _, ingress in ways]
+    first, n = {}, 0
+    for way in sorted(range(len(ways)), key=lambda w: many[w]):  # the longest tasks start first
+        first[way], n = n, n + many[way]
+    own = loader_of(loaders)
+    tasks = F.array(*(F.struct(F.lit(w).alias("way"), (F.lit(first[w]) + (own if many[w] > 1 else F.lit(0))).alias("nth")) for w in range(len(ways))))
+    dealt = known.withColumn("_t", F.explode(tasks)).withColumns({"way": F.col("_t.way"), "task": F.col("_t.nth") * graphs + F.col("graph")}).drop("_t")
+    ordered = dealt.repartitionById(n * graphs, "task").sortWithinPartitions(*keys).select("graph", "way", "task", "src", "dst")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        tables: dict[int, LoaderTables] = {}
+        for task, batch in runs(batches, "task"):
+            if task not in tables:
+                k, direction, _ = ways[batch.column("way")[0].as_py()]
+                tables[task] = LoaderTables(k, direction == "directed")
+            parts = tables[task].place(np.asarray(batch.column("src")), np.asarray(batch.column("dst")))
+            names = ["graph", "way", "src", "dst"]
+            yield pa.RecordBatch.from_arrays([*(batch.column(c) for c in names), pa.array(parts, pa.int32())], [*names, "pid"])
+
+    return ordered.mapInArrow(run, PLACED_BY)
+
+
+#: Most rounds of a coordinated placement.
+MOST_ROUNDS = 256
 
 
 def _round_placer(k: int, directed: bool, delta: float, guard: float | None, start: np.ndarray):

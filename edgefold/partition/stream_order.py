@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..graph.ids import mix
@@ -23,12 +23,17 @@ def sort_keys(edges: DataFrame, order: str) -> tuple[DataFrame, list]:
     raise ValueError(f"unknown order {order}")
 
 
+def loader_of(loaders: int) -> Column:
+    """The loader that an edge is dealt to, by a scramble of its ends."""
+    return ((mix("dst") * 17 + mix("src")) % 1000003 % loaders).cast("int")
+
+
 def order_edges(edges: DataFrame, order: str = "mixed", loaders: int = 1) -> DataFrame:
     """(edge_seq, src, dst, loader): loaders take edges by a scramble of their ends and number their own.
 
     ``edge_seq`` is per loader; with one loader it numbers the whole list, which only small graphs allow.
     """
     known, keys = sort_keys(edges.select("src", "dst"), order)
-    dealt = known.withColumn("loader", ((mix("dst") * 17 + mix("src")) % 1000003 % loaders).cast("int"))
+    dealt = known.withColumn("loader", loader_of(loaders))
     here = Window.partitionBy("loader").orderBy(*keys)
     return dealt.select((F.row_number().over(here) - 1).cast("long").alias("edge_seq"), "src", "dst", "loader")
