@@ -12,7 +12,7 @@ from ..graph.model import PropertyGraph
 from ..model.algebra import MIN
 from ..model.program import VertexProgram
 from ..model.superstep import RunResult, run
-from ..runtime.scratch import drop, save
+from ..runtime.scratch import drop, read_all, save
 
 
 @dataclass(frozen=True)
@@ -30,14 +30,15 @@ def run_stages(g: PropertyGraph, stages: list[Stage]) -> list[RunResult]:
     return [run(both[s.direction], g.vertices, s.program, s.max_steps) for s in stages]
 
 
-def strong_components(g: PropertyGraph, max_rounds: int = 1000) -> DataFrame:
-    """(id, scc): the smallest id of each strong component.
+def strong_components(g: PropertyGraph) -> DataFrame:
+    """(id, scc): the smallest id of each strong component; no rows for no vertices.
 
     A round peels vertices without in- or out-edges, then spreads the smallest ancestor id forward as a
-    colour and, from vertices that kept their own id, confirms backward within the colour.
+    colour and, from vertices that kept their own id, confirms backward within the colour. What rounds find is read as one
+    table, so the plan doesn't grow with them.
     """
     left, edges, found = save(g.vertices.select("id"), "left"), save(g.edges.select("src", "dst").where("src <> dst").distinct(), "edges"), []
-    for _ in range(max_rounds):
+    while True:
         lone = left.join(edges.select(F.col("src").alias("id")), "id", "left_anti").unionByName(left.join(edges.select(F.col("dst").alias("id")), "id", "left_anti")).distinct()
         done = lone.select("id", F.col("id").alias("scc"))
         lone = save(done, "lone")
@@ -62,10 +63,9 @@ def strong_components(g: PropertyGraph, max_rounds: int = 1000) -> DataFrame:
         next_edges = save(kept.select("src", "dst"), "edges")
         drop(g.spark, left, edges)
         left, edges = next_left, next_edges
-    out = found[0]
-    for f in found[1:]:
-        out = out.unionByName(f)
-    return out
+    if not found:
+        return left.select("id", F.col("id").alias("scc"))
+    return read_all(found)
 
 
 def betweenness(g: PropertyGraph, sources: DataFrame) -> DataFrame:
