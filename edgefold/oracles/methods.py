@@ -112,7 +112,7 @@ t(step, id, pred) AS (SELECT 0::BIGINT, id, pred FROM f WHERE id = 7 UNION ALL S
     "cc_contract": labels("thread"),
     "cc_proxied": labels("sharedline"),
     "cc_gas": labels("sharedline"),
-    "rmat_scale8_degrees": f"WITH {ctes('rmat8')} SELECT src AS id, count(*) AS out_degree FROM e GROUP BY src",
+    "rmat_scale8_degrees": f"WITH {ctes('rmat8_events')} SELECT src AS id, count(*) AS out_degree FROM e GROUP BY src",
     "convergence_trace": TRACE,
     "scc_strong": reach("handoff_strong") + " SELECT x.a AS id, min(x.b)::BIGINT AS scc FROM p x JOIN p y ON x.a = y.b AND x.b = y.a GROUP BY x.a",
     "betweenness_strong_all": BETWEEN,
