@@ -79,14 +79,15 @@ SELECT count(*) AS pairs, sum(n)::BIGINT AS messages, sum(ceil(n / 63))::BIGINT
 TOPOLOGY = f"""WITH {placed('purchase', 4)}, c AS (SELECT (SELECT count(*) FROM v) + (SELECT count(*) FROM x) AS n, (SELECT count(*) FROM q) AS e)
 SELECT n AS local_ids, e AS edges, 8 * n + 4 * e AS bytes, 2 * (8 * n + 4 * e) + 8 * e AS gas_bytes FROM c"""
 
-AXES = """SELECT * FROM (VALUES ('one-sided flat', 'edges by source', 'one-sided messages', 'merged messages'),
-  ('one-sided proxied', 'proxy graph', 'one-sided messages', 'one direction per proxy'),
-  ('gather-apply-scatter', 'edges with state', 'split phases', 'shared edge values'),
-  ('mirror', 'vertex-cut with mirrors', 'split phases', 'collect and broadcast'),
-  ('message super-steps', 'edges by source', 'vertex programs', 'stored messages'),
-  ('map/reduce rounds', 'adjacency records', 'map and reduce', 'whole graph each round'),
-  ('matrix products', 'sparse matrix', 'semiring products', 'vector shuffles'),
-  ('rdd', 'partitioned pairs', 'joins and reductions', 'merged pairs')) t(engine, data_model, computation_model, communication_model)"""
+AXES = f"""WITH {placed('handoff', K)}, c AS (SELECT (SELECT count(*) FROM q) AS e, (SELECT count(DISTINCT dst) FROM q) AS t, (SELECT count(*) FROM v) AS n, (SELECT count(*) FROM x) AS p, (SELECT count(*) FROM (SELECT DISTINCT pid, id FROM x)) AS m)
+SELECT 'one-sided flat' AS engine, 'edges by source' AS data_model, 'one-sided messages' AS computation_model, 'merged messages' AS communication_model, t AS rows_moved FROM c
+UNION ALL SELECT 'one-sided proxied', 'proxy graph', 'one-sided messages', 'one direction per proxy', p FROM c
+UNION ALL SELECT 'gather-apply-scatter', 'edges with state', 'split phases', 'shared edge values', e FROM c
+UNION ALL SELECT 'mirror', 'vertex-cut with mirrors', 'split phases', 'collect and broadcast', 2 * m FROM c
+UNION ALL SELECT 'message super-steps', 'edges by source', 'vertex programs', 'stored messages', e FROM c
+UNION ALL SELECT 'map/reduce rounds', 'adjacency records', 'map and reduce', 'whole graph each round', e + n FROM c
+UNION ALL SELECT 'matrix products', 'sparse matrix', 'semiring products', 'vector shuffles', n FROM c
+UNION ALL SELECT 'rdd', 'partitioned pairs', 'joins and reductions', 'merged pairs', t FROM c"""
 
 ORACLES: dict[str, str] = {
     **{f"pagerank_{n}scaled_10": RANKS for n in ("", "gas_", "bsp_", "bsp_merged_", "mirror_", "proxied_", "nopremerge_", "two_level_", "spmv_", "mapreduce_", "rdd_")},
