@@ -62,3 +62,14 @@ def test_strong_components_without_edges_and_over_many_rounds(spark):
     found = multistage.strong_components(graph(spark, rows))
     assert {r.id: r.scc for r in found.collect()} == {i: 3 if i == 4 else i for i in range(10)}
     assert found._jdf.queryExecution().optimizedPlan().toString().count("Relation") == 1
+
+
+@pytest.mark.parametrize("name", ["engine_axes", "rmat_scale8_degrees", "rmat_source", "workload_capacity"])
+def test_queries_that_made_their_data_up_read_a_given_table(spark, small, name):
+    second = duckdb.connect()
+    for path in Path(small).glob("*.parquet"):
+        second.execute(f"CREATE VIEW {path.stem} AS SELECT * FROM '{path}'")
+    want = second.execute(registry.oracle_sql()[name])
+    got = registry.queries()[name](spark, small)
+    assert [d[0] for d in want.description] == got.columns and any(f.endswith(".parquet") for f in got.inputFiles())
+    assert sorted(map(repr, want.fetchall())) == sorted(repr(tuple(r)) for r in got.collect())
