@@ -8,7 +8,7 @@ from __future__ import annotations
 
 from dataclasses import dataclass, field
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Observation
 from pyspark.sql import functions as F
 
 from ..model.program import ALL, VertexProgram, seed
@@ -49,18 +49,19 @@ def run_gas(edges: DataFrame, vertices: DataFrame, program: VertexProgram, max_s
 
     program.validate()
     spark = edges.sparkSession
-    state, out, step = save(seed(vertices, program), "state"), GasResult(vertices, 0), 0
+    seen = Observation()
+    state, out, step = save(seed(vertices, program), "state", seen, F.count_if("can_emit").alias("waiting")), GasResult(vertices, 0), 0
     current = edges
     while max_steps is None or step < max_steps:
-        emitting = state.where("can_emit")
-        if not program.wake == ALL and emitting.limit(1).count() == 0:
+        if program.wake != ALL and seen.get["waiting"] == 0:
             break
         after = save(scatter(current, state, program), "edge-state")
         if counted:
             signalled = after.where("signal")
             polled = after if program.wake == ALL else after.join(signalled.select("dst").distinct(), "dst", "left_semi")
             out.stored.append(signalled.count()), out.gathered.append(polled.count())
-        new = save(settled(state, gather(after, program, program.wake == ALL), program), "state")
+        seen = Observation()
+        new = save(settled(state, gather(after, program, program.wake == ALL), program), "state", seen, F.count_if("can_emit").alias("waiting"))
         if step:
             drop(spark, current)
         drop(spark, state)
