@@ -16,6 +16,7 @@ costs the number of the former, not k.
 
 from __future__ import annotations
 
+from array import array
 from collections.abc import Iterator
 from dataclasses import dataclass, field
 from heapq import heapify, heappop, heappush
@@ -187,40 +188,107 @@ def greedy_place(
     raise ValueError(f"unknown ingress {ingress}")
 
 
-#: Rows of several placements.
-PLACED_BY = "graph int, way int, src long, dst long, pid int"
+#: Rows of what placements put where. A vertex's edges in a part may be spread over several rows.
+PRESENT = "graph int, way int, id long, pid int, out long, into long"
+#: Edges in order, many to a row, for a placing task.
+PACKED = "task int, at long, edges binary"
+#: Stretches of a graph's order that are sorted apart (a power of two up to 2^60).
+BANDS = 64
+#: Edges in a packed row, of a step of a loader, and that are counted together.
+PACK, STEP, COUNTED = 1 << 11, 1 << 16, 1 << 22
+
+
+class Numbers(dict):
+    """Vertex to its number in the order of sight; ``ids`` lists the vertices."""
+
+    def __init__(self) -> None:
+        super().__init__()
+        self.ids = array("q")
+
+    def __missing__(self, vertex: int) -> int:
+        self[vertex] = n = len(self.ids)
+        self.ids.append(vertex)
+        return n
+
+    def of(self, vertices: np.ndarray) -> np.ndarray:
+        return np.fromiter(map(self.__getitem__, vertices.tolist()), np.int64, len(vertices))
+
+
+class Counts:
+    """Edges out of and into vertices per part. They are given up every ``COUNTED`` edges, so memory stays bounded."""
+
+    def __init__(self, graph: int, way: int, k: int):
+        self.graph, self.way, self.k, self.numbers, self.held, self.n = graph, way, k, Numbers(), [], 0
+
+    def add(self, sources: np.ndarray, targets: np.ndarray, parts: np.ndarray) -> None:
+        self.held += [2 * (sources * self.k + parts), 2 * (targets * self.k + parts) + 1]
+        self.n += len(parts)
+
+    def rows(self) -> Iterator[pa.RecordBatch]:
+        if not self.n:
+            return
+        keys, n = np.unique(np.concatenate(self.held), return_counts=True)
+        self.held, self.n = [], 0
+        number, pid = np.divmod(keys >> 1, self.k)
+        into = np.where(keys & 1, n, 0)
+        ids = np.frombuffer(self.numbers.ids, np.int64)[number]
+        fixed = [np.full(len(keys), x, np.int32) for x in (self.graph, self.way)]
+        columns = [*fixed, ids, pid.astype(np.int32), n - into, into]
+        for a in range(0, len(keys), STEP):
+            yield pa.RecordBatch.from_arrays([pa.array(c[a : a + STEP]) for c in columns], ["graph", "way", "id", "pid", "out", "into"])
 
 
 def place_each_way(edges: DataFrame, graphs: int, ways: list[tuple[int, str, str]], loaders: int = 8, order: str = "digest") -> DataFrame:
-    """(graph, way, src, dst, pid): every edge (graph, src, dst) placed once by each of ``ways`` (k, direction, ingress).
+    """(graph, way, id, pid, out, into): edges of vertices per part when each of ``ways`` (k, direction, ingress) places every edge (graph, src, dst).
 
     Placements are those of :func:`greedy_place`. They don't depend on each other, so every loader of every graph and
-    way has a task of its own, and edges are ordered in these tasks. ``ways`` are serial or oblivious.
+    way has a task of its own. A graph's order is sorted once, in stretches, and handed to these tasks in packed rows;
+    they return no edges but counts, to be summed by (graph, way, id, pid). ``ways`` are serial or oblivious.
     """
     known, keys = sort_keys(edges.select("graph", "src", "dst"), order)
+    band = F.lit(0)
     if order == "digest":  # a whole number sorts faster than text, and decides nearly always
         known = known.withColumn("_key", F.conv(F.substring(keys[0], 1, 15), 16, 10).cast("long"))
-        keys = ["_key", *keys]
-    many = [loaders if ingress == "oblivious" else 1 for _, _, ingress in ways]
-    first, n = {}, 0
-    for way in sorted(range(len(ways)), key=lambda w: many[w]):  # the longest tasks start first
-        first[way], n = n, n + many[way]
-    own = loader_of(loaders)
-    tasks = F.array(*(F.struct(F.lit(w).alias("way"), (F.lit(first[w]) + (own if many[w] > 1 else F.lit(0))).alias("nth")) for w in range(len(ways))))
-    dealt = known.withColumn("_t", F.explode(tasks)).withColumns({"way": F.col("_t.way"), "task": F.col("_t.nth") * graphs + F.col("graph")}).drop("_t")
-    ordered = dealt.repartitionById(n * graphs, "task").sortWithinPartitions(*keys).select("graph", "way", "task", "src", "dst")
+        keys, band = ["_key", *keys], F.shiftright("_key", 61 - BANDS.bit_length()).cast("int")
+    dealt = known.withColumns({"loader": loader_of(loaders), "band": F.col("graph") * BANDS + band})
+    ordered = dealt.repartitionById(graphs * BANDS, "band").sortWithinPartitions("band", *keys).select("band", "loader", "src", "dst")
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        tables: dict[int, LoaderTables] = {}
+    many = [loaders if ingress == "oblivious" else 1 for _, _, ingress in ways]
+    longest_first = sorted(range(len(ways)), key=lambda w: many[w])
+    tasks = [(w, i if many[w] > 1 else None) for w in longest_first for i in range(many[w])]  # (way, loader), None: all edges
+
+    def pack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        at: dict[int, int] = {}  # next row of a band
+        for band, batch in runs(batches, "band"):
+            loader, ends = np.asarray(batch.column("loader")), np.column_stack([np.asarray(batch.column(c)) for c in ("src", "dst")])
+            of = {i: ends if i is None else ends[loader == i] for i in {i for _, i in tasks}}
+            packs = {i: [x[a : a + PACK].tobytes() for a in range(0, len(x), PACK)] for i, x in of.items()}
+            rows = [(n * graphs + band // BANDS, x) for n, (_, i) in enumerate(tasks) for x in packs[i]]
+            start = at.get(band, 0)
+            at[band] = start + len(rows)
+            nth = np.arange(start, at[band]) + (band % BANDS << 40)
+            yield pa.RecordBatch.from_arrays([pa.array([t for t, _ in rows], pa.int32()), pa.array(nth), pa.array([x for _, x in rows], pa.binary())], ["task", "at", "edges"])
+
+    def place(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        now, counts = None, None
         for task, batch in runs(batches, "task"):
-            if task not in tables:
-                k, direction, _ = ways[batch.column("way")[0].as_py()]
-                tables[task] = LoaderTables(k, direction == "directed")
-            parts = tables[task].place(np.asarray(batch.column("src")), np.asarray(batch.column("dst")))
-            names = ["graph", "way", "src", "dst"]
-            yield pa.RecordBatch.from_arrays([*(batch.column(c) for c in names), pa.array(parts, pa.int32())], [*names, "pid"])
-
-    return ordered.mapInArrow(run, PLACED_BY)
+            if task != now:
+                if counts:
+                    yield from counts.rows()
+                nth, graph = divmod(task, graphs)
+                way = tasks[nth][0]
+                now, counts, tables = task, Counts(graph, way, ways[way][0]), LoaderTables(ways[way][0], ways[way][1] == "directed")
+            packed = batch.column("edges")
+            for a in range(0, len(packed), STEP // PACK):
+                ends = np.frombuffer(b"".join(packed[a : a + STEP // PACK].to_pylist()), np.int64).reshape(-1, 2)
+                sources, targets = counts.numbers.of(ends[:, 0]), counts.numbers.of(ends[:, 1])
+                counts.add(sources, targets, tables.place(sources, targets))
+                if counts.n >= COUNTED:
+                    yield from counts.rows()
+        if counts:
+            yield from counts.rows()
+
+    return ordered.mapInArrow(pack, PACKED).repartitionById(len(tasks) * graphs, "task").sortWithinPartitions("task", "at").mapInArrow(place, PRESENT)
 
 
 #: Most rounds of a coordinated placement.

@@ -36,20 +36,17 @@ def proxy_measures(pg: ProxyGraph, k: int) -> DataFrame:
     )
 
 
-def placements(placed: DataFrame) -> DataFrame:
-    """(graph, way, e, max_load, s, c, m) of many placements (graph, way, src, dst, pid) at once.
+def placements(present: DataFrame) -> DataFrame:
+    """(graph, way, ends, e, s, c, m) of many placements (graph, way, id, pid, out, into) at once; ``ends`` counts vertices with an edge.
 
     The counts are those of :func:`proxy_measures` with homes at the part that has most of a vertex's edges.
     """
     here, key = ["graph", "way"], F.struct(F.col("out") + F.col("into"), -F.col("pid"))
-    end = lambda c, out: F.struct(F.col(c).alias("id"), F.lit(out).alias("o"), F.lit(1 - out).alias("i"))
-    ends = placed.select(*here, "pid", F.explode(F.array(end("src", 1), end("dst", 0))).alias("x")).select(*here, "pid", "x.*")
-    present = ends.groupBy(*here, "id", "pid").agg(F.sum("o").alias("out"), F.sum("i").alias("into"))
+    whole = present.repartition(*here, "id").groupBy(*here, "id", "pid").agg(F.sum("out").alias("out"), F.sum("into").alias("into"))
     at_home = F.max_by(F.struct((F.col("out") > 0).cast("long").alias("o"), (F.col("into") > 0).cast("long").alias("i")), key)
-    spread = present.groupBy(*here, "id").agg(F.count("*").alias("parts"), F.count_if(F.col("out") > 0).alias("o"), F.count_if(F.col("into") > 0).alias("i"), at_home.alias("home"))
-    roles = spread.groupBy(*here).agg(F.sum(F.col("o") - F.col("home.o")).alias("s"), F.sum(F.col("i") - F.col("home.i")).alias("c"), F.sum(F.col("parts") - 1).alias("m"))
-    loads = placed.groupBy(*here, "pid").agg(F.count("*").alias("n")).groupBy(*here).agg(F.sum("n").alias("e"), F.max("n").alias("max_load"))
-    return loads.join(roles, here)
+    spread = whole.groupBy(*here, "id").agg(F.count("*").alias("parts"), F.sum("out").alias("edges"), F.count_if(F.col("out") > 0).alias("o"), F.count_if(F.col("into") > 0).alias("i"), at_home.alias("home"))
+    sums = {"e": F.col("edges"), "s": F.col("o") - F.col("home.o"), "c": F.col("i") - F.col("home.i"), "m": F.col("parts") - 1}
+    return spread.groupBy(*here).agg(F.count("*").alias("ends"), *(F.sum(x).alias(n) for n, x in sums.items()))
 
 
 def objective(pg: ProxyGraph, k: int, eps: float = 0.1) -> DataFrame:

@@ -24,8 +24,8 @@ def sort_keys(edges: DataFrame, order: str) -> tuple[DataFrame, list]:
 
 
 def loader_of(loaders: int) -> Column:
-    """The loader that an edge is dealt to, by a scramble of its ends."""
-    return ((mix("dst") * 17 + mix("src")) % 1000003 % loaders).cast("int")
+    """The loader that an edge is dealt to, by a scramble of its ends; ids below 0 have one too."""
+    return F.pmod((mix("dst") * 17 + mix("src")) % 1000003, F.lit(loaders)).cast("int")
 
 
 def order_edges(edges: DataFrame, order: str = "mixed", loaders: int = 1) -> DataFrame:
