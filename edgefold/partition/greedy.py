@@ -16,7 +16,7 @@ costs the number of the former, not k.
 
 from __future__ import annotations
 
-from array import array
+from collections import defaultdict
 from collections.abc import Iterator
 from dataclasses import dataclass, field
 from heapq import heapify, heappop, heappush
@@ -36,14 +36,17 @@ WORD = 63
 
 @dataclass
 class LoaderTables:
-    """What a loader knows: parts that have a vertex as source or target, and edges per part."""
+    """What a loader knows: parts that have a vertex as source or target, and edges per part.
+
+    The bit sets are lists where vertices are numbers from 0, which is faster; :meth:`make_room` lengthens them.
+    """
 
     k: int
     directed: bool = True
     delta: float = DELTA
     guard: float | None = None
-    out_bits: dict[int, int] = field(default_factory=dict)
-    in_bits: dict[int, int] = field(default_factory=dict)
+    out_bits: dict[int, int] | list[int] = field(default_factory=lambda: defaultdict(int))
+    in_bits: dict[int, int] | list[int] = field(default_factory=lambda: defaultdict(int))
     loads: np.ndarray | None = None
     members: dict[int, tuple[int, ...]] = field(default_factory=dict)
 
@@ -52,6 +55,11 @@ class LoaderTables:
         if not self.directed:
             self.in_bits = self.out_bits
 
+    def make_room(self, n: int) -> None:
+        """Lengthen lists to ``n`` vertices."""
+        for bits in (self.out_bits, self.in_bits):
+            bits += [0] * (n - len(bits))
+
     def place(self, sources: np.ndarray, targets: np.ndarray) -> np.ndarray:
         """Parts of a run of edges, updating the tables after each."""
         if self.guard is None and self.k <= WORD and self.delta == DELTA:
@@ -62,7 +70,7 @@ class LoaderTables:
         heapify(least)
         parts = np.empty(len(sources), dtype=np.int32)
         for n, (u, v) in enumerate(zip(sources.tolist(), targets.tolist())):
-            bu, bv = out_bits.get(u, 0), in_bits.get(v, 0)
+            bu, bv = out_bits[u], in_bits[v]
             limit = None if self.guard is None else max((1 + self.guard) * (total + 1) / k, low + 1)
             scale = self.delta + high - low
             while least[0][0] != loads[least[0][1]]:
@@ -80,7 +88,7 @@ class LoaderTables:
                     best, chosen = score, i
             parts[n] = chosen
             out_bits[u] = bu | 1 << chosen
-            in_bits[v] = in_bits.get(v, 0) | 1 << chosen
+            in_bits[v] |= 1 << chosen
             loads[chosen] += 1
             heappush(least, (loads[chosen], chosen))
             total += 1
@@ -102,8 +110,9 @@ class LoaderTables:
         load = loads.__getitem__
         parts = []
         for u, v in zip(sources.tolist(), targets.tolist()):
-            bu, bv = out_bits.get(u, 0), in_bits.get(v, 0)
-            held = bu & bv or bu | bv
+            bu, bv = out_bits[u], in_bits[v]
+            both = bu & bv
+            held = both or bu | bv
             if not held:
                 chosen = loads.index(min(loads))
             elif held & held - 1:
@@ -112,14 +121,17 @@ class LoaderTables:
                     among = tuple(i for i in range(self.k) if held >> i & 1)
                     if len(members) < 1 << 16:
                         members[held] = among
-                chosen = min(among, key=load)
+                if len(among) == 2:
+                    chosen, other = among
+                    if loads[other] < loads[chosen]:
+                        chosen = other
+                else:
+                    chosen = min(among, key=load)
             else:
                 chosen = held.bit_length() - 1
-            bit = 1 << chosen
-            if not bu & bit:
-                out_bits[u] = bu | bit
-            if not bv & bit:
-                in_bits[v] = bv | bit
+            if not both:
+                out_bits[u] |= 1 << chosen
+                in_bits[v] |= 1 << chosen
             loads[chosen] += 1
             parts.append(chosen)
         self.loads = np.array(loads, dtype=np.int64)
@@ -194,44 +206,62 @@ PRESENT = "graph int, way int, id long, pid int, out long, into long"
 PACKED = "task int, at long, edges binary"
 #: Stretches of a graph's order that are sorted apart (a power of two up to 2^60).
 BANDS = 64
-#: Edges in a packed row, of a step of a loader, and that are counted together.
+#: Edges in a packed row and of a step of a loader, and most counts that wait or are held.
 PACK, STEP, COUNTED = 1 << 11, 1 << 16, 1 << 22
 
 
-class Numbers(dict):
-    """Vertex to its number in the order of sight; ``ids`` lists the vertices."""
+class Numbers:
+    """Vertices of a loader, numbered from 0 as they come; ``known`` is sorted and ``number`` lies beside it."""
 
     def __init__(self) -> None:
-        super().__init__()
-        self.ids = array("q")
-
-    def __missing__(self, vertex: int) -> int:
-        self[vertex] = n = len(self.ids)
-        self.ids.append(vertex)
-        return n
+        self.known, self.number = np.empty(0, np.int64), np.empty(0, np.int64)
 
     def of(self, vertices: np.ndarray) -> np.ndarray:
-        return np.fromiter(map(self.__getitem__, vertices.tolist()), np.int64, len(vertices))
+        now, nth = np.unique(vertices, return_inverse=True)
+        at = np.searchsorted(self.known, now)
+        fresh = np.append(self.known, 0)[at] != now
+        fresh |= at == len(self.known)
+        if fresh.any():
+            new = len(self.known) + np.arange(np.count_nonzero(fresh))
+            self.known, self.number = np.insert(self.known, at[fresh], now[fresh]), np.insert(self.number, at[fresh], new)
+            at = np.searchsorted(self.known, now)
+        return self.number[at][nth]
+
+    def vertices(self) -> np.ndarray:
+        """The vertex of every number."""
+        found = np.empty_like(self.known)
+        found[self.number] = self.known
+        return found
 
 
 class Counts:
-    """Edges out of and into vertices per part. They are given up every ``COUNTED`` edges, so memory stays bounded."""
+    """Edges out of and into vertices per part. They are given up when there are ``COUNTED`` of them, so memory stays bounded."""
 
     def __init__(self, graph: int, way: int, k: int):
-        self.graph, self.way, self.k, self.numbers, self.held, self.n = graph, way, k, Numbers(), [], 0
+        self.graph, self.way, self.k, self.numbers, self.held, self.waiting = graph, way, k, Numbers(), [], 0
+        self.keys, self.edges = np.empty(0, np.int64), np.empty(0, np.int64)
 
     def add(self, sources: np.ndarray, targets: np.ndarray, parts: np.ndarray) -> None:
         self.held += [2 * (sources * self.k + parts), 2 * (targets * self.k + parts) + 1]
-        self.n += len(parts)
+        self.waiting += 2 * len(parts)
+
+    def merge(self) -> None:
+        """Add what waits to the counts, which are sorted."""
+        if self.waiting:
+            keys, n = np.unique(np.concatenate(self.held), return_counts=True)
+            self.held, self.waiting = [], 0
+            at = np.searchsorted(self.keys, keys)
+            old = np.append(self.keys, -1)[at] == keys
+            self.edges[at[old]] += n[old]
+            self.keys, self.edges = np.insert(self.keys, at[~old], keys[~old]), np.insert(self.edges, at[~old], n[~old])
 
     def rows(self) -> Iterator[pa.RecordBatch]:
-        if not self.n:
-            return
-        keys, n = np.unique(np.concatenate(self.held), return_counts=True)
-        self.held, self.n = [], 0
+        self.merge()
+        keys, n = self.keys, self.edges
+        self.keys, self.edges = keys[:0], n[:0]
         number, pid = np.divmod(keys >> 1, self.k)
         into = np.where(keys & 1, n, 0)
-        ids = np.frombuffer(self.numbers.ids, np.int64)[number]
+        ids = self.numbers.vertices()[number]
         fixed = [np.full(len(keys), x, np.int32) for x in (self.graph, self.way)]
         columns = [*fixed, ids, pid.astype(np.int32), n - into, into]
         for a in range(0, len(keys), STEP):
@@ -277,14 +307,17 @@ def place_each_way(edges: DataFrame, graphs: int, ways: list[tuple[int, str, str
                     yield from counts.rows()
                 nth, graph = divmod(task, graphs)
                 way = tasks[nth][0]
-                now, counts, tables = task, Counts(graph, way, ways[way][0]), LoaderTables(ways[way][0], ways[way][1] == "directed")
+                now, counts, tables = task, Counts(graph, way, ways[way][0]), LoaderTables(ways[way][0], ways[way][1] == "directed", out_bits=[], in_bits=[])
             packed = batch.column("edges")
             for a in range(0, len(packed), STEP // PACK):
                 ends = np.frombuffer(b"".join(packed[a : a + STEP // PACK].to_pylist()), np.int64).reshape(-1, 2)
-                sources, targets = counts.numbers.of(ends[:, 0]), counts.numbers.of(ends[:, 1])
+                sources, targets = counts.numbers.of(ends.ravel()).reshape(-1, 2).T
+                tables.make_room(len(counts.numbers.known))
                 counts.add(sources, targets, tables.place(sources, targets))
-                if counts.n >= COUNTED:
-                    yield from counts.rows()
+                if counts.waiting >= COUNTED:
+                    counts.merge()
+                    if len(counts.keys) >= COUNTED:
+                        yield from counts.rows()
         if counts:
             yield from counts.rows()
 

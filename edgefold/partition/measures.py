@@ -36,13 +36,17 @@ def proxy_measures(pg: ProxyGraph, k: int) -> DataFrame:
     )
 
 
+#: Tasks that sum up the counts of placements; many small ones need not spill.
+SUMMED = 128
+
+
 def placements(present: DataFrame) -> DataFrame:
     """(graph, way, ends, e, s, c, m) of many placements (graph, way, id, pid, out, into) at once; ``ends`` counts vertices with an edge.
 
     The counts are those of :func:`proxy_measures` with homes at the part that has most of a vertex's edges.
     """
     here, key = ["graph", "way"], F.struct(F.col("out") + F.col("into"), -F.col("pid"))
-    whole = present.repartition(*here, "id").groupBy(*here, "id", "pid").agg(F.sum("out").alias("out"), F.sum("into").alias("into"))
+    whole = present.repartition(SUMMED, *here, "id").groupBy(*here, "id", "pid").agg(F.sum("out").alias("out"), F.sum("into").alias("into"))
     at_home = F.max_by(F.struct((F.col("out") > 0).cast("long").alias("o"), (F.col("into") > 0).cast("long").alias("i")), key)
     spread = whole.groupBy(*here, "id").agg(F.count("*").alias("parts"), F.sum("out").alias("edges"), F.count_if(F.col("out") > 0).alias("o"), F.count_if(F.col("into") > 0).alias("i"), at_home.alias("home"))
     sums = {"e": F.col("edges"), "s": F.col("o") - F.col("home.o"), "c": F.col("i") - F.col("home.i"), "m": F.col("parts") - 1}
